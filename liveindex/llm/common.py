@@ -149,7 +149,7 @@ def span_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
     return mix((total[ends] - total[starts]) * powers(_INVERSE, raw.size + 1)[starts] + (ends - starts).astype(np.uint64))
 
 
-def grams_at(hashes: np.ndarray, first: np.ndarray, n: int, at: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+def grams(hashes: np.ndarray, first: np.ndarray, n: int, at: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the runs of n consecutive words inside a text, and the word each begins at.
 
     first: index of each text's first word, and one more. at: words to begin at, all if not given."""

@@ -28,7 +28,7 @@ LEAST_LINES = 10
 LEAST_TIMES = 3
 
 SYMBOL = np.zeros(256, bool)
-SYMBOL[list(b"#*$%&|<>]")] = True
+SYMBOL[list(b"#*$%&|<>")] = True
 
 COLUMNS = [("n_words", T.LongType()), ("word_chars", T.LongType()), ("n_symbols", T.LongType()), ("n_dup_lines", T.LongType()), ("n_repeat_words", T.LongType()),
            ("base_failed", T.BooleanType()), ("kept", T.BooleanType()), *[(f"repeated_{n}", T.DoubleType()) for n in REPEATED], *[(f"top_{n}", T.DoubleType()) for n in MOST_FREQUENT],
@@ -89,7 +89,7 @@ def measures(texts: pa.Array) -> dict[str, np.ndarray]:
     for limits, least in ((MOST_FREQUENT, LEAST_TIMES), (REPEATED, 2)):
         alive = None  # where an n-gram may begin that occurs often enough: only where a shorter one did
         for n, most in limits.items():
-            grams, at = C.grams_at(words, first, n, alive)
+            grams, at = C.grams(words, first, n, alive)
             times, again = _classes(grams, doc[at])
             alive = at[times >= least]
             if limits is MOST_FREQUENT:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from liveindex.llm import licences, mixing, quality, shards
+from liveindex.llm import licences, minhash, mixing, quality, shards
 from liveindex.llm.common import narrow, saved, table, words_in
 
 QUERIES: dict = {}
@@ -40,6 +40,11 @@ def op4_entropy_balance(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"), "rate", "copies")
 
 
+@query
+def op5_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(table(spark, sf_dir, "documents"), width=4)
+
+
 @query
 def op10_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = narrow(table(spark, sf_dir, "documents"), doc_id="doc_id", text="text")
