@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from liveindex.llm import licences, minhash, mixing, quality, shards
+from liveindex.llm import licences, minhash, mixing, quality, records, shards
 from liveindex.llm.common import narrow, saved, table, words_in
 
 QUERIES: dict = {}
@@ -45,6 +45,18 @@ def op5_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), width=4)
 
 
+def _vocabulary() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("byte_bpe_50k.json")
+
+
+@query
+def op9_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    manifest = records.write_records(table(spark, sf_dir, "documents"), _vocabulary())
+    return records.read_records(manifest, tokens=False)
+
+
 @query
 def op10_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = narrow(table(spark, sf_dir, "documents"), doc_id="doc_id", text="text")
