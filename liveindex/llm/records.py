@@ -146,8 +146,7 @@ class Encoder:
         self.clear()
 
     def clear(self) -> None:
-        self.seen: dict[int, int] = {}
-        self.begin, self.count = [], []
+        self.seen: dict[int, int] = {}  # hash of a pre-token to (where its ids begin in the pool) << 24 | how many
         self.pool, self.used = np.zeros(1 << 16, np.uint32), 0
 
     def _learn(self, key: int, piece: str) -> int:
@@ -155,10 +154,8 @@ class Encoder:
         if self.used + len(ids) > self.pool.size:
             self.pool = np.concatenate((self.pool, np.zeros(max(self.pool.size, len(ids)), np.uint32)))
         self.pool[self.used : self.used + len(ids)] = ids
-        self.begin.append(self.used)
-        self.count.append(len(ids))
+        self.seen[key] = self.used << 24 | len(ids)
         self.used += len(ids)
-        self.seen[key] = len(self.begin) - 1
         return self.seen[key]
 
     def encode(self, texts: pa.Array, end: int) -> tuple[np.ndarray, np.ndarray]:
@@ -182,8 +179,8 @@ class Encoder:
         for i in (i for i, r in enumerate(rows) if r < 0):
             a = first[i]
             rows[i] = self._learn(int(distinct[i]), text[starts[a] : ends[a]])
-        begin = np.array([self.begin[r] for r in rows], np.int64)[which]
-        count = np.array([self.count[r] for r in rows], np.int64)[which]
+        place = np.array(rows, np.int64)[which]
+        begin, count = place >> 24, place & 0xFFFFFF
         run = np.concatenate(([0], np.cumsum(count)))
         ids = self.pool[np.repeat(begin - run[:-1], count) + np.arange(run[-1])]
         stop = run[np.searchsorted(starts, cut)]
@@ -214,7 +211,7 @@ def _writer(folder: str, tokenizer: str, end: int):
         docs = count = at = 0
         with system.open_output_stream(f"{where}.rec") as data, system.open_output_stream(f"{where}.idx") as index:
             for batch in batches:
-                for piece in C.pieces(batch, "text"):
+                for piece in C.pieces(batch, "text", 1 << 22):
                     ids, first = encoder.encode(piece.column("text"), end)
                     names = np.array([_NO_ID if x is None else x for x in piece.column("doc_id").to_pylist()], np.int64)
                     sizes = np.diff(first) * kind().itemsize + 8
