@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from liveindex.llm import licences, minhash, mixing, quality, records, shards
+from liveindex.llm import html, licences, minhash, mixing, quality, records, shards
 from liveindex.llm.common import narrow, saved, table, words_in
 
 QUERIES: dict = {}
@@ -17,6 +17,12 @@ def query(f):
     return f
 
 
+@query
+def op1_block_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = narrow(table(spark, sf_dir, "pages"), page_id="page_id", url="url", html="html")
+    return html.extract_main_text(pages).withColumn("n_chars", F.length("text").cast("long"))
+
+
 @query
 def op2_repetition(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = narrow(table(spark, sf_dir, "documents"), doc_id="doc_id", text="text")
