@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from liveindex.llm import html, licences, minhash, mixing, quality, records, shards
+from liveindex.llm import decontam, html, licences, minhash, mixing, quality, records, shards
 from liveindex.llm.common import narrow, saved, table, words_in
 
 QUERIES: dict = {}
@@ -51,6 +51,11 @@ def op5_superminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), width=4)
 
 
+@query
+def op6_seed_and_align(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def _vocabulary() -> str:
     import public_tokenizers
 
