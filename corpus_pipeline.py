@@ -1,10 +1,77 @@
-"""The corpus pipeline: quality rules, near-duplicates, decontamination, mixing and sharding of `documents`."""
+"""The corpus pipeline: quality rules, near-duplicates, decontamination, mixing and sharding of `documents`.
+
+Each stage takes the rows that the one before it kept, as written Parquet, and returns the columns of documents;
+the last adds size, shard and slot. Columns of documents whose names an operator uses for its own are carried
+through unchanged.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from liveindex.llm import decontam, minhash, mixing, quality, shards
+from liveindex.llm.common import saved, table, words_in
+
+NEEDED = ("doc_id", "text", "source")
+
+
+def _carried(docs: DataFrame, added: set[str], work: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """work(docs) with exactly the columns of docs, though work replaces columns of the names it adds."""
+    if not added & {c.lower() for c in docs.columns}:
+        return work(docs).select(*[F.col(f"`{c}`") for c in docs.columns])
+    packed = docs.select(F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("_row"), *[docs[c] for c in NEEDED])
+    return work(packed).select("_row.*")
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the repetition rules keep."""
+    added = {n for n, _ in quality.COLUMNS}
+    return _carried(docs, added, lambda d: quality.repetition(d).where("kept"))
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document, the one of the smallest doc_id, of each group of copies (five words, similarity 0.8).
+
+    Of rows that repeat a doc_id one stays; rows without doc_id all stay."""
+    verdict = minhash.near_duplicates(docs, width=5, percent=80)
+    gone = verdict.where(~F.col("kept")).select("doc_id").distinct()
+    out = docs.join(gone, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    if docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").isEmpty():
+        return out
+    return out.where("doc_id is not null").dropDuplicates(["doc_id"]).unionAll(out.where("doc_id is null"))
+
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no copy of a benchmark item. A row without doc_id is judged by no key and stays."""
+    found = decontam.leaks(docs, table(spark, sf_dir, "benchmark")).select("doc_id").where("doc_id is not null").distinct()
+    return docs.join(found, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents repeated, kept once or left out so that the sources' words meet their targets."""
+
+    def work(d: DataFrame) -> DataFrame:
+        mixed = mixing.mix_sources(d.withColumn("_size", words_in("text")), size="_size")
+        return mixed.where("copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
+
+    return _carried(docs, {"source_size", "target", "rate", "copies", "_key", "_words", "_tie", "_block", "_size", "_copy"}, work)
+
+
+def sharding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All rows with size, shard and slot, sixteen shards of nearly equal bytes."""
+    return shards.shard_by_bytes(docs)
+
+
+STAGES = [("quality rules", quality_rules), ("near-duplicates", near_duplicates), ("decontamination", decontamination), ("mixture", mixture), ("sharding", sharding)]
+#: SQL cannot express signatures, alignment and the balance of the sources; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES:
+        docs = saved(stage(spark, docs, sf_dir), f"stage-{name.replace(' ', '-')}")
+    return docs
