@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from liveindex.llm import decontam, html, licences, minhash, mixing, quality, records, shards, spans
+from liveindex.llm import decontam, html, licences, minhash, mixing, quality, records, shards, spans, warc
 from liveindex.llm.common import narrow, saved, table, words_in
 
 QUERIES: dict = {}
@@ -56,6 +56,13 @@ def op6_seed_and_align(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+@query
+def op7_merkle_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = warc.write_warc(table(spark, sf_dir, "pages"))
+    replica = warc.copy_replica(found, found.folder)
+    return warc.fixity(found, replica).select("page_id", "url", "file", "at", "offset", "length", "digest", "intact")
+
+
 @query
 def op8_column_bwt(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = spans.remove_repeats(table(spark, sf_dir, "documents"))
