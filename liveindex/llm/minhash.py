@@ -5,10 +5,11 @@ step + fraction at the place of each step; a place keeps the least offer. Offers
 done once the step passes its largest minimum: a text of many shingles needs two or three steps.
 
 Texts with equal sets collapse first. Bands of equal signature rows put the others into buckets. A bucket is never
-turned into its pairs: its members are checked against one centre, the links found so far give components, and
-only members outside a bucket's largest component are checked further - against two more centres, then, the few
-that remain, against every member of another component, so that no pair of a bucket stays unchecked unless both
-already belong together.
+turned into its pairs: its members are checked against one centre, and the links found give components. In buckets
+that hold several components, a text that shares too few shingles with all others there is done; the rest are
+checked against the member with most in common; and those still outside the largest component are held, block by
+block, against all members of the buckets. So a pair of a bucket stays unchecked only if both already belong
+together or no link between them is possible.
 """
 
 from __future__ import annotations
@@ -154,6 +155,103 @@ def _check(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return full.mapInArrow(_verified(percent), "a long, b long, linked boolean")
 
 
+def _still_split(at: DataFrame) -> DataFrame:
+    """Rows of the buckets whose members are of more than one component."""
+    parts = at.groupBy("bucket").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("bucket")
+    return at.join(parts, "bucket", "left_semi")
+
+
+def _split(members: DataFrame, labels: DataFrame) -> DataFrame:
+    at = members.select("bucket", "node").join(labels, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("component"))
+    return C.saved(_still_split(at), "split-buckets")
+
+
+def _exploded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        members = batch.column("members")
+        sizes = np.array([len(m.as_buffer()) // 8 for m in members], np.int64)
+        data = np.frombuffer(b"".join(m.as_buffer() for m in members), np.int64)
+        for low in range(0, data.size, 1 << 18):
+            high = min(low + (1 << 18), data.size)
+            row = np.searchsorted(np.cumsum(sizes), np.arange(low, high), side="right")
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(pa.array(row)), pa.array(data[low:high])], names=["node", "shingle"])
+
+
+def _common(split: DataFrame, sets: DataFrame) -> DataFrame:
+    """(node, n, common) of the nodes of split: size of the set, and how many of it any other of the nodes holds too."""
+    some = sets.join(split.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    held = some.mapInArrow(_exploded, "node long, shingle long")
+    alone = held.groupBy("shingle").agg(F.min("node").alias("node"), F.max("node").alias("last")).where("node = last").groupBy("node").agg(F.count("*").alias("own"))
+    # Versions of one document have their sets taken together here, which can only raise what they have in common.
+    sizes = some.groupBy(F.col("doc_id").alias("node")).agg(F.min(F.length("members") / 8).cast("long").alias("n"))
+    return sizes.join(alone, "node", "left").select("node", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("common"))
+
+
+#: Members and bytes of a block, about.
+BLOCK_MEMBERS, BLOCK_BYTES = 256, 1 << 20
+
+
+def _overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of all sets of one block with all of another, by products of 0-1 matrices over
+    the members that both blocks have, some thousand at a time."""
+    x, y = np.concatenate(left), np.concatenate(right)
+    xi, yi = np.repeat(np.arange(len(left)), [s.size for s in left]), np.repeat(np.arange(len(right)), [s.size for s in right])
+    both = np.intersect1d(x, y)
+    out = np.zeros((len(left), len(right)), np.float32)
+    for low in range(0, both.size, 4096):
+        some = both[low : low + 4096]
+        sides = []
+        for values, rows, n in ((x, xi, len(left)), (y, yi, len(right))):
+            at = np.minimum(np.searchsorted(some, values), some.size - 1)
+            hit = some[at] == values
+            side = np.zeros((n, some.size), np.float32)
+            side[rows[hit], at[hit]] = 1
+            sides.append(side)
+        out += sides[0] @ sides[1].T
+    return out.astype(np.int64)
+
+
+def _blocks_checked(percent: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                sides = [batch.column(c)[k].values for c in ("minor", "member")]
+                names = [s.field("node").to_numpy() for s in sides]
+                sets = [[np.frombuffer(m.as_buffer(), np.uint64) for m in s.field("members")] for s in sides]
+                sizes = [np.array([m.size for m in s]) for s in sets]
+                common = _overlaps(*sets)
+                linked = 100 * common >= percent * (sizes[0][:, None] + sizes[1][None] - common)
+                i, j = np.nonzero(linked & (names[0][:, None] != names[1][None]))
+                yield pa.RecordBatch.from_arrays([pa.array(np.maximum(names[0][i], names[1][j])), pa.array(np.minimum(names[0][i], names[1][j])), pa.array(np.ones(i.size, bool))], names=["a", "b", "linked"])
+
+    return run
+
+
+def _in_blocks(split: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between texts outside a bucket's largest component and all others of the buckets with that component.
+
+    Both go into blocks of bounded size; a pair of blocks is one row, and only links leave it."""
+    spark = split.sparkSession
+    sizes = split.groupBy("bucket", "component").count()
+    largest = sizes.groupBy("bucket").agg(F.max_by("component", F.struct("count", "component")).alias("largest"))
+    seen = C.saved(split.join(largest, "bucket").groupBy("largest", "node").agg(F.max(F.col("component") != F.col("largest")).alias("minor"), F.first("n").alias("n")), "split-members")
+    shape = seen.groupBy("largest").agg(F.ceil(F.greatest(F.count("*") / BLOCK_MEMBERS, F.sum("n") * 8 / BLOCK_BYTES)).alias("all"), F.ceil(F.greatest(F.count_if("minor") / BLOCK_MEMBERS, F.sum(F.when(F.col("minor"), F.col("n")).otherwise(0)) * 8 / BLOCK_BYTES)).alias("few"))
+    full = seen.join(sets.select(F.col("doc_id").alias("node"), "members"), "node").join(shape, "largest")
+    item = F.struct("node", "members")
+
+    def blocks(of: DataFrame, count: str, name: str) -> DataFrame:
+        return of.groupBy("largest", F.pmod(F.xxhash64("node"), F.col(count)).alias(name + "_block")).agg(F.collect_list(item).alias(name))
+
+    full = C.saved(full, "split-sets")
+    met = blocks(full.where("minor"), "few", "minor").join(blocks(full, "all", "member"), "largest").select("minor", "member")
+    key, was = "spark.sql.execution.arrow.maxRecordsPerBatch", spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set(key, "4")  # a row holds two blocks
+    try:
+        return C.saved(met.mapInArrow(_blocks_checked(percent), "a long, b long, linked boolean"), "checked")
+    finally:
+        spark.conf.set(key, was)
+
+
 def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of df.
 
@@ -174,7 +272,6 @@ def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", w
     sets = C.saved(rows.join(wanted, "doc_id", "left_semi").mapInArrow(_sets(width), "doc_id long, members binary"), "shingle-sets")
     # A document that repeats its doc_id with another text has several sets, each of which counts.
     links = C.saved(_check(members.where("node > centre").select(F.col("node").alias("a"), F.col("centre").alias("b")).distinct(), sets, percent), "checked")
-    tested = links.select("a", "b")
     versions = named.groupBy("doc_id").agg(F.min("set_a").alias("x"), F.max("set_a").alias("y")).where("x <> y").isEmpty()
     same = None if versions else distinct.join(named.select("doc_id", "set_a", "set_b"), ["set_a", "set_b"]).where("node <> doc_id").select(F.col("node").alias("a"), F.col("doc_id").alias("b")).distinct()
 
@@ -183,26 +280,23 @@ def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", w
         return components(pairs if same is None else pairs.union(same))
 
     labels = found()
-    for salt in (1, 2, None):
-        at = members.select("bucket", "node").join(labels, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("component"))
-        sizes = at.groupBy("bucket", "component").count()
-        largest = sizes.groupBy("bucket").agg(F.max_by("component", F.struct("count", "component")).alias("largest"), F.count("*").alias("parts")).where("parts > 1").select("bucket", "largest")
-        at = C.saved(at.join(largest, "bucket"), "split-buckets")
-        if at.isEmpty():
-            break
-        outside = at.where("component <> largest").select("bucket", F.col("node").alias("a"), F.col("component").alias("ca"))
-        if salt is None:
-            inside = at.select("bucket", F.col("node").alias("b"), F.col("component").alias("cb"))
-        else:
-            inside = at.where("component = largest").groupBy("bucket").agg(F.min_by("node", F.xxhash64(F.lit(salt), "node")).alias("b"), F.first("component").alias("cb"))
-        pairs = outside.join(inside, "bucket").where("ca <> cb").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-        pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        more = C.saved(_check(pairs, sets, percent), "checked")
-        if more.where("linked").isEmpty():
-            tested = tested.union(more.select("a", "b"))
-            continue
-        links = links.union(more)
-        tested = links.select("a", "b")
+    split = _split(members, labels)
+    if not split.isEmpty():
+        # A linked pair shares percent of either set, so a text with fewer shingles in common with all others of
+        # such buckets than that has no link there.
+        common = _common(split, sets)
+        able = common.where(100 * F.col("common") >= percent * F.col("n"))
+        split = C.saved(_still_split(split.join(able, "node")), "split-buckets")
+    if not split.isEmpty():
+        # The member with the least of its own is the likeliest to link with any other.
+        centre = split.groupBy("bucket").agg(F.max_by(F.struct(F.col("node").alias("b"), F.col("component").alias("cb"), F.col("n").alias("nb"), F.col("common").alias("sb")), F.struct(F.col("common") / F.col("n"), -F.col("node"))).alias("x")).select("bucket", "x.*")
+        enough = (100 + percent) * F.least("common", "sb") >= percent * (F.col("n") + F.col("nb"))
+        pairs = split.join(centre, "bucket").where((F.col("component") != F.col("cb")) & enough).select(F.greatest("node", "b").alias("a"), F.least("node", "b").alias("b")).distinct()
+        links = links.unionAll(C.saved(_check(pairs.join(links.select("a", "b"), ["a", "b"], "left_anti"), sets, percent), "checked"))
+        labels = found()
+        split = C.saved(_still_split(split.drop("component").join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))), "split-buckets")
+    if not split.isEmpty():
+        links = links.unionAll(_in_blocks(split, sets, percent))
         labels = found()
     classes = distinct.join(labels, "node", "left").select("set_a", "set_b", F.coalesce("component", "node").alias("component"))
     out = signed.join(classes, ["set_a", "set_b"], "left")
