@@ -3,8 +3,8 @@
 A byte goes if a string of WIDTH bytes that covers it also starts earlier. Only passages that may repeat need
 sorting, and they are found first: in each window of WIDTH bytes the least hash of its GRAM-byte strings marks an
 anchor, so equal windows have equal anchors, and anchors that occur once are done with. What is left are segments:
-runs of windows with one anchor, grouped by it. Equal segments collapse onto their first; where a group still has
-different ones, the segments of many groups form a collection whose transform is built from their last column
+runs of windows with one anchor, grouped by it. Equal segments, by 128 bits of hash, collapse onto their first;
+where a group still has different ones, the segments of many groups form a collection whose transform is built from their last column
 to their first, one symbol of each segment a round, and windows that are neighbours in its order and share WIDTH
 bytes are the repeats.
 
@@ -19,6 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,6 +30,7 @@ REACH = WIDTH - GRAM + 1
 #: Segments of one part of a group, and bytes of segments that one transform is built over.
 HOT, COLLECTION = 4096, 1 << 23
 _PIECE, _PLACE = 1 << 22, 24
+C_BYTES = 1 << 21
 _LEAST = -(1 << 63)
 
 
@@ -155,27 +157,13 @@ _NAMES = ["doc_id", "rid", "begin", "windows", "wa", "wb"]
 def repeats(group: np.ndarray, doc: np.ndarray, begin: np.ndarray, hot: np.ndarray, data: np.ndarray, off: np.ndarray) -> tuple[list[np.ndarray], list[np.ndarray]]:
     """Which windows of the segments of some whole groups start earlier elsewhere in their group.
 
-    Returns (segment, first window, windows) of runs to remove, and (segment, window, hash, hash) of windows of hot
-    groups that are first among these segments."""
+    Returns (segment, first window, windows) of runs to remove, and (segment, window) of windows of hot groups that
+    are first among these segments."""
     sizes = np.diff(off)
-    keys = C.span_hashes(data, off[:-1], off[1:])
-    by = np.lexsort((begin, doc, sizes, keys, group))
-    same = np.zeros(by.size, bool)
-    same[1:] = (group[by][1:] == group[by][:-1]) & (keys[by][1:] == keys[by][:-1]) & (sizes[by][1:] == sizes[by][:-1])
-    # A hash names candidates only: bytes decide.
-    for k in np.flatnonzero(same):
-        a, b = by[k - 1], by[k]
-        if not np.array_equal(data[off[a] : off[a + 1]], data[off[b] : off[b + 1]]):
-            same[k] = False
-    lead = by[np.maximum.accumulate(np.where(~same, np.arange(by.size), 0))]
-    later = (doc[by] != doc[lead]) | (begin[by] != begin[lead])
-    gone = by[same & later]
-    runs = [np.stack((gone, np.zeros_like(gone), sizes[gone] - WIDTH + 1), 1)]
-    first = np.sort(by[~same])
-    # Groups with different segments left are sorted; the others are done.
-    _, which, many = np.unique(group[first], return_inverse=True, return_counts=True)
-    mixed = first[(many[which] > 1)]
-    lone = first[(many[which] == 1) & hot[first]]
+    _, which, many = np.unique(group, return_inverse=True, return_counts=True)
+    mixed = np.flatnonzero(many[which] > 1)
+    lone = np.flatnonzero((many[which] == 1) & hot)
+    runs = [np.zeros((0, 3), np.int64)]
     left = [np.stack((np.repeat(lone, n := sizes[lone] - WIDTH + 1), np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)), 1)]
     if mixed.size:
         sequence, window, kind = _classes(data, off[mixed], sizes[mixed])
@@ -243,53 +231,95 @@ def _sorted_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield _found(parts)
 
 
+ANCHORED = "anchor long, content long, doc_id long, rid long, place long"
+
+
 def _anchored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for piece in C.pieces(batch, "text"):
-            text, begin, windows, anchor = segments(*C.flat(piece.column("text")))
+            raw, off = C.flat(piece.column("text"))
+            text, begin, windows, anchor = segments(raw, off)
+            content = C.span_hashes(raw, off[text] + begin, off[text] + begin + windows + WIDTH - 1)
             take = pa.array(text)
-            yield pa.RecordBatch.from_arrays([pa.array(C.signed(anchor)), piece.column("doc_id").take(take), piece.column("rid").take(take), pa.array(begin), pa.array(windows.astype(np.int32))], names=["anchor", "doc_id", "rid", "begin", "windows"])
+            yield pa.RecordBatch.from_arrays([pa.array(C.signed(anchor)), pa.array(C.signed(content)), piece.column("doc_id").take(take), piece.column("rid").take(take), pa.array(begin << 8 | windows)], names=["anchor", "content", "doc_id", "rid", "place"])
+
+
+SHARED = "anchor long, part long, doc_id long, rid long, place long"
 
 
 def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows, ordered by anchor, whose anchor occurs again, each with the part of its group that it falls in."""
-    held, last, count = None, None, 0
+    """From segments ordered by (anchor, content, doc_id, place): those that repeat the first of their content, with
+    a null part; and the first of each content whose anchor has another content, with the part it falls in.
+
+    Content and anchor together are 128 bits of hash. What the next batch needs is one row: the last first."""
+    lead = None  # anchor, content, doc_id, rid, place, number of its content within the anchor
     for batch in batches:
-        if held is not None:
-            batch = pa.Table.from_batches([held, batch]).combine_chunks().to_batches()[0]
-        anchor = batch.column("anchor").to_numpy()
-        if anchor.size < 2:
-            held = batch
+        anchor, content, doc, rid, place = (batch.column(k).to_numpy() for k in range(5))
+        if not anchor.size:
             continue
-        before = np.zeros(anchor.size, bool)
-        before[1:] = anchor[1:] == anchor[:-1]
-        before[0] = last is not None and anchor[0] == last
-        after = np.append(before[1:], False)
-        heads = np.flatnonzero(~before)
-        base = np.concatenate(([-count], heads)) if before[0] else heads
-        index = np.arange(anchor.size) - base[np.searchsorted(base, np.arange(anchor.size), side="right") - 1]
-        # The last row waits: only the next batch tells whether its anchor goes on.
-        pick = np.flatnonzero((before | after)[:-1])
-        yield batch.take(pa.array(pick)).append_column("part", pa.array((index[pick] // HOT).astype(np.int64)))
-        last, count, held = anchor[-2], int(index[-2]) + 1, batch.slice(anchor.size - 1)
-    if held is not None and last is not None and held.column("anchor")[0].as_py() == last:
-        yield held.append_column("part", pa.array([count // HOT], pa.int64()))
+        new = np.ones(anchor.size, bool)
+        new[1:] = (anchor[1:] != anchor[:-1]) | (content[1:] != content[:-1])
+        if lead is not None:
+            new[0] = lead[0] != anchor[0] or lead[1] != content[0]
+        heads = np.flatnonzero(new)
+        source = np.maximum.accumulate(np.where(new, np.arange(anchor.size), -1))
+        lead_doc, lead_place = (np.where(source >= 0, column[source], lead[k] if lead is not None else 0) for column, k in ((doc, 2), (place, 4)))
+        again = np.flatnonzero(~new & ((doc != lead_doc) | (place != lead_place)))
+        out = [(anchor[again], np.full(again.size, -1), doc[again], rid[again], place[again])]
+        if heads.size:
+            columns = [c[heads] for c in (anchor, content, doc, rid, place)]
+            count = np.zeros(heads.size, np.int64)
+            if lead is not None:
+                columns = [np.concatenate(([v], c)) for v, c in zip(lead, columns, strict=False)]
+                count = np.concatenate(([lead[5]], count))
+            same = np.append(False, columns[0][1:] == columns[0][:-1])
+            index = np.arange(same.size)
+            index = index - np.maximum.accumulate(np.where(same, 0, index))
+            index[: int(np.argmin(np.append(same[1:], False))) + 1] += count[0]
+            shared = (index > 0) | np.append(same[1:], False)
+            pick = np.flatnonzero(shared[:-1])
+            out.append((columns[0][pick], index[pick] // HOT, *(c[pick] for c in columns[2:])))
+            lead = (*(c[-1] for c in columns), int(index[-1]))
+        yield _rows(out)
+    if lead is not None and lead[5] > 0:
+        yield _rows([(np.array([lead[0]]), np.array([lead[5] // HOT]), *(np.array([v]) for v in lead[2:5]))])
+
+
+def _rows(parts: list[tuple]) -> pa.RecordBatch:
+    anchor, part, doc, rid, place = (np.concatenate(c).astype(np.int64) for c in zip(*parts, strict=True))
+    return pa.RecordBatch.from_arrays([pa.array(anchor), pa.array(part, mask=part < 0), pa.array(doc), pa.array(rid), pa.array(place)], names=["anchor", "part", "doc_id", "rid", "place"])
+
+
+def _zipped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts packed for the shuffle."""
+    for batch in batches:
+        for piece in C.pieces(batch, "text"):
+            packed = [pa.compress(t.as_buffer(), "zstd", asbytes=True) for t in piece.column("text")]
+            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("rid"), pc.binary_length(piece.column("text")).cast(pa.int64()), pa.array(packed, pa.binary())], names=["doc_id", "rid", "size", "packed"])
+
+
+def _unpacked(batch: pa.RecordBatch) -> Iterator[tuple[int, bytes]]:
+    """(row, text) of a batch, one at a time."""
+    for k, (data, size) in enumerate(zip(batch.column("packed"), batch.column("size").to_pylist(), strict=True)):
+        yield k, pa.decompress(data.as_buffer(), size, "zstd", asbytes=True)
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for piece in C.pieces(batch, "text"):
-            raw, off = C.flat(piece.column("text"))
-            lists = piece.column("found")
-            rows = lists.flatten()
-            text = np.repeat(np.arange(piece.num_rows), lists.value_lengths().to_numpy())
-            begin, windows = rows.field("begin").to_numpy(), rows.field("windows").to_numpy().astype(np.int64)
-            low, size = off[text] + begin, windows + WIDTH - 1
-            ends = np.cumsum(size)
-            body = raw[np.repeat(low - (ends - size), size) + np.arange(ends[-1] if ends.size else 0)]
-            bytes_ = pa.Array.from_buffers(pa.large_binary(), text.size, [None, pa.py_buffer(np.concatenate(([0], ends)).astype(np.int64).tobytes()), pa.py_buffer(body.tobytes())])
-            take = pa.array(text)
-            yield pa.RecordBatch.from_arrays([rows.field("anchor"), rows.field("part"), rows.field("hot"), piece.column("doc_id").take(take), piece.column("rid").take(take), pa.array(begin), bytes_.cast(pa.binary())], names=["anchor", "part", "hot", "doc_id", "rid", "begin", "bytes"])
+        found = batch.column("found")
+        held, size = [], 0
+        for k, text in _unpacked(batch):
+            rows = found[k].values
+            place = rows.field("place").to_numpy()
+            begin, windows = place >> 8, place & 0xFF
+            pieces = [text[b : b + n + WIDTH - 1] for b, n in zip(begin.tolist(), windows.tolist(), strict=True)]
+            held.append(pa.RecordBatch.from_arrays([rows.field("anchor"), rows.field("part"), rows.field("hot"), pa.repeat(batch.column("doc_id")[k], len(pieces)), pa.repeat(batch.column("rid")[k], len(pieces)), pa.array(begin), pa.array(pieces, pa.binary())], names=["anchor", "part", "hot", "doc_id", "rid", "begin", "bytes"]))
+            size += sum(map(len, pieces))
+            if size > C_BYTES:
+                yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+                held, size = [], 0
+        if held:
+            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
 
 
 def covered(begin: np.ndarray, windows: np.ndarray) -> np.ndarray:
@@ -306,18 +336,16 @@ def covered(begin: np.ndarray, windows: np.ndarray) -> np.ndarray:
 def _removed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         out: list[tuple] = []
-        for k in range(batch.num_rows):
-            data, runs = batch.column("text")[k].as_buffer(), batch.column("runs")[k].values
-            spans = covered(runs.field("begin").to_numpy(), runs.field("windows").to_numpy())
-            digest, at, kept = hashlib.sha256(), 0, []
-            view = memoryview(data)
+        for k, text in _unpacked(batch):
+            place = batch.column("runs")[k].values.to_numpy()
+            spans = covered(place >> 8, place & 0xFF)
+            at, kept = 0, []
             for low, high in spans.tolist():
-                kept.append(bytes(view[at:low]))
+                kept.append(text[at:low])
                 at = high
-            kept.append(bytes(view[at:]))
+            kept.append(text[at:])
             rest = b"".join(kept)
-            digest.update(rest)
-            out.append((len(rest), len(spans), digest.hexdigest(), rest, spans[:, 0].tolist(), spans[:, 1].tolist()))
+            out.append((len(rest), len(spans), hashlib.sha256(rest).hexdigest(), rest, spans[:, 0].tolist(), spans[:, 1].tolist()))
         if out:
             n, spans, digest, rest, low, high = zip(*out, strict=True)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("rid"), pa.array(n, pa.int64()), pa.array(spans, pa.int64()), pa.array(digest), pa.array(rest, pa.binary()), pa.array(low, pa.list_(pa.int64())), pa.array(high, pa.list_(pa.int64()))], names=["doc_id", "rid", "n_kept", "n_spans", "kept_sha256", "kept", "span_begins", "span_ends"])
@@ -333,27 +361,33 @@ def remove_repeats(df: DataFrame, text: str = "text", doc_id: str = "doc_id") ->
     other columns play no part.
     """
     spark = df.sparkSession
-    rows = C.narrow(df, doc_id=doc_id, text=text).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LEAST)).alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"), F.xxhash64("text").alias("rid"))
+    rows = C.narrow(df, doc_id=doc_id, text=text).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LEAST)).alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
+    # Where a doc_id repeats, the text tells its versions apart.
+    repeated = not rows.groupBy("doc_id").count().where("count > 1").isEmpty()
+    rows = rows.withColumn("rid", F.xxhash64("text") if repeated else F.lit(0).cast("long"))
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    anchored = rows.where(F.octet_length("text") >= WIDTH).mapInArrow(_anchored, "anchor long, doc_id long, rid long, begin long, windows int")
-    shared = C.saved(anchored.repartition(parts, "anchor").sortWithinPartitions("anchor", "doc_id", "begin").mapInArrow(_shared, "anchor long, doc_id long, rid long, begin long, windows int, part long"), "shared-anchors")
+    long = rows.where(F.octet_length("text") >= WIDTH)
+    anchored = long.mapInArrow(_anchored, ANCHORED)
+    shared = C.saved(anchored.repartition(parts, "anchor").sortWithinPartitions("anchor", "content", "doc_id", "place").mapInArrow(_shared, SHARED), "shared-anchors")
     large = shared.where("part > 0").select("anchor").distinct()
-    if large.isEmpty():
-        marked = shared.withColumn("hot", F.lit(False))
-    else:
-        marked = shared.join(large.withColumn("hot", F.lit(True)), "anchor", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
-    mine = marked.groupBy("doc_id", "rid").agg(F.collect_set(F.struct("anchor", "part", "hot", "begin", "windows")).alias("found"))
-    texts = C.saved(rows.join(mine, ["doc_id", "rid"]).select("doc_id", "rid", "text", "found"), "anchored-texts")
-    cut = texts.mapInArrow(_cut, "anchor long, part long, hot boolean, doc_id long, rid long, begin long, bytes binary")
+    split = not large.isEmpty()
+    marked = shared.where("part is not null").withColumn("hot", F.lit(False))
+    if split:
+        marked = marked.drop("hot").join(large.withColumn("hot", F.lit(True)), "anchor", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
+    mine = marked.groupBy("doc_id", "rid").agg(F.collect_list(F.struct("anchor", "part", "hot", "place")).alias("found"))
+    packed = "doc_id long, rid long, size long, packed binary"
+    texts = long.mapInArrow(_zipped, packed)
+    if repeated:
+        texts = texts.dropDuplicates(["doc_id", "rid"])
+    cut = texts.join(mine, ["doc_id", "rid"]).mapInArrow(_cut, "anchor long, part long, hot boolean, doc_id long, rid long, begin long, bytes binary")
     found = C.saved(cut.repartition(parts, "anchor", "part").sortWithinPartitions("anchor", "part").mapInArrow(_sorted_out, FOUND), "repeats")
-    runs = found.where("wa is null").select("doc_id", "rid", "begin", "windows")
-    if not large.isEmpty():
+    runs = shared.where("part is null").select("doc_id", "rid", "place").unionAll(found.where("wa is null").select("doc_id", "rid", (F.shiftleft("begin", 8) + F.col("windows")).alias("place")))
+    if split:
         first = found.where("wa is not null")
         least = first.groupBy("wa", "wb").agg(F.min(F.struct("doc_id", "begin")).alias("least"))
-        runs = runs.unionAll(first.join(least, ["wa", "wb"]).where(F.struct("doc_id", "begin") != F.col("least")).select("doc_id", "rid", "begin", "windows"))
-    runs = runs.groupBy("doc_id", "rid").agg(F.collect_set(F.struct("begin", "windows")).alias("runs"))
-    edited = (texts.select("doc_id", "rid", F.col("text").cast("binary").alias("text")).dropDuplicates(["doc_id", "rid"]).join(runs, ["doc_id", "rid"])
-              .mapInArrow(_removed, "doc_id long, rid long, n_kept long, n_spans long, kept_sha256 string, kept binary, span_begins array<long>, span_ends array<long>"))
+        runs = runs.unionAll(first.join(least, ["wa", "wb"]).where(F.struct("doc_id", "begin") != F.col("least")).select("doc_id", "rid", (F.shiftleft("begin", 8) + F.col("windows")).alias("place")))
+    runs = runs.groupBy("doc_id", "rid").agg(F.collect_list("place").alias("runs"))
+    edited = texts.join(runs, ["doc_id", "rid"]).mapInArrow(_removed, "doc_id long, rid long, n_kept long, n_spans long, kept_sha256 string, kept binary, span_begins array<long>, span_ends array<long>")
     whole = rows.select("doc_id", "rid", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("sha"))
     out = whole.join(edited, ["doc_id", "rid"], "left")
     return out.select(
