@@ -27,8 +27,9 @@ from liveindex.llm import common as C
 
 WIDTH, GRAM = 100, 24
 REACH = WIDTH - GRAM + 1
+SIDE = (WIDTH - GRAM) // 2
 #: Segments of one part of a group, and bytes of segments that one transform is built over.
-HOT, COLLECTION = 4096, 1 << 23
+HOT, COLLECTION = 4096, 1 << 21
 _PIECE, _PLACE = 1 << 22, 24
 C_BYTES = 1 << 21
 _LEAST = -(1 << 63)
@@ -72,15 +73,14 @@ class _Ranks:
 
     STEP = 128
 
-    def __init__(self, symbols: np.ndarray, kinds: int) -> None:
+    def __init__(self, symbols: np.ndarray, kinds: int, cells: np.ndarray) -> None:
         self.rows = -(-symbols.size // self.STEP)
         padded = np.full((self.rows + 1) * self.STEP, 255, np.uint8)
         padded[: symbols.size] = symbols
         self.blocks = padded.reshape(-1, self.STEP)
-        cell = np.arange(symbols.size, dtype=np.int64) // self.STEP * kinds + symbols
-        counts = np.bincount(cell, minlength=self.rows * kinds).reshape(-1, kinds)
-        self.before = np.zeros((self.rows + 1, kinds), np.int64)
-        np.cumsum(counts, axis=0, out=self.before[1:])
+        counts = np.bincount(cells[: symbols.size] + symbols, minlength=self.rows * kinds).reshape(-1, kinds)
+        self.before = np.zeros((self.rows + 1, kinds), np.int32)
+        np.cumsum(counts, axis=0, dtype=np.int32, out=self.before[1:])
 
     def of(self, symbol: np.ndarray, place: np.ndarray) -> np.ndarray:
         block, inside = place // self.STEP, place % self.STEP
@@ -98,13 +98,14 @@ def transform(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[
     symbol = (np.searchsorted(bytes_, data) + 1).astype(np.uint8)
     kinds, m = bytes_.size + 1, starts.size
     ends = starts + sizes
+    cells = np.arange(m + data.size) // _Ranks.STEP * kinds
     out = symbol[ends - 1].copy()
     who, place = np.arange(m), np.arange(m)
     for done in range(1, int(sizes.max(initial=0)) + 1):
         keep = sizes[who] >= done
         who, place = who[keep], place[keep]
         letter = symbol[ends[who] - done]
-        ranks = _Ranks(out, kinds)
+        ranks = _Ranks(out, kinds, cells)
         totals = np.bincount(out, minlength=kinds)
         totals[0] = m  # as many suffixes begin with an end as there are sequences
         smaller = np.concatenate(([0], np.cumsum(totals)[:-1]))
@@ -134,6 +135,8 @@ def order(symbols: np.ndarray, m: int, sizes: np.ndarray) -> np.ndarray:
 
 def _classes(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(sequence, window, class) of all windows, in the order of the transform; equal windows have one class."""
+    within = np.concatenate([np.arange(a, a + n) for a, n in zip(starts.tolist(), sizes.tolist(), strict=True)])
+    data, starts = data[within], np.cumsum(sizes) - sizes
     symbols, _, m = transform(data, starts, sizes)
     rank = order(symbols, m, sizes)
     counts = sizes - WIDTH + 1
@@ -150,11 +153,47 @@ def _classes(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[n
     return sequence, window, np.cumsum(new) - 1
 
 
+def _sides(anchor: np.ndarray, data: np.ndarray, off: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of each segment, the first byte and the end of the part whose windows another of its group may hold.
+
+    A window has SIDE bytes before its anchor or SIDE after it, so equal windows have equal bytes there. A segment
+    whose sides no other has keeps nothing; one with a single shared side keeps the windows that reach over it."""
+    sizes = np.diff(off)
+    total = np.zeros(data.size + 1, np.uint64)
+    np.cumsum(C._BYTE[data] * C.powers(C._BASE, data.size), out=total[1:])
+    inverse = C.powers(C._INVERSE, data.size + 1)
+    string = lambda a, n: C.mix((total[a + n] - total[a]) * inverse[a])
+    count = sizes - GRAM + 1
+    row = np.repeat(np.arange(sizes.size), count)
+    at = np.arange(row.size) - np.repeat(np.cumsum(count) - count, count) + off[row]
+    hit = np.flatnonzero(string(at, GRAM) == anchor.view(np.uint64)[row])
+    # Windows of a segment have one anchor: the leftmost place of it that all of them reach.
+    hit = hit[(at[hit] - off[row[hit]] >= sizes[row[hit]] - WIDTH) & (at[hit] - off[row[hit]] <= WIDTH - GRAM)]
+    place = np.zeros(sizes.size, np.int64)
+    place[row[hit][::-1]] = at[hit][::-1]
+    ends = off[1:]
+    low, high = off[:-1].copy(), ends.copy()
+    shared = []
+    for can, a in ((place - off[:-1] >= SIDE, place - SIDE), (ends - place - GRAM >= SIDE, place + GRAM)):
+        side = np.zeros(sizes.size, bool)
+        some = np.flatnonzero(can)
+        key = C.mix(string(a[some], SIDE) ^ C.mix(group[some].view(np.uint64)))
+        _, which, many = np.unique(key, return_inverse=True, return_counts=True)
+        side[some] = many[which] > 1
+        shared.append(side)
+    left, right = shared
+    # Without a shared left side only windows with fewer than SIDE bytes before the anchor are left, and so on.
+    low = np.where(left, low, np.maximum(low, place - SIDE + 1))
+    high = np.where(right, high, np.minimum(high, place + GRAM + SIDE - 1))
+    none = ~(left | right) | (high - low < WIDTH)
+    return np.where(none, 0, low), np.where(none, 0, high)
+
+
 FOUND = "doc_id long, rid long, begin long, windows long, wa long, wb long"
 _NAMES = ["doc_id", "rid", "begin", "windows", "wa", "wb"]
 
 
-def repeats(group: np.ndarray, doc: np.ndarray, begin: np.ndarray, hot: np.ndarray, data: np.ndarray, off: np.ndarray) -> tuple[list[np.ndarray], list[np.ndarray]]:
+def repeats(group: np.ndarray, anchor: np.ndarray, doc: np.ndarray, begin: np.ndarray, hot: np.ndarray, data: np.ndarray, off: np.ndarray) -> tuple[list[np.ndarray], list[np.ndarray]]:
     """Which windows of the segments of some whole groups start earlier elsewhere in their group.
 
     Returns (segment, first window, windows) of runs to remove, and (segment, window) of windows of hot groups that
@@ -165,8 +204,16 @@ def repeats(group: np.ndarray, doc: np.ndarray, begin: np.ndarray, hot: np.ndarr
     lone = np.flatnonzero((many[which] == 1) & hot)
     runs = [np.zeros((0, 3), np.int64)]
     left = [np.stack((np.repeat(lone, n := sizes[lone] - WIDTH + 1), np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)), 1)]
+    low, high = _sides(anchor, data, off, group) if mixed.size else (mixed, mixed)
+    if mixed.size:
+        # Windows of hot groups that no part of theirs shares still have to meet those of other parts.
+        for a, b in ((off[:-1][mixed], np.where(high[mixed] > 0, low[mixed] + WIDTH - 1, off[1:][mixed])), (np.where(high[mixed] > 0, high[mixed] - WIDTH + 1, off[1:][mixed]), off[1:][mixed])):
+            n = np.where(hot[mixed], np.maximum(b - a - WIDTH + 1, 0), 0)
+            left.append(np.stack((np.repeat(mixed, n), np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(a - off[:-1][mixed], n)), 1))
+        mixed = mixed[high[mixed] > 0]
     if mixed.size:
-        sequence, window, kind = _classes(data, off[mixed], sizes[mixed])
+        sequence, window, kind = _classes(data, low[mixed], (high - low)[mixed])
+        window = window + (low - off[:-1])[mixed][sequence]
         who = mixed[sequence]
         best = np.lexsort((begin[who] + window, doc[who], kind))
         head = np.ones(best.size, bool)
@@ -190,7 +237,7 @@ def _found(parts: list[tuple]) -> pa.RecordBatch:
     doc, rid, begin, hot = (np.concatenate([p[k] for p in parts]) for k in (1, 2, 3, 4))
     data = np.concatenate([p[5] for p in parts])
     off = np.concatenate(([0], np.cumsum(np.concatenate([p[6] for p in parts]))))
-    runs, left = repeats(group, doc, begin, hot, data, off)
+    runs, left = repeats(group, np.concatenate([p[7] for p in parts]), doc, begin, hot, data, off)
     runs, left = np.concatenate(runs), np.concatenate(left)
     at = off[left[:, 0]] + left[:, 1]
     wa = C.span_hashes(data, at, at + WIDTH)
@@ -224,7 +271,7 @@ def _sorted_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 continue
             if held and group[at] == parts[-1][0][-1]:  # the rest of an open group, whatever its size
                 end = at + int(np.argmax(np.append(group[at:] != group[at], True)))
-            parts.append((*(c[at:end] for c in columns), raw[off[at] : off[end]], np.diff(off[at : end + 1])))
+            parts.append((*(c[at:end] for c in columns), raw[off[at] : off[end]], np.diff(off[at : end + 1]), anchor[at:end]))
             held += int(off[end] - off[at])
             at = end
     if parts:
