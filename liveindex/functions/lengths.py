@@ -33,7 +33,8 @@ def pair_second(a: Column, b: Column, f: int | Column) -> Column:
 
 
 def pair_len(a: Column, b: Column, f: int | Column) -> Column:
-    return (vbyte_len(pair_fuse(a, b, f)) + F.coalesce(vbyte_len(pair_second(a, b, f)), F.lit(0))).cast("int")
+    f = F.lit(f) if isinstance(f, int) else f
+    return (vbyte_len(pair_fuse(a, b, f)) + F.when(b >= f, vbyte_len(b - f + 1)).otherwise(0)).cast("int")
 
 
 def tf_idf(f: Column, n: Column, ft: Column) -> Column:
