@@ -93,8 +93,8 @@ def curve(spark: SparkSession, rule: str, unit: int, h: int, payload: int, k: fl
         low, total = total + 1, total + size - h
         middle = (low + total) / 2
         over = z * h + total - middle
-        rows.append((rule, z, low, total, middle, over, round(over / middle, 6)))
-    return spark.createDataFrame(rows, "rule string, z long, lo_n long, hi_n long, mid_n double, overhead double, ratio double")
+        rows.append((rule, z, low, total, middle, over))
+    return spark.createDataFrame(rows, "rule string, z long, lo_n long, hi_n long, mid_n double, overhead double").withColumn("ratio", F.round(F.col("overhead") / F.col("mid_n"), 6))
 
 
 def best_block(n: Column, h: int) -> Column:

@@ -55,7 +55,7 @@ def packed(coll: str, level: str = "doc", unit: str = "64", f: int | None = None
     pick = "term, d, f AS x, g AS gap" if level == "doc" else "term, d, wg AS x, g1 - 1 AS gap"
     order = "d" if level == "doc" else "d, w"
     length = (lambda g: plen(g, "p.x", f)) if level == "doc" else (lambda g: plen("p.x", f"({g}) + 1", f))
-    cap = (lambda blk: f"(SELECT c.size FROM {caps} c WHERE c.blk = {blk})") if caps else (lambda blk: unit)
+    cap = (lambda blk: f"(SELECT list(size ORDER BY blk) FROM {caps})[{blk}]") if caps else (lambda blk: unit)
     extra, g_join, g_from = ("", "", "") if not groups else (f", {groups}", f", k.{groups}", f", g.{groups} AS {groups}")
     params = "" if not groups else f" CROSS JOIN params g"
     fits0 = f"{head} + strlen(p.term) + {length('p.gap')} <= {cap('1') if caps else (unit if not groups else 'g.' + groups)}"
