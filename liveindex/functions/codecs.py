@@ -1,7 +1,7 @@
 """Codecs in numpy: byte code, paired code, interpolative code, blocks of bit-packed integers.
 
-All work on whole arrays. A byte-code number ends with the byte whose top bit is set; numbers from 1 up never
-contain a zero byte, so a zero ends a block's payload.
+All work on whole arrays. A byte-code number ends with the byte whose top bit is set, so zeros that fill the rest of
+a block belong to no number.
 """
 
 from __future__ import annotations

@@ -1,8 +1,7 @@
 """Lengths of codes and weights as column expressions; they stay inside code generation.
 
 Byte code: seven bits a byte, low bits first, top bit on the last. Paired code of (a, b) with threshold F: one
-number (a - 1) * F + b if b < F, else the two numbers a * F and b - F + 1. The remainder by F tells the cases apart,
-and no code begins with a zero byte.
+number (a - 1) * F + b if b < F, else the two numbers a * F and b - F + 1. The remainder by F tells the cases apart.
 """
 
 from __future__ import annotations

@@ -54,7 +54,7 @@ class LiveIndex:
         out.close()
 
     def _write(self, blocks: DataFrame) -> str:
-        name = f"batch-{uuid.uuid4().hex}"
+        name = f"batch={uuid.uuid4().hex}"
         bucket = F.pmod(F.xxhash64("term"), F.lit(self.buckets)).cast("int")
         blocks.withColumn("term_bucket", bucket).repartition("term_bucket").sortWithinPartitions("term", "shard", "block_no").write.partitionBy("term_bucket").parquet(f"{self.path}/{name}")
         return name

@@ -20,7 +20,7 @@ numbers = st.lists(st.integers(1, 1 << 40), max_size=60)
 def test_byte_code_round_trip(x):
     data = codecs.vbyte_encode(np.array(x, np.int64))
     assert codecs.vbyte_decode(data).tolist() == x
-    assert (data != 0).all() and len(data) == codecs.vbyte_lens(np.array(x, np.int64)).sum()
+    assert codecs.vbyte_decode(np.append(data, np.zeros(5, np.uint8))).tolist() == x and len(data) == codecs.vbyte_lens(np.array(x, np.int64)).sum()
 
 
 @given(st.lists(st.tuples(st.integers(1, 1 << 30), st.integers(1, 300)), max_size=60), st.integers(1, 16))
@@ -30,7 +30,7 @@ def test_paired_code_round_trip(pairs, f):
     data = codecs.pair_encode(a, b, f)
     x, y = codecs.pair_decode(data, f)
     assert x.tolist() == a.tolist() and y.tolist() == b.tolist()
-    assert len(data) == codecs.pair_lens(a, b, f).sum() and (data != 0).all()
+    assert len(data) == codecs.pair_lens(a, b, f).sum()
 
 
 @given(st.sets(st.integers(1, 5000), max_size=150))
