@@ -148,6 +148,9 @@ LABELLED = [
     '<body><div style="display:none" data-y=0><p>{50}</p></div><article data-y=1><h1>{9}</h1><p>{1}</p><div hidden data-y=0>{20}</div><table><tr><td>{2}</td><td>{1}</td></tr></table><blockquote>{18}</blockquote></article><div data-y=0><a>{9}</a></div><div data-y=0><p>{45}</p></div>',
     '<body><div><p data-y=1>{90}</p></div><div data-y=0><ul><li><a>{4}</a></li><li><a>{5}</a></li><li><a>{6}</a></li></ul></div>',
     '<body><h1 data-y=1>{5}</h1><p data-y=1>{24}</p><h2 data-y=1>{3}</h2><p data-y=1>{31}</p><p data-y=0><a>{2}</a> {2}</p><div class=footer data-y=0>{12}</div>',
+    '<body><p data-y=1>{60}</p>',
+    '<body><p data-y=1>{48}</p><p data-y=1>{21}</p>',
+    '<body><div data-y=1>{34}</div>',
 ]
 
 
