@@ -6,22 +6,23 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from liveindex.functions import codecs
 from liveindex.operators import growth
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def vbyte_encode(lists: pd.Series) -> pd.Series:
     return lists.map(lambda x: None if x is None else codecs.vbyte_encode(np.asarray(x, np.int64)).tobytes())
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def vbyte_decode(data: pd.Series) -> pd.Series:
     return data.map(lambda x: None if x is None else codecs.vbyte_decode(np.frombuffer(x, np.uint8)))
 
 
-@F.udtf(returnType="z int, size bigint, payload bigint")
+@F.udtf(returnType=T.StructType([T.StructField("z", T.IntegerType()), T.StructField("size", T.LongType()), T.StructField("payload", T.LongType())]))
 class Growth:
     """growth(rule, B, h, blocks): sizes of the first blocks of a chain."""
 
