@@ -65,7 +65,7 @@ def compare(spark, sf_dir, coll: str):
 
 def _compare_sql(level: str, rule: str, b: int) -> str:
     head = 18 if rule == "constant" else 20
-    return (f"(WITH RECURSIVE {_sizes(rule, b, 4, 1000)}, caps AS MATERIALIZED (SELECT blk, size FROM seq_{rule}), {Q.packed('docs', level, head=head, caps='caps')}, "
+    return (f"(WITH RECURSIVE {_sizes(rule, b, 4, 1000)}, caps AS MATERIALIZED (SELECT blk, size FROM seq_{rule}), {Q.packed('docs', level, unit=str(b), head=head, caps='caps')}, "
             f"t AS (SELECT term, max(blk) AS z FROM pk GROUP BY term) SELECT '{level}' AS level, '{rule}' AS rule, {b}::BIGINT AS B, (sum(c.s) + 8 * count(*))::BIGINT AS total_bytes, round((sum(c.s) + 8 * count(*)) / (SELECT count(*) FROM pk), 6)::DOUBLE AS bytes_per_posting FROM t JOIN (SELECT blk, sum(size) OVER (ORDER BY blk) AS s FROM caps) c ON c.blk = t.z)")
 
 

@@ -49,17 +49,17 @@ def packed(coll: str, level: str = "doc", unit: str = "64", f: int | None = None
     """CTEs that end in pk(term, rn, blk, nx, first_d, base, d, x, l): greedy packing, one posting of each list a step.
 
     unit: block size, or a column of `groups` (a CTE of parameter rows) to pack once for each. caps: name of a CTE
-    (blk, size) of the sizes."""
+    (blk, size) of the sizes, whose first is unit."""
     f = f or (4 if level == "doc" else 3)
     source = post(coll) if level == "doc" else word(coll)
     pick = "term, d, f AS x, g AS gap" if level == "doc" else "term, d, wg AS x, g1 - 1 AS gap"
     order = "d" if level == "doc" else "d, w"
     length = (lambda g: plen(g, "p.x", f)) if level == "doc" else (lambda g: plen("p.x", f"({g}) + 1", f))
-    cap = (lambda blk: f"(SELECT list(size ORDER BY blk) FROM {caps})[{blk}]") if caps else (lambda blk: unit)
+    caps_join = f" JOIN {caps} c ON c.blk = k.blk" if caps else ""
     extra, g_join, g_from = ("", "", "") if not groups else (f", {groups}", f", k.{groups}", f", g.{groups} AS {groups}")
     params = "" if not groups else f" CROSS JOIN params g"
-    fits0 = f"{head} + strlen(p.term) + {length('p.gap')} <= {cap('1') if caps else (unit if not groups else 'g.' + groups)}"
-    limit = f"{cap('k.blk')}" if caps else (unit if not groups else "k." + groups)
+    fits0 = f"{head} + strlen(p.term) + {length('p.gap')} <= {unit if not groups else 'g.' + groups}"
+    limit = "c.size" if caps else (unit if not groups else "k." + groups)
     fits = f"k.nx + {length('p.gap')} <= {limit}"
     return f"""src AS MATERIALIZED (SELECT {pick}, row_number() OVER (PARTITION BY term ORDER BY {order}) AS rn FROM {source}),
 pk AS (
@@ -68,7 +68,7 @@ pk AS (
   UNION ALL
   SELECT p.term, p.rn, CASE WHEN {fits} THEN k.blk ELSE k.blk + 1 END, CASE WHEN {fits} THEN k.nx + {length('p.gap')} ELSE {h} + {length('p.d - k.first_d')} END,
     CASE WHEN {fits} THEN k.first_d ELSE p.d END, CASE WHEN {fits} THEN k.base ELSE k.first_d END, p.d, p.x, CASE WHEN {fits} THEN {length('p.gap')} ELSE {length('p.d - k.first_d')} END{g_join}
-  FROM pk k JOIN src p ON p.term = k.term AND p.rn = k.rn + 1)"""
+  FROM pk k JOIN src p ON p.term = k.term AND p.rn = k.rn + 1{caps_join})"""
 
 
 def blocks(unit: str = "64", head: int = 18, h: int = 4) -> str:
