@@ -149,6 +149,14 @@ def test_components(spark):
     assert {got[i] for i in range(13)} == {0} and {got[i] for i in range(13, 31)} == {13} and got[42] == 40 and 50 not in got
 
 
+def test_components_of_long_paths(spark):
+    n = 3000
+    order = np.random.default_rng(1).permutation(n).tolist()
+    links = [(i, i + 1) for i in range(n - 1)] + [(n + a, n + b) for a, b in zip(order[:-1], order[1:], strict=True)] + [(9000, 9001 + i) for i in range(50)] + [(9999, 9500 + i) for i in range(50)]
+    got = dict(map(tuple, graphs.components(spark.createDataFrame(links, "a long, b long")).collect()))
+    assert got == {i: 0 for i in range(n)} | {n + i: n for i in range(n)} | {9000 + i: 9000 for i in range(51)} | {9500 + i: 9500 for i in range(50)} | {9999: 9500}
+
+
 def test_leaks_exact_and_edited(spark, docs, empty):
     item = [f"q{k}" for k in range(40)]
     edited = list(item)
