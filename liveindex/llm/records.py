@@ -10,7 +10,6 @@ those of successful tasks: what a lost task left behind is never read.
 from __future__ import annotations
 
 import os
-import unicodedata
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -18,6 +17,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -88,22 +88,42 @@ def masked(crc: np.ndarray) -> np.ndarray:
     return ((turned + np.uint64(MASK_ADD)) & np.uint64(0xFFFFFFFF)).astype(np.uint32)
 
 
-@lru_cache(1)
-def _classes() -> np.ndarray:
-    """Of each code point: 0 white space, 1 letter, 2 number, 3 other."""
-    kind = {"L": 1, "N": 2}
-    out = np.array([kind.get(unicodedata.category(chr(c))[0], 3) for c in range(0x110000)], np.uint8)
-    out[[9, 10, 11, 12, 13, 32, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]] = 0
-    return out
+#: Classes of code points, and what stands for one that has not been asked for.
+SPACE, LETTER, NUMBER, OTHER, UNKNOWN = 0, 1, 2, 3, 255
+
+
+class Classes:
+    """Classes of code points as a pre-tokenizer of the library has them: asked for once, when first met.
+
+    The library's tables may be of another Unicode version than Python's."""
+
+    def __init__(self, pre_tokenizer) -> None:
+        self.library = pre_tokenizer
+        self.kind = np.full(0x110000, UNKNOWN, np.uint8)
+        self.kind[:128] = [SPACE if c in (9, 10, 11, 12, 13, 32) else LETTER if chr(c).isalpha() else NUMBER if chr(c).isdigit() else OTHER for c in range(128)]
+
+    def of(self, points: np.ndarray) -> np.ndarray:
+        kind = self.kind[points]
+        new = np.unique(points[kind == UNKNOWN])
+        for low in range(0, new.size, 1 << 14):
+            some = new[low : low + (1 << 14)]
+            # A letter stays with the a, a number with the 1, another sign with the !, and white space with none.
+            text = "".join(f"a{c}1{c}!" for c in map(chr, some.tolist()))
+            begins = np.zeros(5 * some.size, bool)
+            begins[[at for _, (at, _) in self.library.pre_tokenize_str(text)]] = True
+            begins = begins.reshape(-1, 5)
+            self.kind[some] = np.select([~begins[:, 1], ~begins[:, 2], ~begins[:, 4]], [LETTER, NUMBER, OTHER], SPACE)
+        return self.kind[points] if new.size else kind
 
 
-def pretokens(points: np.ndarray, cut: np.ndarray) -> np.ndarray:
-    """Where the pieces of byte-level pre-tokenisation begin. points: code points; cut: where texts begin.
+def pretokens(points: np.ndarray, kind: np.ndarray, cut: np.ndarray) -> np.ndarray:
+    """Where the pieces of byte-level pre-tokenisation begin. points: code points; kind: their classes; cut: where
+    texts begin.
 
     Pieces are runs of letters, of numbers or of other signs, each with one blank before it if there is one;
     white space up to the last character before such a piece; and the English endings that follow an apostrophe."""
     n = points.size
-    kind, start = _classes()[points], np.zeros(n + 1, bool)
+    start = np.zeros(n + 1, bool)
     begins = np.zeros(n + 1, bool)
     begins[cut] = True
     start[1:n] = kind[1:] != kind[:-1]
@@ -136,13 +156,16 @@ def _alphabet() -> dict[int, str]:
 class Encoder:
     """Encodes texts with a tokenizers file, each distinct pre-token once as long as it is remembered.
 
-    For byte-level BPE files without normaliser: there the ids of a text are those of its pre-tokens in turn."""
+    For byte-level BPE files without normaliser: there the ids of a text are those of its pre-tokens in turn, unless
+    it holds one of the file's added tokens. Such texts go to the library whole."""
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
 
         tokenizer = Tokenizer.from_file(path)
-        self.model, self.size = tokenizer.model, tokenizer.get_vocab_size()
+        self.library, self.model, self.size = tokenizer, tokenizer.model, tokenizer.get_vocab_size()
+        self.added = sorted({t.content for t in tokenizer.get_added_tokens_decoder().values()} - {""})
+        self.classes = Classes(tokenizer.pre_tokenizer)
         self.clear()
 
     def clear(self) -> None:
@@ -160,13 +183,20 @@ class Encoder:
 
     def encode(self, texts: pa.Array, end: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, each followed by the end id, and where each text's begin."""
+        holds = np.zeros(len(texts), bool)
+        for token in self.added:
+            holds |= pc.fill_null(pc.match_substring(texts, token), False).to_numpy(zero_copy_only=False)
+        whole = np.flatnonzero(holds)
+        by_library = [np.array(self.library.encode(texts[k].as_py(), add_special_tokens=False).ids, np.uint32) for k in whole.tolist()]
+        if whole.size:
+            texts = pc.if_else(pa.array(holds), pa.scalar("", texts.type), texts)
         raw, off = C.flat(texts)
         text = raw.tobytes().decode()
         points = np.frombuffer(text.encode("utf-32-le"), np.uint32)
         lead = np.zeros(raw.size + 1, np.int64)
         np.cumsum((raw & 0xC0) != 0x80, out=lead[1:])
         cut = lead[off]
-        starts = pretokens(points, cut)
+        starts = pretokens(points, self.classes.of(points), cut)
         ends = np.append(starts[1:], points.size)[: starts.size]
         total = np.zeros(points.size + 1, np.uint64)
         np.cumsum(C.mix(points.astype(np.uint64) + np.uint64(1)) * C.powers(C._BASE, points.size), out=total[1:])
@@ -184,6 +214,11 @@ class Encoder:
         run = np.concatenate(([0], np.cumsum(count)))
         ids = self.pool[np.repeat(begin - run[:-1], count) + np.arange(run[-1])]
         stop = run[np.searchsorted(starts, cut)]
+        if whole.size:
+            sizes = np.zeros(len(off), np.int64)
+            sizes[whole + 1] = [len(x) for x in by_library]
+            ids = np.insert(ids, np.repeat(stop[whole], sizes[whole + 1]), np.concatenate(by_library))
+            stop = stop + np.cumsum(sizes)
         return np.insert(ids, stop[1:], end), stop + np.arange(len(off))
 
 

@@ -266,6 +266,23 @@ def test_token_records_round_trip(spark, docs, empty, tmp_path):
         list(records.frames(file["path"], file["width"]))
 
 
+def test_encoder_equals_the_library():
+    P = pytest.importorskip("public_tokenizers")
+    from tokenizers import Tokenizer
+
+    path = P.path("byte_bpe_50k.json")
+    tokenizer, encoder = Tokenizer.from_file(path), records.Encoder(path)
+    rng = np.random.default_rng(3)
+    every = [chr(c) for c in range(0x80, 0x20000) if not 0xD800 <= c < 0xE000]
+    texts = ["a<|endoftext|>b", "<|endoftext|>", "", None, " x  <|endoftext|> <|endoftext|>y's", "plain", "<|endoftext|", "\u1c89a \ua7cb1 \U000105c0!"]
+    texts += ["".join(f"a{c}1{c}! {c}" for c in every[k : k + 512]) for k in range(0, len(every), 512)]
+    signs = ["a", "'", "s", "1", " ", "\n", "!", "\u00a0", "\u0085", "\u180e", "\u200b", "\u3000", "\u1c89", "\u00b2", "\U0001e5f0", "<|endoftext|>"]
+    texts += ["".join(rng.choice(signs, 30)) for _ in range(500)]
+    ids, first = encoder.encode(pa.array(texts), 7)
+    for t, a, b in zip(texts, first[:-1], first[1:], strict=True):
+        assert ids[a:b].tolist() == tokenizer.encode(t or "", add_special_tokens=False).ids + [7]
+
+
 def test_checksum():
     data = np.frombuffer(b"123456789" + bytes(200), np.uint8)
     assert records.crc32c(data, np.array([0, 0]), np.array([9, 0])).tolist() == [0xE3069283, 0]
