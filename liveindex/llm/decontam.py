@@ -1,12 +1,13 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment of words.
+"""Benchmark decontamination: rare words of an item as seeds, then Smith-Waterman alignment of words.
 
-Runs of SEED words that an item and a document share are seeds. A pass over the documents keeps, around each seed,
-the word hashes of a passage long enough for the longest item; how many documents hold a seed then tells which of
-an item's seeds are rare; only those bring an item to a passage, where a local alignment of the two word sequences
-scores copies with words changed, added or left out.
+A passage that scores at least `least` has at least that share of the item's words in place, and bounds how many
+others may lie between them. So of an item's words the most frequent half of that share can be left out, and the
+other half must still be met within a bounded window of a document. Such windows that hold the whole share in the
+item's order, and no others, are aligned, where a local alignment of the two word sequences scores copies with words changed, added or left out. No passage that
+reaches `least` is lost this way, however its changes lie.
 
-The items are a stated set that all documents are held against, in blocks of BLOCK_SEEDS seeds: a block's seeds and
-words travel with the tasks, and their size has that bound. A document's share of the work depends on its own text.
+The items are a stated set that all documents are held against, in blocks of BLOCK_WORDS words: a block's words
+travel with the tasks, and their size has that bound. A document's share of the work depends on its own text.
 """
 
 from __future__ import annotations
@@ -22,9 +23,8 @@ from pyspark.sql import types as T
 from liveindex.llm import common as C
 from liveindex.llm.licences import INSIDE
 
-#: Words of a seed; seeds of a block of items; documents that a seed may be in and still count as rare whatever
-#: the item's other seeds are.
-SEED, BLOCK_SEEDS, RARE = 4, 1_000_000, 10
+#: Fewest words of an item; words of a block of items.
+LEAST_WORDS, BLOCK_WORDS = 4, 1_000_000
 #: Alignment: gain of an equal word, loss of a changed one and of one too many; share of the best score an item can
 #: have from which a passage counts as a copy.
 MATCH, CHANGED, GAP, LEAST_SCORE = 2, -1, -1, 0.5
@@ -38,11 +38,6 @@ def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return C.span_hashes(raw, starts, ends), first
 
 
-def seeds_of(words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Seeds and where each begins; a text of fewer than SEED words has none."""
-    return C.grams(words, first, SEED)
-
-
 def align(item: np.ndarray, passage: np.ndarray) -> tuple[float, int, int]:
     """Best local alignment as a share of the item's own score, and the passage words it begins and ends at.
 
@@ -70,50 +65,105 @@ def align(item: np.ndarray, passage: np.ndarray) -> tuple[float, int, int]:
     return best / (MATCH * item.size), *where
 
 
-PASSAGE = "doc_id long, at long, words binary, seeds array<long>"
-LEAK = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("item_id", T.LongType()), T.StructField("score", T.DoubleType()), T.StructField("first_word", T.LongType()), T.StructField("end_word", T.LongType())])
+LEAK = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("number", T.LongType()), T.StructField("score", T.DoubleType()), T.StructField("first_word", T.LongType()), T.StructField("end_word", T.LongType())])
 
 
-def _passages(wanted: np.ndarray, reach: int):
+def _counted(wanted: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        times = np.zeros(wanted.size, np.int64)
         for batch in batches:
             for part in C.pieces(batch, "text"):
-                words, first = word_hashes(part.column("text"))
-                seeds, at = seeds_of(words, first)
-                if not seeds.size or not wanted.size:
-                    continue
-                hit = wanted[np.minimum(np.searchsorted(wanted, seeds), wanted.size - 1)] == seeds
-                seeds, at = seeds[hit], at[hit]
-                if not at.size:
-                    continue
-                doc = np.searchsorted(first, at, side="right") - 1
-                low, high = np.maximum(at - reach, first[doc]), np.minimum(at + SEED + reach, first[doc + 1])
-                # Passages of one document that meet become one; `at` ascends and so do both ends.
-                new = np.ones(at.size, bool)
-                new[1:] = (doc[1:] != doc[:-1]) | (low[1:] > high[:-1])
-                heads = np.flatnonzero(new)
-                tails = np.append(heads[1:], at.size)
-                begin, end = low[heads], high[tails - 1]
-                yield pa.RecordBatch.from_arrays([
-                    part.column("doc_id").cast(pa.int64()).take(pa.array(doc[heads])), pa.array(begin - first[doc[heads]]),
-                    pa.array([words[b:e].tobytes() for b, e in zip(begin, end, strict=True)], pa.binary()),
-                    pa.ListArray.from_arrays(pa.array(np.append(heads, at.size), pa.int32()), pa.array(C.signed(seeds)))], names=["doc_id", "at", "words", "seeds"])
+                words, _ = word_hashes(part.column("text"))
+                at = np.minimum(np.searchsorted(wanted, words), wanted.size - 1)
+                times += np.bincount(at[wanted[at] == words], minlength=wanted.size)
+        some = np.flatnonzero(times)
+        yield pa.RecordBatch.from_arrays([pa.array(C.signed(wanted[some])), pa.array(times[some])], names=["word", "times"])
 
     return run
 
 
-def _aligned(rare: dict[int, list[int]], items: dict[int, np.ndarray], least: float):
+def seeds(item: np.ndarray, times: dict[int, int], least: float) -> tuple[list[int], int, int]:
+    """Words of an item to look for, how many places of a passage must hold one, and within how many words.
+
+    With m words in place and e changed, added or left out, 2 m - e >= 2 least n, so that m is at least least * n and
+    the passage has m + e words at most, which is at most n + 2 n (1 - least)."""
+    need = max(1, int(np.ceil(least * item.size - 1e-9)))
+    words, count = np.unique(item, return_counts=True)
+    order = sorted(range(words.size), key=lambda k: (-times.get(int(words[k]), 0), int(words[k])))
+    spare = dropped = 0
+    while dropped < len(order) and spare + count[order[dropped]] <= need // 2:
+        spare += int(count[order[dropped]])
+        dropped += 1
+    return [int(words[k]) for k in order[dropped:]], need - spare, int(np.ceil(item.size + 2 * item.size * (1 - least)))
+
+
+def windows(words: np.ndarray, first: np.ndarray, vocabulary: np.ndarray, begins: np.ndarray, held: np.ndarray, need: np.ndarray, width: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
+    """(document, item, begin, end) of passages to align: all that hold enough seeds of the item close together.
+
+    held[begins[v] : begins[v + 1]] are the items that the word vocabulary[v] is a seed of. The passage reaches a
+    window beyond the seeds on either side; those of one document and item that meet are one."""
+    at = np.minimum(np.searchsorted(vocabulary, words), vocabulary.size - 1)
+    place = np.flatnonzero(vocabulary[at] == words)
+    many = (begins[1:] - begins[:-1])[at[place]]
+    run = np.concatenate(([0], np.cumsum(many)))
+    item = held[np.repeat(begins[at[place]] - run[:-1], many) + np.arange(run[-1])]
+    place = np.repeat(place, many)
+    doc = np.searchsorted(first, place, side="right") - 1
+    order = np.lexsort((place, item, doc))
+    doc, item, place = doc[order], item[order], place[order]
+    last = np.arange(place.size) + need[item] - 1
+    inside = last < place.size
+    end = np.minimum(last, max(0, place.size - 1))
+    good = np.flatnonzero(inside & (doc[end] == doc) & (item[end] == item) & (place[end] - place < width[item]))
+    low = np.maximum(place[good] - width[item[good]], first[doc[good]])
+    high = np.minimum(place[end[good]] + 1 + width[item[good]], first[doc[good] + 1])
+    new = np.ones(good.size, bool)
+    new[1:] = (doc[good][1:] != doc[good][:-1]) | (item[good][1:] != item[good][:-1]) | (low[1:] > high[:-1])
+    heads = np.flatnonzero(new)
+    tails = np.append(heads[1:], good.size) - 1
+    for h, t in zip(heads.tolist(), tails[: heads.size].tolist(), strict=True):
+        yield int(doc[good[h]]), int(item[good[h]]), int(low[h]), int(high[t])
+
+
+def places(item: np.ndarray) -> dict[int, int]:
+    """Of each word of an item, a bit for each place that holds it."""
+    out: dict[int, int] = {}
+    for k, word in enumerate(item.tolist()):
+        out[word] = out.get(word, 0) | 1 << k
+    return out
+
+
+def in_order(item: dict[int, int], n: int, passage: np.ndarray) -> int:
+    """Most words of an item of n words that a passage has in the item's order, whatever lies between them."""
+    free = every = (1 << n) - 1
+    for here in filter(None, map(item.get, passage.tolist())):
+        met = free & here
+        free = ((free + met) | (free - met)) & every
+    return n - free.bit_count()
+
+
+def _aligned(numbers: list[int], items: list[np.ndarray], times: dict[int, int], least: float):
+    found = [seeds(i, times, least) for i in items]
+    pairs = np.array(sorted((w, k) for k, f in enumerate(found) for w in f[0]), np.uint64).reshape(-1, 2)
+    vocabulary, begins = np.unique(pairs[:, 0], return_index=True)
+    begins, held = np.append(begins, len(pairs)), pairs[:, 1].astype(np.int64)
+    need, width = np.array([f[1] for f in found]), np.array([f[2] for f in found])
+    placed, full = [places(i) for i in items], [max(1, int(np.ceil(least * i.size - 1e-9))) for i in items]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[tuple] = []
-            for row in batch.to_pylist():
-                passage = np.frombuffer(row["words"], np.uint64)
-                for item in sorted({i for s in set(row["seeds"]) for i in rare.get(s, ())}):
-                    score, begin, end = align(items[item], passage)
+            for part in C.pieces(batch, "text", 1 << 19):
+                words, first = word_hashes(part.column("text"))
+                names, out = part.column("doc_id").cast(pa.int64()).to_pylist(), []
+                for doc, item, low, high in windows(words, first, vocabulary, begins, held, need, width):
+                    if in_order(placed[item], items[item].size, words[low:high]) < full[item]:
+                        continue
+                    score, begin, end = align(items[item], words[low:high])
                     if score >= least:
-                        out.append((row["doc_id"], item, score, row["at"] + begin, row["at"] + end))
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c) if k else pa.array(c, pa.int64()) for k, c in enumerate(zip(*out, strict=True))], names=LEAK.names)
+                        start = low - int(first[doc])
+                        out.append((names[doc], numbers[item], score, start + begin, start + end))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, f) for c, f in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64()), strict=True)], names=LEAK.names)
 
     return run
 
@@ -122,47 +172,39 @@ def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc_id: str
     """(doc_id, item_id, score, first_word, end_word): documents that hold a copy of an item, exact or edited.
 
     score is the alignment's share of a perfect one, at least `least`; words count from 0 in the document. A pair
-    has one row, its best. Null and empty texts and items of fewer than SEED words have no seeds and so no rows.
+    has one row, its best. Null and empty texts and items of fewer than LEAST_WORDS words have no rows. Rows of one
+    item_id are passages of one item, each looked for; items without item_id are reported with a null one.
     Repeated rows of a document give one row a pair; documents without doc_id are reported with a null one. Empty
     tables give an empty result; other columns play no part.
     """
     spark = docs.sparkSession
     rows, items = C.narrow(docs, doc_id=doc_id, text=text), C.narrow(benchmark, item_id=item_id, text=item_text)
 
-    def seeded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             words, first = word_hashes(batch.column("text"))
-            seeds, at = seeds_of(words, first)
-            which = np.searchsorted(first, at, side="right") - 1
-            yield pa.RecordBatch.from_arrays([
-                batch.column("item_id").cast(pa.int64()), pa.array([words[a:b].tobytes() for a, b in zip(first[:-1], first[1:], strict=True)], pa.binary()),
-                pa.ListArray.from_arrays(pa.array(np.searchsorted(which, np.arange(len(first))), pa.int32()), pa.array(C.signed(seeds)))], names=["item_id", "words", "seeds"])
-
-    bench = C.saved(items.where("item_id is not null").mapInArrow(seeded, "item_id long, words binary, seeds array<long>"), "bench-items")
-    size = bench.agg(F.coalesce(F.sum(F.size("seeds") + F.length("words") / 8), F.lit(0)).alias("n")).first()["n"]
-    blocks = max(1, int(-(-size // (2 * BLOCK_SEEDS))))
+            yield pa.RecordBatch.from_arrays([batch.column("number"), batch.column("item_id").cast(pa.int64()), pa.array([words[a:b].tobytes() for a, b in zip(first[:-1], first[1:], strict=True)], pa.binary())], names=["number", "item_id", "words"])
+
+    # Each row has a number of its own: item_id may be null or name several passages.
+    numbered = items.select(F.monotonically_increasing_id().alias("number"), "item_id", "text")
+    bench = C.saved(numbered.mapInArrow(hashed, "number long, item_id long, words binary").where(F.length("words") >= 8 * LEAST_WORDS), "bench-items")
+    size = bench.agg(F.coalesce(F.sum(F.length("words") / 8), F.lit(0)).alias("n")).first()["n"]
+    blocks = max(1, int(-(-size // BLOCK_WORDS)))
     found = []
     for block in range(blocks):
-        mine = bench.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == block).where(F.size("seeds") > 0).collect()
+        mine = bench.where(F.pmod(F.xxhash64("number"), F.lit(blocks)) == block).select("number", "words").collect()
         if not mine:
             continue
-        sequences = {r["item_id"]: np.frombuffer(r["words"], np.uint64) for r in mine}
-        seeds = np.unique(np.concatenate([np.array(r["seeds"], np.int64).view(np.uint64) for r in mine]))
-        reach = max(s.size for s in sequences.values()) * 3 // 2
-        passages = C.saved(rows.mapInArrow(_passages(seeds, reach), PASSAGE), "passages")
-        spread = dict(map(tuple, passages.select("doc_id", F.explode("seeds").alias("s")).distinct().groupBy("s").count().collect()))
-        rare: dict[int, list[int]] = {}
-        for r in mine:
-            counts = sorted(spread.get(s, 0) for s in set(r["seeds"]))
-            limit = max(RARE, counts[3 * len(counts) // 4])
-            for s in set(r["seeds"]):
-                if spread.get(s, 0) <= limit:
-                    rare.setdefault(s, []).append(r["item_id"])
-        found.append(passages.mapInArrow(_aligned(rare, sequences, least), LEAK))
+        sequences = [np.frombuffer(r["words"], np.uint64) for r in mine]
+        counts = rows.mapInArrow(_counted(np.unique(np.concatenate(sequences))), "word long, times long").groupBy("word").agg(F.sum("times")).collect()
+        times = {w & ((1 << 64) - 1): n for w, n in map(tuple, counts)}
+        found.append(rows.mapInArrow(_aligned([r["number"] for r in mine], sequences, times, least), LEAK))
+    named = T.StructType([LEAK[0], T.StructField("item_id", T.LongType()), *LEAK.fields[2:]])
     if not found:
-        return spark.createDataFrame([], LEAK)
+        return spark.createDataFrame([], named)
     out = found[0]
     for more in found[1:]:
         out = out.unionAll(more)
     best = F.max_by(F.struct("score", "first_word", "end_word"), F.struct("score", -F.col("first_word"))).alias("best")
+    out = C.saved(out, "leaks").join(bench.select("number", "item_id"), "number")
     return out.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "best.score", "best.first_word", "best.end_word")

@@ -170,6 +170,31 @@ def test_leaks_exact_and_edited(spark, docs, empty):
     assert decontam.leaks(docs, bench).count() == 0 and decontam.leaks(empty, bench).count() == 0 and decontam.leaks(docs, bench.limit(0)).count() == 0
 
 
+def test_leaks_of_shared_and_missing_ids_and_dense_edits(spark):
+    texts = {k: [f"{k}{i}" for i in range(16)] for k in "abcde"}
+    bench = [(1, " ".join(texts["a"])), (1, " ".join(texts["b"])), (None, " ".join(texts["c"])), (2, " ".join(texts["d"])), (3, " ".join(texts["e"]))]
+    fourth = [w if i % 4 != 3 else f"new{i}" for i, w in enumerate(texts["d"])]  # no run of four words is left
+    spaced = [x for w in texts["e"] for x in (w, "and")]  # every word apart from the next: just enough
+    docs = [(k, "noise " * 9 + " ".join(t) + " tail" * 9) for k, t in enumerate([texts["a"], texts["b"], texts["c"], fourth, spaced, texts["d"][:7]])]
+    got = {(r["doc_id"], r["item_id"]): r["score"] for r in decontam.leaks(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(bench, "item_id long, text string")).collect()}
+    assert set(got) == {(0, 1), (1, 1), (2, None), (3, 2), (4, 3)} and got[3, 2] >= 0.625 and got[4, 3] == 17 / 32
+
+
+def test_windows_lose_no_passage():
+    rng = np.random.default_rng(12)
+    for least in (0.5, 0.7):
+        for _ in range(150):
+            item, doc = rng.integers(0, 12, rng.integers(4, 14)).astype(np.uint64), rng.integers(0, 20, rng.integers(5, 90)).astype(np.uint64)
+            words, need, width = decontam.seeds(item, {k: 20 - k for k in range(12)}, least)
+            vocabulary = np.unique(np.array(words, np.uint64))
+            k = np.arange(vocabulary.size + 1)
+            passages = list(decontam.windows(doc, np.array([0, doc.size]), vocabulary, k, np.zeros(vocabulary.size, np.int64), np.array([need]), np.array([width])))
+            whole = decontam.align(item, doc)[0]
+            full = int(np.ceil(least * item.size - 1e-9))
+            best = max((decontam.align(item, doc[a:b])[0] for _, _, a, b in passages if decontam.in_order(decontam.places(item), item.size, doc[a:b]) >= full), default=0.0)
+            assert best == whole or (whole < least and best < least)
+
+
 def test_alignment_against_full_matrix():
     rng = np.random.default_rng(4)
     for _ in range(30):
