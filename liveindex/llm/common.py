@@ -1,7 +1,8 @@
 """What the operators share: scratch tables, slices of Arrow batches, words and their hashes.
 
 Scratch tables go below spark.checkpoint.dir, the folder that the whole cluster sees; a folder of our own is
-set only where the session has none (tests on one machine).
+set only where the session has none and runs in one process (tests). Tables made inside `scope` go with it, others
+when the interpreter ends, as a result may still be read from them.
 """
 
 from __future__ import annotations
@@ -10,11 +11,13 @@ import atexit
 import re
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: The white space of the word rule, and the rule itself for Spark's regular expressions.
@@ -34,6 +37,8 @@ def scratch_dir(spark: SparkSession, name: str) -> str:
     """A new path below the cluster's shared checkpoint folder."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the whole cluster sees")
         base = tempfile.mkdtemp(prefix="liveindex-")
         spark.sparkContext.setCheckpointDir(base)
     if not _made:
@@ -55,6 +60,33 @@ def _sweep() -> None:
             return
 
 
+@contextmanager
+def scope(spark: SparkSession) -> Iterator[None]:
+    """Removes at its end the scratch tables made inside, but for those kept by `keep`."""
+    before = {p for _, p in _made}
+    try:
+        yield
+    finally:
+        for item in [m for m in _made if m[1] not in before and m[1] not in _kept]:
+            remove(*item)
+            _made.remove(item)
+
+
+_kept: set[str] = set()
+
+
+def keep(df: DataFrame) -> DataFrame:
+    """A saved table that outlives the scope it was made in."""
+    _kept.add(df.scratch_path)
+    return df
+
+
+def drop(*tables: DataFrame) -> None:
+    """Removes saved tables that nothing will read again."""
+    for t in tables:
+        remove(t.sparkSession, t.scratch_path)
+
+
 def saved(df: DataFrame, name: str) -> DataFrame:
     """df written once to the shared folder and read back: lineage ends here and lost executors cost nothing."""
     spark = df.sparkSession
@@ -65,6 +97,17 @@ def saved(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def numbered(df: DataFrame, *order: str, into: str) -> DataFrame:
+    """df with numbers from 0 in the order of some columns, without a single-task window: rows are written in range
+    partitions, whose numbers are written with them, and a running sum over their counts, one row each, gives the offsets."""
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranged = saved(df.repartitionByRange(parts, *order).withColumn("_range", F.spark_partition_id()), "ranged")
+    ahead = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = ranged.groupBy("_range").agg(F.count("*").alias("_n")).select("_range", F.coalesce(F.sum("_n").over(ahead), F.lit(0)).alias("_offset"))
+    inside = F.row_number().over(Window.partitionBy("_range").orderBy(*order)) - 1
+    return ranged.withColumn("_at", inside).join(F.broadcast(offsets), "_range").withColumn(into, (F.col("_at") + F.col("_offset")).cast("long")).drop("_range", "_offset", *(["_at"] if into != "_at" else []))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -5,17 +5,21 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from liveindex.llm.common import saved
+from liveindex.llm.common import drop, saved
 
 
 def _roots(hook: DataFrame) -> DataFrame:
     """hook(node, to) with `to` followed to its end, where a node points to itself; each pass doubles the way gone."""
+    last = None
     while True:
         ahead = hook.select(F.col("node").alias("to"), F.col("to").alias("next"))
         gone = saved(hook.join(ahead, "to").select("node", F.col("next").alias("to"), (F.col("next") != F.col("to")).alias("moved")), "hooks")
         if gone.where("moved").isEmpty():
+            drop(gone)
             return hook
-        hook = gone.select("node", "to")
+        if last is not None:
+            drop(last)
+        hook, last = gone.select("node", "to"), gone
 
 
 def components(links: DataFrame) -> DataFrame:

@@ -85,24 +85,55 @@ def test_shards_cut_by_bytes(spark, docs, empty):
     assert shards.shard_by_bytes(empty).count() == 0 and shards.shard_by_bytes(docs).count() == len(DOCS)
 
 
+def balanced_by_bisection(sizes, goal, most=2.0):
+    """Rates of largest entropy that sum to the goal, found apart from the operator: bisection on the tilt."""
+    x = np.array(sizes, float)
+    mean, lo, hi = x.mean(), -60.0, 60.0
+    rate = lambda a: np.minimum(most, np.exp(np.minimum(a * x / mean, np.log(most))))
+    for _ in range(200):
+        mid = (lo + hi) / 2
+        lo, hi = (mid, hi) if (rate(mid) * x).sum() < goal else (lo, mid)
+    return rate((lo + hi) / 2)
+
+
 def test_mixing_meets_targets(spark, empty):
     rng = np.random.default_rng(5)
     rows = [(i, "abc"[min(2, i % 7)] if i % 11 else None, int(x)) for i, x in enumerate(rng.pareto(1.5, 4000) * 50)]
     df = spark.createDataFrame(rows, "doc_id long, source string, size long")
     out = mixing.mix_sources(df).collect()
-    taken, target, have = collections.Counter(), {}, collections.Counter()
+    by = collections.defaultdict(list)
     for r in out:
-        assert 0 <= r["copies"] <= 2
-        taken[r["source"]] += r["copies"] * r["size"]
-        have[r["source"]] += r["size"]
-        target[r["source"]] = r["target"]
+        assert r["copies"] in (int(np.floor(r["rate"] + 1e-9)), int(np.ceil(r["rate"] - 1e-9))) and 0 <= r["copies"] <= 2
+        by[r["source"]].append(r)
     assert len(out) == len(rows)
-    assert all(abs(taken[k] - target[k]) < 0.005 * target[k] + 5 and target[k] <= 2 * have[k] + 1e-6 for k in target)
-    assert mixing.targets({"+a": 100, "+b": 100, "-": 1000}) == {"+a": 200, "+b": 200, "-": 1400}
-    assert sorted(map(tuple, mixing.mix_sources(df).select("doc_id", "copies").collect())) == sorted((r["doc_id"], r["copies"]) for r in out)
+    for some in by.values():
+        sizes, goal = [r["size"] for r in some], some[0]["target"]
+        assert abs(sum(r["copies"] * r["size"] for r in some) - goal) <= 0.5 * max(sizes) + 1 and goal <= 2 * sum(sizes) + 1e-6
+        if goal < 2 * sum(sizes) - 1:
+            want = balanced_by_bisection(sizes, goal)
+            assert all(abs(r["rate"] - w) < 1e-6 for r, w in zip(some, want, strict=True) if r["size"])
+    assert sorted(map(tuple, mixing.mix_sources(df.repartition(3)).select("doc_id", "copies").collect())) == sorted((r["doc_id"], r["copies"]) for r in out)
     assert mixing.mix_sources(empty).count() == 0
 
 
+def test_targets_by_weight(spark):
+    def wanted(sizes):
+        rows = spark.createDataFrame([(k, s, 1) for k, s in sizes.items()], "key string, words long, docs long")
+        return {r["key"]: round(r["target"], 9) for r in mixing.targets(rows).collect()}
+
+    assert wanted({"+a": 100, "+b": 100, "-": 1000}) == {"+a": 200, "+b": 200, "-": 1400}
+    assert wanted({"+a": 0, "-": 0}) == {"+a": 0, "-": 0}
+    many = wanted({f"+{k:06d}": 10 + k % 7 for k in range(5000)})
+    assert len(many) == 5000 and abs(sum(many.values()) - 1.5 * sum(10 + k % 7 for k in range(5000))) < 1e-3
+
+
+def test_mixing_of_a_hot_repeated_document(spark):
+    rows = [(None, "a", 5)] * 30000 + [(7, "a", 5)] * 9000 + [(i, "b", 9) for i in range(200)]
+    df = spark.createDataFrame(rows, "doc_id long, source string, size long").repartition(5)
+    out = mixing.mix_sources(df).groupBy("source").agg(F.count("*").alias("n"), F.sum(F.col("copies") * F.col("size")).alias("w"), F.first("target").alias("t")).collect()
+    assert {r["source"]: r["n"] for r in out} == {"a": 39000, "b": 200} and all(abs(r["w"] - r["t"]) <= 5 for r in out)
+
+
 def jaccard_components(texts, width, percent):
     sets = {}
     for d, t in texts:
