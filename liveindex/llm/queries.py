@@ -33,7 +33,7 @@ def op2_repetition(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = narrow(table(spark, sf_dir, "documents"), doc_id="doc_id", text="text")
     crc = F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("text_crc32")
-    digest = saved(shards.keyed(docs).select("doc_id", "_hash", "_tie", "size", crc), "shard-keys")
+    digest = saved(shards.keyed(docs).select("doc_id", *shards.KEY, "size", crc), "shard-keys")
     out = shards.shard_by_bytes(digest, digest=digest)
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 

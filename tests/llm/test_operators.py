@@ -72,19 +72,40 @@ def test_repetition(docs, empty):
     assert quality.repetition(empty).count() == 0
 
 
-def test_shards_cut_by_bytes(spark, docs, empty):
-    rows = [(i % 50, f"text {i % 3}" * (i % 40), i) for i in range(3000)]
-    df = spark.createDataFrame(rows, "doc_id long, text string, Shard int")
-    out = shards.shard_by_bytes(df).collect()
+def laws_of_shards(out, n, shards=16):
     by = collections.defaultdict(list)
     for r in out:
         by[r["shard"]].append(r)
-    sizes = [sum(r["size"] for r in v) for v in by.values()]
-    assert len(out) == 3000 and len(by) == 16 and max(sizes) - min(sizes) <= 2 * max(r["size"] for r in out)
+    assert len(out) == n and set(by) <= set(range(shards))
     assert all(sorted(r["slot"] for r in v) == list(range(len(v))) for v in by.values())
+    sizes = [sum(r["size"] for r in by[s]) for s in range(shards)]
+    return max(sizes) - min(sizes), sum(sizes) / shards
+
+
+def test_shards_cut_by_bytes(spark, docs, empty, tmp_path):
+    rows = [(i % 50, f"text {i % 3}" * (i % 40), i, i) for i in range(3000)] + [(None, None, 1, 1)] * 2000 + [(5, "long " * 900, 1, 1)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, Shard int, _hash int").repartition(4)
+    df.write.parquet(str(tmp_path / "t"))
+    out = shards.shard_by_bytes(spark.read.parquet(str(tmp_path / "t")))
+    assert out.columns == ["doc_id", "text", "_hash", "size", "shard", "slot"]
+    out = out.collect()
+    assert all(r["size"] == len((r["text"] or "").encode()) + 1 for r in out)
+    gap, mean = laws_of_shards(out, len(rows))
+    assert gap <= 0.05 * mean + 10
+    assert sorted((r["doc_id"] is None, r["doc_id"] or 0, r["text"] or "", r["_hash"]) for r in out) == sorted((d is None, d or 0, t or "", h) for d, t, _, h in rows)
     assert shards.shard_by_bytes(empty).count() == 0 and shards.shard_by_bytes(docs).count() == len(DOCS)
 
 
+def test_overfull_ranges_are_subdivided(spark, monkeypatch):
+    df = shards.keyed(spark.createDataFrame([(i, f"t{i}") for i in range(4000)], "doc_id long, text string"))
+    few = sorted(map(tuple, df.select(*shards.KEY).collect()))[:1]
+    was = shards.splitters
+    monkeypatch.setattr(shards, "splitters", lambda rows, ranges, total, salt=77: few if salt == 77 else was(rows, ranges, total, salt))
+    cuts = shards._cut(df, 4, 16, df.agg(F.sum("size")).first()[0])
+    sizes = [r["count"] for r in df.withColumn("r", shards.range_of(cuts)).groupBy("r").count().collect()]
+    assert max(sizes) < 1000 and sum(sizes) == 4000
+
+
 def balanced_by_bisection(sizes, goal, most=2.0):
     """Rates of largest entropy that sum to the goal, found apart from the operator: bisection on the tilt."""
     x = np.array(sizes, float)
