@@ -24,6 +24,8 @@ from liveindex.llm.common import numbered, saved
 WEIGHTS = (5.0, 2.0, 1.0)
 #: Documents of one source and size in a bucket, about.
 BUCKET_ROWS = 4096
+#: Columns that the result has, and those at work.
+ADDED = ("source_size", "target", "rate", "copies", "_key", "_words", "_row", "_hash", "_bucket", "_part", "_buckets", "_parts", "_low", "_raised", "_before", "_n", "_left")
 
 
 def source_key(column: str) -> Column:
@@ -86,11 +88,9 @@ def mix_sources(df: DataFrame, source: str = "source", size: str = "size", doc_i
     size: words of the document, null or negative counts as 0; such rows get one copy, as they weigh nothing.
     Null is a source of its own. Repeated rows are documents of their own, and rows that share doc_id, source and size
     are told apart by their place in the table alone, so df should be a stored table. An empty table gives an empty
-    result. Columns of df named like an added one, or like those at work (_key, _words, _row, _hash, _bucket), are
-    replaced.
+    result. Columns of df named like one of ADDED are replaced.
     """
-    added = ("source_size", "target", "rate", "copies", "_key", "_words", "_row", "_hash", "_bucket", "_part", "_buckets", "_parts", "_low", "_raised", "_before", "_n")
-    df = df.drop(*[c for c in df.columns if c.lower() in added and c not in (source, size, doc_id)])
+    df = df.drop(*[c for c in df.columns if c.lower() in ADDED and c not in (source, size, doc_id)])
     rows = df.withColumns({"_key": source_key(source), "_words": F.greatest(F.coalesce(F.col(size), F.lit(0)), F.lit(0)).cast("long"), "_row": F.monotonically_increasing_id(), "_hash": F.xxhash64(F.col(doc_id))})
     histogram = saved(rows.groupBy(F.col("_key").alias("key"), F.col("_words").alias("size")).agg(F.count("*").alias("n")), "mixing-sizes")
     sources = saved(histogram.groupBy("key").agg(F.sum(F.col("n") * F.col("size")).alias("words"), F.sum("n").alias("docs")), "mixing-sources")

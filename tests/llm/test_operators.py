@@ -385,17 +385,46 @@ def test_automaton_matching_statistics():
         assert all(templates[w][e - length : e] == text[end - length : end] for w, e in automaton.ends[state])
 
 
+def stored(spark, folder, rows, schema, item):
+    spark.createDataFrame(rows, schema).write.parquet(str(folder / "documents.parquet"))
+    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(str(folder / "benchmark.parquet"))
+    return str(folder)
+
+
+def prose(seed, n):
+    return " ".join(f"v{int(x)}" for x in np.random.default_rng(seed).integers(0, 5000, n))
+
+
 def test_pipeline(spark, tmp_path):
     import corpus_pipeline
 
-    words = lambda seed, n: " ".join(f"v{int(x)}" for x in np.random.default_rng(seed).integers(0, 5000, n))
-    item = words(999, 40)
-    rows = [(i, words(i, 120), "en", "ab"[i % 2], 0) for i in range(60)] + [(60, words(3, 120), "en", "a", 0), (61, item + " " + words(61, 60), "en", "b", 0), (62, "bad " * 300, "en", None, 0), (63, None, None, None, None)]
-    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, kept long").write.parquet(str(tmp_path / "documents.parquet"))
-    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
-    out = corpus_pipeline.run(spark, str(tmp_path))
+    item = prose(999, 40)
+    rows = [(i, prose(i, 120), "en", "ab"[i % 2], 0) for i in range(60)] + [(60, prose(3, 120), "en", "a", 0), (61, item + " " + prose(61, 60), "en", "b", 0), (62, "bad " * 300, "en", None, 0), (63, None, None, None, None)]
+    out = corpus_pipeline.run(spark, stored(spark, tmp_path, rows, "doc_id long, text string, lang string, source string, kept long", item))
     got = {r["doc_id"] for r in out.collect()}
     assert not got & {60, 61, 62, 63} and {r["shard"] for r in out.collect()} <= set(range(16))
     assert out.columns == ["doc_id", "text", "lang", "source", "kept", "size", "shard", "slot"]
     taken = dict(map(tuple, out.groupBy("source").agg(F.sum(F.size(F.split("text", " ")))).collect()))
     assert abs(taken["a"] + taken["b"] - 1.5 * 60 * 120) < 400
+
+
+def test_pipeline_stages_lose_no_row(spark, tmp_path):
+    """Rows without doc_id, of one doc_id with different texts, and columns named like those at work."""
+    import corpus_pipeline
+
+    item = prose(999, 40)
+    texts = [(None, prose(1, 90)), (None, prose(2, 90)), (None, prose(2, 90)), (5, prose(3, 90)), (5, prose(4, 90)), (5, prose(3, 90)), (None, item + " " + prose(8, 50)), (9, prose(2, 90)), (4, prose(3, 90) + " end")]
+    schema = "doc_id long, text string, lang string, source string, _hash long, Slot string, copies long, place string, kept string, document string, _row long"
+    sf_dir = stored(spark, tmp_path, [(d, t, "en", "s", k, "was", k, "p", "k", "d", k) for k, (d, t) in enumerate(texts)], schema, item)
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    stages = dict(corpus_pipeline.STAGES)
+    key = lambda df: sorted((str(r["doc_id"]), r["text"], r["_hash"], r["copies"], r["place"], r["document"]) for r in df.collect())
+    row = lambda *ks: sorted((str(texts[k][0]), texts[k][1], k, k, "p", "d") for k in ks)
+    assert key(stages["quality rules"](spark, docs, sf_dir)) == row(*range(9))
+    assert key(stages["near-duplicates"](spark, docs, sf_dir)) == row(0, 4, 6, 7, 8)
+    assert key(stages["decontamination"](spark, docs, sf_dir)) == row(0, 1, 2, 3, 4, 5, 7, 8)
+    assert set(key(stages["mixture"](spark, docs, sf_dir))) <= set(row(*range(9)))
+    out = stages["sharding"](spark, docs, sf_dir)
+    assert out.columns == [c for c in docs.columns if c != "Slot"] + ["size", "shard", "slot"] and key(out) == row(*range(9))
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs.limit(0), sf_dir).count() == 0
