@@ -133,11 +133,8 @@ def _verified(percent: int):
         for batch in batches:
             left, right = batch.column("left"), batch.column("right")
             linked = np.zeros(batch.num_rows, bool)
-            last, one = None, None
             for i in range(batch.num_rows):
-                x = np.frombuffer(left[i].as_buffer(), np.uint64)
-                if (key := right[i].as_buffer()).address != last:
-                    last, one = key.address, np.frombuffer(key, np.uint64)
+                x, one = (np.frombuffer(side[i].as_buffer(), np.uint64) for side in (left, right))
                 if 100 * min(x.size, one.size) < percent * max(x.size, one.size):
                     continue
                 both = np.sort(np.concatenate((x, one)))
@@ -230,26 +227,49 @@ def _blocks_checked(percent: int):
 def _in_blocks(split: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Links between texts outside a bucket's largest component and all others of the buckets with that component.
 
-    Both go into blocks of bounded size; a pair of blocks is one row, and only links leave it."""
+    Both go into blocks of bounded size; a pair of blocks is one row, and only links leave it. Linked texts have sizes
+    within `percent` of each other, so blocks are of one class of sizes and meet those of their own and the classes
+    beside it only."""
     spark = split.sparkSession
     sizes = split.groupBy("bucket", "component").count()
     largest = sizes.groupBy("bucket").agg(F.max_by("component", F.struct("count", "component")).alias("largest"))
-    seen = C.saved(split.join(largest, "bucket").groupBy("largest", "node").agg(F.max(F.col("component") != F.col("largest")).alias("minor"), F.first("n").alias("n")), "split-members")
-    shape = seen.groupBy("largest").agg(F.ceil(F.greatest(F.count("*") / BLOCK_MEMBERS, F.sum("n") * 8 / BLOCK_BYTES)).alias("all"), F.ceil(F.greatest(F.count_if("minor") / BLOCK_MEMBERS, F.sum(F.when(F.col("minor"), F.col("n")).otherwise(0)) * 8 / BLOCK_BYTES)).alias("few"))
-    full = seen.join(sets.select(F.col("doc_id").alias("node"), "members"), "node").join(shape, "largest")
+    step = float(np.log(100 / percent)) if percent < 100 else 1.0
+    seen = split.join(largest, "bucket").groupBy("largest", "node").agg(F.max(F.col("component") != F.col("largest")).alias("minor"), F.first("n").alias("n"))
+    seen = C.saved(seen.withColumn("class", F.floor(F.log("n") / step - 1e-9)), "split-members")
+    group = ["largest", "class"]
+    shape = seen.groupBy(*group).agg(F.ceil(F.greatest(F.count("*") / BLOCK_MEMBERS, F.sum("n") * 8 / BLOCK_BYTES)).alias("all"), F.ceil(F.greatest(F.count_if("minor") / BLOCK_MEMBERS, F.sum(F.when(F.col("minor"), F.col("n")).otherwise(0)) * 8 / BLOCK_BYTES)).alias("few"))
+    full = C.saved(seen.join(sets.select(F.col("doc_id").alias("node"), "members"), "node").join(shape, group), "split-sets")
+    # A row holds two blocks, so an Arrow batch takes few; a session of its own has that setting.
+    other = spark.newSession()
+    other.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "4")
+    there = other.read.schema(full.schema).parquet(full.scratch_path)
     item = F.struct("node", "members")
 
     def blocks(of: DataFrame, count: str, name: str) -> DataFrame:
-        return of.groupBy("largest", F.pmod(F.xxhash64("node"), F.col(count)).alias(name + "_block")).agg(F.collect_list(item).alias(name))
+        return of.groupBy(*group, F.pmod(F.xxhash64("node"), F.col(count)).alias(name + "_block")).agg(F.collect_list(item).alias(name))
 
-    full = C.saved(full, "split-sets")
-    met = blocks(full.where("minor"), "few", "minor").join(blocks(full, "all", "member"), "largest").select("minor", "member")
-    key, was = "spark.sql.execution.arrow.maxRecordsPerBatch", spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
-    spark.conf.set(key, "4")  # a row holds two blocks
-    try:
-        return C.saved(met.mapInArrow(_blocks_checked(percent), "a long, b long, linked boolean"), "checked")
-    finally:
-        spark.conf.set(key, was)
+    minor = blocks(there.where("minor"), "few", "minor").withColumn("class", F.explode(F.array(*[F.col("class") + k for k in (-1, 0, 1)])))
+    met = minor.join(blocks(there, "all", "member"), group).select("minor", "member")
+    found = C.saved(met.mapInArrow(_blocks_checked(percent), "a long, b long, linked boolean"), "checked")
+    out = spark.read.schema(found.schema).parquet(found.scratch_path)
+    out.scratch_path = found.scratch_path
+    return out
+
+
+#: Members of a bucket that is spread over tasks, and most such buckets that are sent to all of them.
+HOT, MOST_HOT = 512, 200_000
+
+
+def _members(banded: DataFrame, shared: DataFrame) -> DataFrame:
+    """banded(node, bucket) with the centre of each bucket that several nodes are in. Rows of large buckets stay where
+    they are and meet a broadcast of those buckets, counted first; the others are joined by bucket."""
+    hot = shared.where(F.col("members") > HOT).select("bucket", "centre")
+    some = hot.limit(MOST_HOT + 1).count()
+    if not 0 < some <= MOST_HOT:  # more than that means large buckets by the thousands, which the join spreads by itself
+        return banded.join(shared.select("bucket", "centre"), "bucket")
+    few = banded.join(F.broadcast(hot), "bucket")
+    rest = banded.join(F.broadcast(hot.select("bucket")), "bucket", "left_anti").join(shared.where(F.col("members") <= HOT).select("bucket", "centre"), "bucket")
+    return few.unionByName(rest)
 
 
 def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = 5, percent: int = 80) -> DataFrame:
@@ -266,8 +286,8 @@ def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", w
     named = signed.where("doc_id is not null and n_shingles > 0")
     distinct = C.saved(named.groupBy("set_a", "set_b").agg(F.min("doc_id").alias("node"), F.first("bands").alias("bands")), "distinct-sets")
     banded = distinct.select("node", F.explode("bands").alias("bucket"))
-    shared = banded.groupBy("bucket").agg(F.min("node").alias("centre"), F.max("node").alias("other")).where("centre < other")
-    members = C.saved(banded.join(shared.select("bucket", "centre"), "bucket"), "buckets")
+    shared = C.saved(banded.groupBy("bucket").agg(F.min("node").alias("centre"), F.count("*").alias("members")).where("members > 1"), "shared-buckets")
+    members = C.saved(_members(banded, shared), "buckets")
     wanted = members.select(F.col("node").alias("doc_id")).distinct()
     sets = C.saved(rows.join(wanted, "doc_id", "left_semi").mapInArrow(_sets(width), "doc_id long, members binary"), "shingle-sets")
     # A document that repeats its doc_id with another text has several sets, each of which counts.
