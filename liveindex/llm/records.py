@@ -156,20 +156,27 @@ def _alphabet() -> dict[int, str]:
 class Encoder:
     """Encodes texts with a tokenizers file, each distinct pre-token once as long as it is remembered.
 
-    For byte-level BPE files without normaliser: there the ids of a text are those of its pre-tokens in turn, unless
-    it holds one of the file's added tokens. Such texts go to the library whole."""
+    In byte-level BPE files without normaliser the ids of a text are those of its pre-tokens in turn, unless it holds
+    one of the file's added tokens. Such texts, and all texts of files of other kinds, go to the library whole.
+    Pre-tokens are told apart by 64 bits of hash: with the distinct ones of a slice and those remembered, under a
+    million at a time, two of them share it with a probability of 3e-8."""
 
     def __init__(self, path: str) -> None:
+        import json
+
         from tokenizers import Tokenizer
 
         tokenizer = Tokenizer.from_file(path)
+        said = json.loads(tokenizer.to_str())
+        before = said.get("pre_tokenizer") or {}
+        self.by_pieces = said["model"]["type"] == "BPE" and not said.get("normalizer") and before.get("type") == "ByteLevel" and not before.get("add_prefix_space") and before.get("use_regex", True) and not (said.get("truncation") or said.get("padding"))
         self.library, self.model, self.size = tokenizer, tokenizer.model, tokenizer.get_vocab_size()
         self.added = sorted({t.content for t in tokenizer.get_added_tokens_decoder().values()} - {""})
-        self.classes = Classes(tokenizer.pre_tokenizer)
+        self.classes = Classes(tokenizer.pre_tokenizer) if self.by_pieces else None
         self.clear()
 
     def clear(self) -> None:
-        self.seen: dict[int, int] = {}  # hash of a pre-token to (where its ids begin in the pool) << 24 | how many
+        self.seen: dict[int, int] = {}  # hash of a pre-token to (where its ids begin in the pool) << 32 | how many
         self.pool, self.used = np.zeros(1 << 16, np.uint32), 0
 
     def _learn(self, key: int, piece: str) -> int:
@@ -177,12 +184,15 @@ class Encoder:
         if self.used + len(ids) > self.pool.size:
             self.pool = np.concatenate((self.pool, np.zeros(max(self.pool.size, len(ids)), np.uint32)))
         self.pool[self.used : self.used + len(ids)] = ids
-        self.seen[key] = self.used << 24 | len(ids)
+        self.seen[key] = self.used << 32 | len(ids)
         self.used += len(ids)
         return self.seen[key]
 
     def encode(self, texts: pa.Array, end: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, each followed by the end id, and where each text's begin."""
+        if not self.by_pieces:
+            lists = [x.ids + [end] for x in self.library.encode_batch([t or "" for t in texts.to_pylist()], add_special_tokens=False)]
+            return np.array([i for x in lists for i in x], np.uint32), np.concatenate(([0], np.cumsum([len(x) for x in lists], dtype=np.int64)))
         holds = np.zeros(len(texts), bool)
         for token in self.added:
             holds |= pc.fill_null(pc.match_substring(texts, token), False).to_numpy(zero_copy_only=False)
@@ -210,7 +220,7 @@ class Encoder:
             a = first[i]
             rows[i] = self._learn(int(distinct[i]), text[starts[a] : ends[a]])
         place = np.array(rows, np.int64)[which]
-        begin, count = place >> 24, place & 0xFFFFFF
+        begin, count = place >> 32, place & 0xFFFFFFFF
         run = np.concatenate(([0], np.cumsum(count)))
         ids = self.pool[np.repeat(begin - run[:-1], count) + np.arange(run[-1])]
         stop = run[np.searchsorted(starts, cut)]
@@ -278,7 +288,9 @@ def write_records(df: DataFrame, tokenizer: str, text: str = "text", doc_id: str
     rows = C.narrow(df, doc_id=doc_id, text=text)
     rows = rows.withColumn("doc_id", F.col("doc_id").cast("long"))
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ordered = rows.repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id")
+    # The place in the table parts rows that share a doc_id, or have none, over several files.
+    rows = rows.withColumn("place", F.monotonically_increasing_id())
+    ordered = rows.repartitionByRange(parts, "doc_id", "place").sortWithinPartitions("doc_id", "place").drop("place")
     return C.saved(ordered.mapInArrow(_writer(folder, tokenizer, end), FILES), "manifest")
 
 
