@@ -8,6 +8,7 @@ that only those go through the automaton: a word of no template would reset it.
 
 from __future__ import annotations
 
+from bisect import bisect
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -127,23 +128,34 @@ def _compiled(templates: tuple[tuple[str, str], ...]) -> tuple[SuffixAutomaton,
 
 
 def _chains(found: list[tuple[int, int, int, int]]) -> Iterator[tuple[int, int, int]]:
-    """(first word, word after the last, template words covered) of the chains of one template's matches.
-
-    found: (file begin, file end, template begin, template end). One pass in file order: a match joins the chain
-    if it goes on in the template and begins soon after the chain's end."""
-    begin = end = done = covered = -1
-    for f0, f1, t0, t1 in sorted(found):
-        if begin >= 0 and t1 > done and f0 >= end - (done - t0 if t0 < done else 0) and f0 - end <= MOST_SKIPPED:
-            covered += t1 - max(t0, done)
-        elif begin >= 0 and f1 <= end:
-            continue
-        else:
-            if begin >= 0:
-                yield begin, end, covered
-            begin, covered = f0, t1 - t0
-        end, done = f1, t1
-    if begin >= 0:
-        yield begin, end, covered
+    """(first word, word after the last, template words covered) of the chains of one template's matches, best first.
+
+    found: (file begin, file end, template begin, template end). A chain goes on with a match that ends later in the
+    file and in the template, and begins at most MOST_SKIPPED words after the chain's end; what two matches share of
+    either counts once. Each match takes the predecessor that covers most; of the chains, those that share no words of
+    the file are given, the one that covers most first. Matches are maximal, so only those of the words behind, as many
+    as a match has and may be skipped, can be predecessors."""
+    found = sorted(set(found), key=lambda m: (m[1], m[3], m[0]))
+    covered, begin, oldest = [], [], 0
+    for j, (f0, f1, t0, t1) in enumerate(found):
+        best, start = t1 - t0, f0
+        while found[oldest][1] < f0 - MOST_SKIPPED:
+            oldest += 1
+        for i in range(oldest, j):
+            _, e1, _, u1 = found[i]
+            if e1 < f1 and u1 < t1 and e1 >= f0 - MOST_SKIPPED:
+                both = max(0, e1 - f0, u1 - t0)
+                if both < t1 - t0 and covered[i] + t1 - t0 - both > best:
+                    best, start = covered[i] + t1 - t0 - both, begin[i]
+        covered.append(best)
+        begin.append(start)
+    taken: list[tuple[int, int]] = []  # in file order, none of which meet
+    for j in sorted(range(len(found)), key=lambda j: (-covered[j], found[j][1], begin[j])):
+        span = (begin[j], found[j][1])
+        at = bisect(taken, span)
+        if (at == 0 or taken[at - 1][1] <= span[0]) and (at == len(taken) or taken[at][0] >= span[1]):
+            taken.insert(at, span)
+            yield *span, covered[j]
 
 
 SPAN = T.StructType([T.StructField("label", T.StringType()), T.StructField("template", T.IntegerType()), T.StructField("first_word", T.LongType()), T.StructField("end_word", T.LongType()), T.StructField("covered", T.DoubleType())])
