@@ -23,7 +23,7 @@ from liveindex.llm.common import numbered, saved
 
 WEIGHTS = (5.0, 2.0, 1.0)
 #: Documents of one source and size in a bucket, about.
-BUCKET_ROWS = 4096
+BUCKET_ROWS = 512
 #: Columns that the result has, and those at work.
 ADDED = ("source_size", "target", "rate", "copies", "_key", "_words", "_row", "_hash", "_bucket", "_part", "_buckets", "_parts", "_low", "_raised", "_before", "_n", "_left")
 

@@ -262,22 +262,27 @@ def test_audit_finds_planted_damage(spark, tmp_path):
     df = spark.createDataFrame([(i, f"http://x/{i}" if i % 5 else None, f"<p>page {i}</p>\r\n\r\n" * (i % 9) if i % 4 else None) for i in range(400)], "page_id long, url string, html string").repartition(3)
     found = warc.write_warc(df, str(tmp_path / "a"))
     other = warc.copy_replica(found, str(tmp_path / "a"), str(tmp_path / "b"))
-    assert warc.audit(warc.merkle(found), warc.merkle(warc.hashed(found, other))).count() == 0
-    broken = {r["page_id"]: r for r in found.where("page_id in (7, 123)").collect()}
-    for r in broken.values():
-        with open(f"{other}/{r['file']}", "r+b") as f:
-            f.seek(r["offset"] + r["length"] // 2)
-            byte = f.read(1)
-            f.seek(-1, 1)
-            f.write(bytes([byte[0] ^ 1]))
-    assert sorted(r["page_id"] for r in warc.fixity(found, other).where("not intact").collect()) == [7, 123]
+    assert warc.damage(found, other).count() == 0
+    planted = warc.copy_replica(found, str(tmp_path / "a"), damaged=F.col("page_id").isin(7, 123, 300))
+    assert sorted(r["page_id"] for r in warc.fixity(found, planted).where("not intact").collect()) == [7, 123, 300]
+    names = sorted(r["file"] for r in found.select("file").distinct().collect())
+    size = (tmp_path / "b" / names[0]).stat().st_size
+    with open(tmp_path / "b" / names[0], "ab") as f:
+        f.write(b"more")
+    (tmp_path / "b" / "stray").write_bytes(b"123")
+    (tmp_path / "b" / names[1]).unlink()
+    got = sorted((r["file"], r["at"], r["offset"], r["end"]) for r in warc.damage(found, other).collect() if r["at"] is None)
+    assert got == sorted([(names[0], None, size, size + 4), ("stray", None, 0, 3)])
+    lost = {r["page_id"] for r in warc.fixity(found, other).where("not intact").collect()}
+    assert lost == {r["page_id"] for r in found.where(F.col("file") == names[1]).collect()}
     import gzip
 
-    row = found.where("page_id = 9").first()
-    with open(tmp_path / "a" / row["file"], "rb") as f:
-        f.seek(row["offset"])
-        fields, body = warc.parse(gzip.decompress(f.read(row["length"])))
-    assert body.decode() == "<p>page 9</p>\r\n\r\n" * 0 or int(fields["Content-Length"]) == len(body)
+    for row in found.where("page_id in (9, 10, 12)").collect():
+        with open(tmp_path / "a" / row["file"], "rb") as f:
+            f.seek(row["offset"])
+            fields, body = warc.parse(gzip.decompress(f.read(row["length"])))
+        n = row["page_id"]
+        assert body.decode() == (f"<p>page {n}</p>\r\n\r\n" * (n % 9) if n % 4 else "") and int(fields["Content-Length"]) == len(body)
     assert warc.fixity(warc.write_warc(df.limit(0), str(tmp_path / "c")), str(tmp_path / "c")).count() == 0
 
 
@@ -374,6 +379,26 @@ def test_licences(docs, empty):
     assert licences.scan_licences(docs).count() == len(DOCS) and licences.scan_licences(empty).count() == 0
 
 
+def test_chains_against_all_subsets():
+    rng = np.random.default_rng(31)
+    for _ in range(200):
+        found = []
+        for _ in range(int(rng.integers(1, 6))):
+            f0, t0, n = int(rng.integers(0, 40)), int(rng.integers(0, 15)), int(rng.integers(4, 9))
+            found.append((f0, f0 + n, t0, t0 + n))
+        best = 0
+        for mask in range(1, 1 << len(found)):
+            chain = sorted((m for k, m in enumerate(found) if mask >> k & 1), key=lambda m: (m[1], m[3]))
+            total, good = chain[0][3] - chain[0][2], True
+            for x, y in zip(chain[:-1], chain[1:], strict=True):
+                both = max(0, x[1] - y[0], x[3] - y[2])
+                good &= x[1] < y[1] and x[3] < y[3] and x[1] >= y[0] - licences.MOST_SKIPPED and both < y[3] - y[2]
+                total += y[3] - y[2] - both
+            best = max(best, total if good else 0)
+        chains = list(licences._chains(found))
+        assert chains[0][2] == best and all(b <= c or d <= a for k, (a, b, _) in enumerate(chains) for c, d, _ in chains[:k])
+
+
 def test_automaton_matching_statistics():
     rng = np.random.default_rng(6)
     templates = [rng.integers(0, 4, 20).tolist() for _ in range(3)]
