@@ -16,7 +16,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from liveindex.functions import codecs
@@ -50,6 +50,9 @@ class IndexConfig:
     def threshold(self) -> int:
         return self.F if self.F is not None else DOC_F if self.level == "doc" else WORD_F
 
+    def shard_of(self, d: str) -> Column:
+        return F.floor((F.col(d) - 1) / self.shard_docs)
+
     @property
     def head_bytes(self) -> int:
         return HEAD_BYTES + (0 if self.growth == "constant" else VARIABLE_BYTES)
@@ -132,7 +135,7 @@ def build_blocks(postings: DataFrame, cfg: IndexConfig) -> DataFrame:
     A shard is a run of cfg.shard_docs documents, which bounds each list that a task holds."""
     x = "f" if cfg.level == "doc" else "wg"
     order = ["shard", "term", "d"] + ([] if cfg.level == "doc" else ["w"])
-    rows = postings.withColumn("shard", F.floor((F.col("d") - 1) / cfg.shard_docs)).select(*order, F.col(x).cast("long").alias("x"))
+    rows = postings.withColumn("shard", cfg.shard_of("d")).select(*order, F.col(x).cast("long").alias("x"))
     parts = int(postings.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

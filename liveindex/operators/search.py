@@ -1,16 +1,19 @@
 """Queries over postings and blocks. A log of queries is one plan: qid is a column like any other.
 
-queries: (qid, terms). A query is the set of its terms; the log joins as the small side, which is broadcast only if
-its rows are counted and fewer than SMALL_LOG.
+queries: (qid, terms). A query is the set of its terms. Whole logs are answered shard by shard (see `evaluate`); the
+forms by joins stay as variants, with the log as the small side, which is broadcast only if its rows are counted and
+fewer than SMALL_LOG.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from liveindex.functions.lengths import bm25, tf_idf
+from liveindex.functions.lengths import tf_idf
+from liveindex.operators import evaluate as E
 from liveindex.operators.packer import IndexConfig, decode_blocks
+from liveindex.scratch import numbered
 
 SMALL_LOG = 200_000
 
@@ -35,21 +38,25 @@ def fetch_blocks(blocks: DataFrame, queries: DataFrame) -> DataFrame:
     return blocks.join(_small(query_terms(queries).select("term").distinct()), "term", "left_semi")
 
 
-def conjunctive(postings: DataFrame, queries: DataFrame, method: str = "count") -> DataFrame:
+def conjunctive(postings: DataFrame, queries: DataFrame, method: str = "shards", n_docs: int | None = None) -> DataFrame:
     """(qid, d) of documents with all terms of a query; an unknown term or no term gives no document.
 
-    count: matches of each (qid, d) counted; semijoin: documents of the rarest term, held against the others' lists."""
-    hits = fetch(postings, queries)
+    shards: each shard of documents intersects its own lists, rarest first; semijoin: documents of the rarest term,
+    held against the others' lists by joins; count: matches of each (qid, d) counted, which copies a list once for
+    each query that names it."""
+    if method == "shards":
+        return E.conjunctive(postings, queries, n_docs)
     if method == "count":
-        return hits.groupBy("qid", "d").agg(F.count("*").alias("m"), F.first("n_terms").alias("n_terms")).where("m = n_terms").select("qid", "d")
+        return fetch(postings, queries).groupBy("qid", "d").agg(F.count("*").alias("m"), F.first("n_terms").alias("n_terms")).where("m = n_terms").select("qid", "d")
     if method != "semijoin":
         raise ValueError(f"no method {method}")
     lists = fetch(postings.groupBy("term").agg(F.count("*").alias("ft")), queries)
     by = Window.partitionBy("qid").orderBy("ft", "term")
     ranked = lists.withColumn("rank", F.row_number().over(by)).withColumn("known", F.count("*").over(Window.partitionBy("qid"))).where("known = n_terms")
     first = postings.join(ranked.where("rank = 1").select("term", "qid"), "term").select("qid", "d")
-    rest = postings.join(ranked.where("rank > 1").select("term", "qid", "n_terms"), "term")
-    left = rest.join(first, ["qid", "d"], "left_semi").groupBy("qid", "d").agg(F.count("*").alias("m"), F.first("n_terms").alias("n")).where("m = n - 1").select("qid", "d")
+    # What to look up follows from the rarest lists; the others' postings join it by (term, d) and are never copied.
+    wanted = first.join(ranked.where("rank > 1").select("qid", "term", "n_terms"), "qid")
+    left = wanted.join(postings.select("term", "d"), ["term", "d"], "left_semi").groupBy("qid", "d").agg(F.count("*").alias("m"), F.first("n_terms").alias("n")).where("m = n - 1").select("qid", "d")
     alone = first.join(ranked.where("n_terms = 1").select("qid"), "qid", "left_semi")
     return left.unionAll(alone)
 
@@ -64,37 +71,46 @@ def zone_map(blocks: DataFrame) -> DataFrame:
     return blocks.where("n > 0").select("shard", "term", "block_no", "first_d", F.lead("first_d").over(Window.partitionBy("shard", "term").orderBy("block_no")).alias("next_d"))
 
 
-def seek_geq(blocks: DataFrame, targets: DataFrame) -> DataFrame:
-    """targets(qid, term, d) with block_no and first_d of the one block of the term's list that may hold d.
+def seek_geq(blocks: DataFrame, targets: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """targets(qid, term, d) with shard, block_no and first_d of the one block of the term's list that may hold d.
 
-    As-of join by a union of blocks and targets and a running last value: one shuffle by term, no range join."""
-    marks = blocks.where("n > 0").select("term", F.col("first_d").alias("at"), F.lit(0).alias("kind"), F.struct("block_no", "first_d").alias("block"), F.lit(None).cast("long").alias("qid"))
-    asks = targets.select("term", F.col("d").alias("at"), F.lit(1).alias("kind"), F.lit(None).cast(marks.schema["block"].dataType).alias("block"), "qid")
-    found = marks.unionAll(asks).withColumn("block", F.last("block", ignorenulls=True).over(Window.partitionBy("term").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0)))
-    return found.where((F.col("kind") == 1) & F.col("block").isNotNull()).select("qid", "term", F.col("at").alias("d"), "block.block_no", "block.first_d")
+    As-of join by a union of blocks and targets and a running last value: one shuffle by shard and term, no range join."""
+    marks = blocks.where("n > 0").select("shard", "term", F.col("first_d").alias("at"), F.lit(0).alias("kind"), F.struct("block_no", "first_d").alias("block"), F.lit(None).cast("long").alias("qid"))
+    asks = targets.select(cfg.shard_of("d").alias("shard"), "term", F.col("d").alias("at"), F.lit(1).alias("kind"), F.lit(None).cast(marks.schema["block"].dataType).alias("block"), "qid")
+    found = marks.unionAll(asks).withColumn("block", F.last("block", ignorenulls=True).over(Window.partitionBy("shard", "term").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0)))
+    return found.where((F.col("kind") == 1) & F.col("block").isNotNull()).select("qid", "shard", "term", F.col("at").alias("d"), "block.block_no", "block.first_d")
+
+
+def _known(blocks: DataFrame, queries: DataFrame) -> DataFrame:
+    """(qid, term, n_terms, ft, blocks, rank): terms of the queries that the index knows all terms of, rarest first."""
+    lists = blocks.groupBy("term").agg(F.sum("n").alias("ft"), F.count_if(F.col("n") > 0).alias("blocks"))
+    by = Window.partitionBy("qid")
+    return fetch(lists, queries).withColumn("rank", F.row_number().over(by.orderBy("ft", "term"))).withColumn("known", F.count("*").over(by)).where("known = n_terms").drop("known")
 
 
 def conjunctive_by_seek(blocks: DataFrame, queries: DataFrame, cfg: IndexConfig) -> DataFrame:
     """Conjunction that decodes the rarest list of each query, and of the others only the blocks that candidates fall in."""
-    lists = blocks.groupBy("term").agg(F.sum("n").alias("ft"))
-    known = fetch(lists, queries).withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("ft", "term"))).withColumn("known", F.count("*").over(Window.partitionBy("qid"))).where("known = n_terms")
+    known = _known(blocks, queries)
     lead = known.where("rank = 1").select("qid", "term", "n_terms")
     seeds = decode_blocks(blocks.join(lead.select("term").distinct(), "term", "left_semi"), cfg).select("term", "d").join(lead, "term").select("qid", "d", "n_terms")
     targets = seeds.join(known.where("rank > 1").select("qid", "term"), "qid").select("qid", "term", "d")
-    places = seek_geq(blocks.drop("payload"), targets)
-    touched = blocks.join(places.select("term", "block_no").distinct(), ["term", "block_no"], "left_semi")
+    # Queries that ask a list for the same document seek it once.
+    places = seek_geq(blocks.drop("payload"), targets.select(F.lit(0).cast("long").alias("qid"), "term", "d").distinct(), cfg)
+    touched = blocks.join(places.select("shard", "term", "block_no").distinct(), ["shard", "term", "block_no"], "left_semi")
     met = targets.join(decode_blocks(touched, cfg).select("term", "d"), ["term", "d"], "left_semi").groupBy("qid", "d").agg(F.count("*").alias("m"))
     return seeds.join(met, ["qid", "d"], "left").where(F.coalesce("m", F.lit(0)) == F.col("n_terms") - 1).select("qid", "d")
 
 
-def skip_stats(blocks: DataFrame, queries: DataFrame, postings: DataFrame) -> DataFrame:
-    """(qid, term, blocks, touched): of the lists after the rarest of a query, how many blocks candidates fall in."""
-    lists = blocks.groupBy("term").agg(F.sum("n").alias("ft"), F.count_if(F.col("n") > 0).alias("blocks"))
-    known = fetch(lists, queries).withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("ft", "term"))).withColumn("known", F.count("*").over(Window.partitionBy("qid"))).where("known = n_terms")
+def skip_stats(blocks: DataFrame, queries: DataFrame, postings: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """(qid, term, blocks, touched, decoded): of the lists after the rarest of a query, how many blocks candidates fall
+    in, and how many of those must be decoded, as a candidate is not the block's own first document."""
+    known = _known(blocks, queries)
     seeds = postings.join(known.where("rank = 1").select("qid", "term"), "term").select("qid", "d")
     rest = known.where("rank > 1").select("qid", "term", "blocks")
-    places = seek_geq(blocks, seeds.join(rest.select("qid", "term"), "qid")).select("qid", "term", "block_no").distinct().groupBy("qid", "term").agg(F.count("*").alias("touched"))
-    return rest.join(places, ["qid", "term"], "left").select("qid", "term", "blocks", F.coalesce("touched", F.lit(0)).alias("touched"))
+    places = seek_geq(blocks, seeds.join(rest.select("qid", "term"), "qid"), cfg)
+    block = places.groupBy("qid", "term", "shard", "block_no").agg(F.max(F.when(F.col("d") > F.col("first_d"), 1).otherwise(0)).alias("inside"))
+    counts = block.groupBy("qid", "term").agg(F.count("*").alias("touched"), F.sum("inside").alias("decoded"))
+    return rest.join(counts, ["qid", "term"], "left").select("qid", "term", "blocks", F.coalesce("touched", F.lit(0)).alias("touched"), F.coalesce("decoded", F.lit(0)).alias("decoded"))
 
 
 def _best(scored: DataFrame, k: int) -> DataFrame:
@@ -104,23 +120,24 @@ def _best(scored: DataFrame, k: int) -> DataFrame:
     return scored.withColumn("rank", rank).where(F.col("rank") <= k).select("qid", F.col("rank").cast("long").alias("rank"), "d", "score")
 
 
-def topk(postings: DataFrame, queries: DataFrame, n_docs: Column | int, k: int = 10, weight: Column | None = None, digits: int = 6) -> DataFrame:
-    """The k documents of each query with the largest sums of weights; log(1 + f) * log(1 + N / ft) unless given."""
-    n = F.lit(n_docs) if isinstance(n_docs, int) else n_docs
+def topk(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 10, digits: int = 6, prune: bool = False) -> DataFrame:
+    """(qid, rank, d, score): the k documents of each query with the largest sums of log(1 + f) * log(1 + N / ft).
+
+    prune: lists that cannot lift a document any more are looked up instead of added; answers are the same."""
+    return E.topk(postings, queries, n_docs, k, digits, prune=prune)
+
+
+def topk_joined(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 10, digits: int = 6) -> DataFrame:
+    """The same by joins alone: each list is copied once for each query that names it."""
     lists = postings.groupBy("term").agg(F.count("*").alias("ft"))
-    terms = fetch(lists, queries)
-    weight = tf_idf(F.col("f"), n, F.col("ft")) if weight is None else weight
-    hits = postings.join(terms, "term").select("qid", "d", weight.alias("w"))
+    hits = postings.join(fetch(lists, queries), "term").select("qid", "d", tf_idf(F.col("f"), F.lit(n_docs), F.col("ft")).alias("w"))
     return _best(hits.groupBy("qid", "d").agg(F.round(F.sum("w"), digits).alias("score")), k)
 
 
 def topk_bm25(postings: DataFrame, lengths: DataFrame, queries: DataFrame, k: int = 10, k1: float = 0.9, b: float = 0.4, digits: int = 6) -> DataFrame:
     """The same by BM25, with document lengths kept apart from the index."""
     facts = lengths.agg(F.count("*").alias("N"), F.avg("len").alias("avg")).first()
-    joined = fetch(postings, queries).select("term", "qid", "d", "f").join(lengths, "d")
-    ft = fetch(postings.groupBy("term").agg(F.count("*").alias("ft")), queries).select("term", "ft").distinct()
-    scored = joined.join(ft, "term").select("qid", "d", bm25(F.col("f"), F.lit(facts["N"]), F.col("ft"), F.col("len"), F.lit(facts["avg"]), k1, b).alias("w"))
-    return _best(scored.groupBy("qid", "d").agg(F.round(F.sum("w"), digits).alias("score")), k)
+    return E.topk(postings, queries, facts["N"], k, digits, ("bm25", k1, b, facts["avg"]), lengths)
 
 
 def term_bounds(postings: DataFrame, n_docs: int, digits: int = 6) -> DataFrame:
@@ -130,7 +147,7 @@ def term_bounds(postings: DataFrame, n_docs: int, digits: int = 6) -> DataFrame:
 
 
 def topk_pruned(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 10, digits: int = 6) -> DataFrame:
-    """The answers of topk, scoring fewer documents: exact, by bounds on lists.
+    """The answers of topk by joins, scoring fewer documents: exact, by bounds on lists.
 
     The k best by each query's rarest term alone set a floor. Lists whose bounds together stay below the floor
     cannot lift a document that no other list names, so only documents of the other lists are scored."""
@@ -144,7 +161,8 @@ def topk_pruned(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 1
     upto = Window.partitionBy("qid").orderBy("max_w", "term").rowsBetween(Window.unboundedPreceding, 0)
     marked = terms.join(floor, "qid", "left").withColumn("essential", F.coalesce(F.sum("max_w").over(upto) >= F.col("floor"), F.lit(True)))
     candidates = postings.join(marked.where("essential").select("qid", "term"), "term").select("qid", "d").distinct()
-    hits = postings.join(marked.select("qid", "term", "ft"), "term").join(candidates, ["qid", "d"], "left_semi").select("qid", "d", w.alias("w"))
+    wanted = candidates.join(marked.select("qid", "term", "ft"), "qid")
+    hits = wanted.join(postings, ["term", "d"]).select("qid", "d", w.alias("w"))
     return _best(hits.groupBy("qid", "d").agg(F.round(F.sum("w"), digits).alias("score")), k)
 
 
@@ -156,11 +174,9 @@ def fuse_topk(answers: list[DataFrame], k: int = 10) -> DataFrame:
     return _best(out, k)
 
 
-def phrase(occurrences: DataFrame, queries: DataFrame) -> DataFrame:
-    """(qid, d, hits): documents where the words of a query stand in a row, and how often."""
-    asked = queries.select("qid", F.size("terms").alias("n"), F.posexplode("terms").alias("i", "term"))
-    hits = occurrences.join(_small(asked), "term").select("qid", "n", "d", (F.col("w") - F.col("i")).alias("at"))
-    return hits.groupBy("qid", "d", "at").agg(F.count("*").alias("m"), F.first("n").alias("n")).where("m = n").groupBy("qid", "d").agg(F.count("*").alias("hits"))
+def phrase(occurrences: DataFrame, queries: DataFrame, n_docs: int | None = None) -> DataFrame:
+    """(qid, d, hits): documents where the words of a query stand in a row, and how often; from each shard's rarest word."""
+    return E.phrase(occurrences, queries, n_docs)
 
 
 def proximity(occurrences: DataFrame, pairs: DataFrame, window: int) -> DataFrame:
@@ -173,10 +189,10 @@ def proximity(occurrences: DataFrame, pairs: DataFrame, window: int) -> DataFram
     return here.withColumn("m", F.count_if(F.col("side") == 2).over(near)).where("side = 1 and m > 0").groupBy("qid", "d").agg(F.sum("m").alias("hits"))
 
 
-def recent_matches(postings: DataFrame, queries: DataFrame, k: int) -> DataFrame:
-    """(qid, rank, d): the newest k conjunctive matches."""
+def recent_matches(postings: DataFrame, queries: DataFrame, k: int, n_docs: int | None = None) -> DataFrame:
+    """(qid, rank, d): the newest k conjunctive matches; a shard sends its newest k."""
     rank = F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("d")))
-    return conjunctive(postings, queries).withColumn("rank", rank.cast("long")).where(F.col("rank") <= k)
+    return E.conjunctive(postings, queries, n_docs, newest=k).withColumn("rank", rank.cast("long")).where(F.col("rank") <= k).select("qid", "rank", "d")
 
 
 def boolean(postings: DataFrame, expression: tuple) -> DataFrame:
@@ -191,52 +207,33 @@ def boolean(postings: DataFrame, expression: tuple) -> DataFrame:
     return out
 
 
-def visible(postings: DataFrame, ops: DataFrame) -> DataFrame:
-    """Postings that each query of an operation stream sees: those of documents inserted before it.
-
-    postings carry seq of their document; ops(op_seq, qid, terms). Statistics of a ranked query are those of its time."""
-    asked = query_terms(ops).join(ops.select("qid", "op_seq"), "qid")
-    return postings.join(_small(asked), "term").where(F.col("seq") < F.col("op_seq"))
-
+def ops_conjunctive(postings: DataFrame, ops: DataFrame, n_docs: int | None = None) -> DataFrame:
+    """(op_seq, qid, d): what each query of an operation stream finds among the documents inserted before it.
 
-def ops_conjunctive(postings: DataFrame, ops: DataFrame) -> DataFrame:
-    return visible(postings, ops).groupBy("op_seq", "qid", "d").agg(F.count("*").alias("m"), F.first("n_terms").alias("n")).where("m = n").select("op_seq", "qid", "d")
+    postings carry seq of their document; ops(op_seq, qid, terms)."""
+    return E.conjunctive(postings, ops, n_docs, cut="op_seq").join(_small(ops.select("qid", "op_seq")), "qid").select("op_seq", "qid", "d")
 
 
-def ops_topk(postings: DataFrame, docs: DataFrame, ops: DataFrame, k: int = 10, digits: int = 6) -> DataFrame:
-    """docs(seq) counts what is visible at each query. Counts come from running sums, not from pairs."""
-    seen = visible(postings, ops)
-    ft = seen.groupBy("op_seq", "qid", "term").agg(F.count("*").alias("ft"))
-    line = docs.select(F.col("seq").alias("at"), F.lit(1).alias("one"), F.lit(None).cast("long").alias("op_seq")).unionAll(ops.select(F.col("op_seq").alias("at"), F.lit(0), "op_seq"))
-    cell = F.floor(F.col("at") / 4096)
-    inside = Window.partitionBy("cell").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
-    cells = line.withColumn("cell", cell)
-    ahead = cells.groupBy("cell").agg(F.sum("one").alias("s")).withColumn("before", F.coalesce(F.sum("s").over(Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("cell", "before")
-    n = cells.withColumn("n", F.sum("one").over(inside)).where("op_seq is not null").join(ahead, "cell").groupBy("op_seq").agg(F.max(F.col("n") + F.col("before")).alias("N"))
-    hits = seen.join(ft, ["op_seq", "qid", "term"]).join(n, "op_seq").select("op_seq", "qid", "d", tf_idf(F.col("f"), F.col("N"), F.col("ft")).alias("w"))
-    scored = hits.groupBy("op_seq", "qid", "d").agg(F.round(F.sum("w"), digits).alias("score"))
-    rank = F.row_number().over(Window.partitionBy("op_seq", "qid").orderBy(F.desc("score"), "d"))
-    return scored.withColumn("rank", rank.cast("long")).where(F.col("rank") <= k)
+def ops_topk(postings: DataFrame, docs: DataFrame, ops: DataFrame, k: int = 10, digits: int = 6, n_docs: int | None = None) -> DataFrame:
+    """The same ranked, by statistics of the time of each query; docs(d, seq) are all inserts."""
+    return E.topk_seen(postings, docs, ops, n_docs, k, digits)
 
 
 def positions(blocks: DataFrame) -> DataFrame:
-    """(term, block_no, pos): arrival order of blocks - by the document that opens each, then by term.
+    """(shard, term, block_no, pos): arrival order of blocks - by the document that opens each, then by term.
 
     Ranks come from the range partitioning of the sort, not from one task."""
-    from liveindex.sources.collections import assign_ordinals
-
-    opened = blocks.select("term", "block_no", F.when(F.col("n") > 0, F.col("first_d")).otherwise(F.lead("first_d").over(Window.partitionBy("term").orderBy("block_no"))).alias("opened"))
-    return assign_ordinals(opened, "opened", "term", "block_no", into="pos").select("term", "block_no", "pos")
+    chain = Window.partitionBy("shard", "term").orderBy("block_no")
+    opened = blocks.select("shard", "term", "block_no", F.when(F.col("n") > 0, F.col("first_d")).otherwise(F.lead("first_d").over(chain)).alias("opened"))
+    return numbered(opened, "opened", "term", "block_no", into="pos").select("shard", "term", "block_no", "pos")
 
 
 def collated(blocks: DataFrame) -> DataFrame:
-    """(term, block_no, pos) once each term's blocks lie together."""
-    from liveindex.sources.collections import assign_ordinals
-
-    return assign_ordinals(blocks.select("term", "block_no"), "term", "block_no", into="pos").select("term", "block_no", "pos")
+    """(shard, term, block_no, pos) once each term's blocks lie together."""
+    return numbered(blocks.select("shard", "term", "block_no"), "shard", "term", "block_no", into="pos").select("shard", "term", "block_no", "pos")
 
 
 def jump_stats(placed: DataFrame, layout: str) -> DataFrame:
     """(layout, blocks, jumps, mean_jump): successors of a chain that are not the next block in the array."""
-    step = F.lead("pos").over(Window.partitionBy("term").orderBy("block_no")) - F.col("pos")
+    step = F.lead("pos").over(Window.partitionBy("shard", "term").orderBy("block_no")) - F.col("pos")
     return placed.withColumn("step", step).agg(F.count("*").alias("blocks"), F.count_if(F.col("step") != 1).alias("jumps"), F.round(F.coalesce(F.avg(F.abs("step")), F.lit(0.0)), 6).alias("mean_jump")).select(F.lit(layout).alias("layout"), "blocks", "jumps", "mean_jump")

@@ -6,20 +6,18 @@ the words of markup count like others. d counts documents from 1 in arrival orde
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-MAX_TERM = 20
-LETTERS = {"ascii": "[a-z]+", "unicode": r"\p{L}+"}
-
+from liveindex.scratch import numbered
 
-def split_long(terms: Column, most: int = MAX_TERM) -> Column:
-    """Terms cut after every `most` letters."""
-    return F.flatten(F.transform(terms, lambda t: F.regexp_extract_all(t, F.lit(f"(.{{1,{most}}})"), 1)))
+MAX_TERM = 20
+LETTERS = {"ascii": "[a-z]", "unicode": r"\p{L}"}
 
 
 def tokens(text: Column, mode: str = "ascii", most: int = MAX_TERM) -> Column:
-    return split_long(F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit(f"({LETTERS[mode]})"), 1), most)
+    """Runs of letters, cut after every `most` of them: one greedy pattern does both."""
+    return F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit(f"({LETTERS[mode]}{{1,{most}}})"), 1)
 
 
 def docstream(df: DataFrame, d: Column, key: Column, text: Column, coll: str, mode: str = "ascii", most: int = MAX_TERM) -> DataFrame:
@@ -28,18 +26,8 @@ def docstream(df: DataFrame, d: Column, key: Column, text: Column, coll: str, mo
 
 
 def assign_ordinals(df: DataFrame, *order: str, into: str = "d", start: int = 0) -> DataFrame:
-    """Dense numbers from start + 1 in the order of some columns, without a single-task window.
-
-    Rows are range-partitioned and numbered inside partitions; the partitions' counts, one row each, give the
-    offsets. The range partitioning is written down as a column by its own bounds, so both uses agree."""
-    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranged = df.repartitionByRange(parts, *order).withColumn("_part", F.spark_partition_id())
-    counts = ranged.groupBy("_part").agg(F.count("*").alias("_n"))
-    ahead = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = counts.select("_part", F.coalesce(F.sum("_n").over(ahead), F.lit(0)).alias("_offset"))
-    inside = Window.partitionBy("_part").orderBy(*order)
-    numbered = ranged.withColumn("_row", F.row_number().over(inside)).join(F.broadcast(offsets), "_part")
-    return numbered.withColumn(into, (F.col("_offset") + F.col("_row") + start).cast("long")).drop("_part", "_row", "_offset")
+    """Dense numbers from start + 1 in the order of some columns. The ranged rows are written, see `numbered`."""
+    return numbered(df, *order, into=into, start=start)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -110,17 +110,18 @@ def query_blocks(spark, sf_dir):
     return X.fetch_blocks(build(spark, sf_dir, payload=False)[0], L.query_log(spark, sf_dir)).select("term", "block_no", "n")
 
 
-_TARGET = "tg AS (SELECT t.term, x.d FROM (SELECT term FROM lists WHERE z > 1) t, (SELECT doc_id + 1 AS d FROM documents WHERE doc_id % 10 = 3) x)"
+_LEAD = "ft AS (SELECT term, sum(n) AS ft, count_if(n > 0)::BIGINT AS blocks FROM tab GROUP BY term), kn AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ft, term) AS r, count(*) OVER (PARTITION BY qid) AS k FROM qt JOIN ft USING (term)), kq AS MATERIALIZED (SELECT * FROM kn WHERE k = n_terms), sd AS MATERIALIZED (SELECT q.qid, p.d FROM kq q JOIN src p ON p.term = q.term WHERE q.r = 1)"
+_SEEK = f"WITH RECURSIVE {_QT}, {Q.packed('docs')}, {Q.blocks()}, {_LEAD}"
 
 
-@register("seek_geq", f"{_PACK}, {_TARGET} SELECT t.term, t.d, b.block_no, b.first_d FROM tg t ASOF JOIN (SELECT * FROM tab WHERE n > 0) b ON t.term = b.term AND t.d >= b.first_d")
+@register("seek_geq", f"{_SEEK}, tg AS (SELECT DISTINCT q.term, s.d FROM kq q JOIN sd s ON s.qid = q.qid WHERE q.r > 1) SELECT t.term, t.d, b.block_no, b.first_d FROM tg t ASOF JOIN (SELECT * FROM tab WHERE n > 0) b ON t.term = b.term AND t.d >= b.first_d")
 def seek_geq(spark, sf_dir):
-    """For every list of several blocks, the blocks that a stated set of documents may be in."""
-    blocks = build(spark, sf_dir, payload=False)[0]
-    lists = blocks.groupBy("term").count().where("count > 1").select("term")
-    asked = S.table(spark, sf_dir, "documents").where("doc_id % 10 = 3").select((F.col("doc_id") + 1).alias("d"))
-    targets = lists.crossJoin(asked).withColumn("qid", F.lit(0).cast("long"))  # the stated set against each list
-    return X.seek_geq(blocks, targets).select("term", "d", "block_no", "first_d")
+    """The blocks that the logged queries seek: each document of a query's rarest list in its other lists."""
+    blocks, cfg = build(spark, sf_dir, payload=False)
+    known = X._known(blocks, L.query_log(spark, sf_dir))
+    seeds = P.count_terms(S.docs(spark, sf_dir)).join(known.where("rank = 1").select("qid", "term"), "term").select("qid", "d")
+    targets = seeds.join(known.where("rank > 1").select("qid", "term"), "qid").select(F.lit(0).cast("long").alias("qid"), "term", "d").distinct()
+    return X.seek_geq(blocks, targets, cfg).select("term", "d", "block_no", "first_d")
 
 
 _OPENED = "opened AS (SELECT term, block_no, CASE WHEN n > 0 THEN first_d ELSE lead(first_d) OVER (PARTITION BY term ORDER BY block_no) END AS o FROM tab)"
@@ -130,12 +131,12 @@ _COL = "placed AS (SELECT term, block_no, row_number() OVER (ORDER BY term, bloc
 
 @register("block_positions", f"{_PACK}, {_POS} SELECT * FROM placed")
 def block_positions(spark, sf_dir):
-    return X.positions(build(spark, sf_dir, payload=False)[0])
+    return X.positions(build(spark, sf_dir, payload=False)[0]).drop("shard")
 
 
 @register("collated_positions", f"{_PACK}, {_COL} SELECT * FROM placed")
 def collated_positions(spark, sf_dir):
-    return X.collated(build(spark, sf_dir, payload=False)[0])
+    return X.collated(build(spark, sf_dir, payload=False)[0]).drop("shard")
 
 
 def _jumps(layout: str, placed: str) -> str:
@@ -148,10 +149,10 @@ def jump_stats(spark, sf_dir):
     return X.jump_stats(X.positions(blocks), "interleaved").unionAll(X.jump_stats(X.collated(blocks), "collated"))
 
 
-@register("skip_stats")
+@register("skip_stats", f"{_SEEK}, pl AS (SELECT t.qid, t.term, t.d, b.block_no, b.first_d FROM (SELECT q.qid, q.term, s.d FROM kq q JOIN sd s ON s.qid = q.qid WHERE q.r > 1) t ASOF JOIN (SELECT * FROM tab WHERE n > 0) b ON t.term = b.term AND t.d >= b.first_d), pb AS (SELECT qid, term, block_no, max((d > first_d)::BIGINT) AS i FROM pl GROUP BY qid, term, block_no), pc AS (SELECT qid, term, count(*) AS t, sum(i)::BIGINT AS i FROM pb GROUP BY qid, term) SELECT k.qid, k.term, k.blocks, coalesce(c.t, 0) AS touched, coalesce(c.i, 0) AS decoded FROM kq k LEFT JOIN pc c ON c.qid = k.qid AND c.term = k.term WHERE k.r > 1")
 def skip_stats(spark, sf_dir):
-    stream = S.docs(spark, sf_dir)
-    return X.skip_stats(build(spark, sf_dir, payload=False)[0], L.query_log(spark, sf_dir), P.count_terms(stream))
+    blocks, cfg = build(spark, sf_dir, payload=False)
+    return X.skip_stats(blocks, L.query_log(spark, sf_dir), P.count_terms(S.docs(spark, sf_dir)), cfg)
 
 
 @register("shard_rollover", f"SELECT (d - 1) // 100 AS shard, count(DISTINCT d) AS docs, count(*) AS postings FROM {Q.counts('docs')} GROUP BY 1")

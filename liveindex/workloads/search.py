@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from liveindex.operators import evaluate as E
 from liveindex.operators import packer as K
 from liveindex.operators import postings as P
 from liveindex.operators import search as X
@@ -57,7 +58,7 @@ def query_stats(spark, sf_dir):
     out = None
     for c in ("docs", "pages", "turns"):
         counts = P.count_terms(S.COLLECTIONS[c](spark, sf_dir))
-        row = X.conjunctive(counts, log).agg(F.count("*").alias("conj")).crossJoin(X.disjunctive(counts, log).agg(F.count("*").alias("disj"))).crossJoin(n)  # one row each
+        row = X.conjunctive(counts, log).agg(F.count("*").alias("conj")).crossJoin(E.disjunctive_counts(counts, log).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("disj"))).crossJoin(n)  # one row each
         row = row.select(F.lit(c).alias("coll"), "queries", F.round(F.col("conj") / F.col("queries"), 6).alias("avg_conj"), F.round(F.col("disj") / F.col("queries"), 6).alias("avg_disj"))
         out = row if out is None else out.unionAll(row)
     return out
@@ -68,7 +69,12 @@ _CONJ = f"WITH {_QT}, {_all('docs', 'c')} SELECT qid, d FROM c"
 
 @register("conjunctive", _CONJ)
 def conjunctive(spark, sf_dir):
-    return X.conjunctive(_counts(spark, sf_dir), L.query_log(spark, sf_dir))
+    return X.conjunctive(_counts(spark, sf_dir), L.query_log(spark, sf_dir), n_docs=_n(spark, sf_dir))
+
+
+@register("conjunctive_count", _CONJ)
+def conjunctive_count(spark, sf_dir):
+    return X.conjunctive(_counts(spark, sf_dir), L.query_log(spark, sf_dir), "count")
 
 
 @register("conjunctive_semijoin", _CONJ)
@@ -84,7 +90,7 @@ def conjunctive_skip(spark, sf_dir):
 
 @register("disjunctive_counts", f"WITH {_QT} SELECT q.qid, count(DISTINCT p.d) AS n FROM qt q JOIN {Q.counts('docs')} p ON p.term = q.term GROUP BY q.qid")
 def disjunctive_counts(spark, sf_dir):
-    return X.disjunctive(_counts(spark, sf_dir), L.query_log(spark, sf_dir)).groupBy("qid").agg(F.count("*").alias("n"))
+    return E.disjunctive_counts(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir))
 
 
 @register("topk_tfidf", f"WITH {_QT}, {_SCORED} {_TOP}")
@@ -92,6 +98,16 @@ def topk_tfidf(spark, sf_dir):
     return X.topk(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir))
 
 
+@register("topk_joined", f"WITH {_QT}, {_SCORED} {_TOP}")
+def topk_joined(spark, sf_dir):
+    return X.topk_joined(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir))
+
+
+@register("topk_maxscore", f"WITH {_QT}, {_SCORED} {_TOP}")
+def topk_maxscore(spark, sf_dir):
+    return X.topk(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir), prune=True)
+
+
 @register("topk_pruned", f"WITH {_QT}, {_SCORED} {_TOP}")
 def topk_pruned(spark, sf_dir):
     return X.topk_pruned(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir))
@@ -136,7 +152,7 @@ def phrase(spark, sf_dir):
     at = items.select("item_id", "t", F.explode(F.expr("case when size(t) > 0 then sequence(1, size(t), 5) end")).alias("pos"))
     every = at.select("item_id", "t", "pos", F.explode(F.array(*map(F.lit, range(1, 7)))).alias("n")).where(F.col("pos") + F.col("n") - 1 <= F.size("t"))
     log = every.select(((F.col("item_id") * 1000 + F.col("pos")) * 10 + F.col("n")).alias("qid"), F.expr("slice(t, pos, n)").alias("terms"))
-    return X.phrase(P.occurrences(S.docs(spark, sf_dir)), log)
+    return X.phrase(P.occurrences(S.docs(spark, sf_dir)), log, _n(spark, sf_dir))
 
 
 _PAIRS = f"(SELECT qid, phrase[1] AS t1, phrase[2] AS t2 FROM {LOG} WHERE len(phrase) = 2 AND phrase[1] <> phrase[2])"
@@ -150,7 +166,7 @@ def proximity(spark, sf_dir):
 
 @register("recent_matches", f"WITH {_QT}, {_all('docs', 'c')} SELECT qid, d, rank FROM (SELECT qid, d, row_number() OVER (PARTITION BY qid ORDER BY d DESC) AS rank FROM c) WHERE rank <= 10")
 def recent_matches(spark, sf_dir):
-    return X.recent_matches(_counts(spark, sf_dir), L.query_log(spark, sf_dir), 10).select("qid", "d", "rank")
+    return X.recent_matches(_counts(spark, sf_dir), L.query_log(spark, sf_dir), 10, _n(spark, sf_dir)).select("qid", "d", "rank")
 
 
 @register("boolean_expr", f"WITH p AS MATERIALIZED {Q.counts('docs')}, x AS (SELECT d FROM p WHERE term = 'the' INTERSECT (SELECT d FROM p WHERE term = 'of' UNION SELECT d FROM p WHERE term = 'das')) SELECT d FROM x EXCEPT SELECT d FROM p WHERE term = 'from'")
@@ -169,12 +185,12 @@ def _ops(spark, sf_dir):
 @register("ops_conjunctive", f"WITH {_QT}, {_OPS} SELECT o.op_seq, q.qid, p.d FROM qt q JOIN ops o ON o.qid = q.qid JOIN {Q.counts('docs')} p ON p.term = q.term AND 2 * p.d < o.op_seq GROUP BY o.op_seq, q.qid, p.d, q.n_terms HAVING count(*) = q.n_terms")
 def ops_conjunctive(spark, sf_dir):
     """Inserts have even numbers, queries odd ones; each query sees the documents before it and no others."""
-    return X.ops_conjunctive(_counts(spark, sf_dir).withColumn("seq", 2 * F.col("d")), _ops(spark, sf_dir))
+    return X.ops_conjunctive(_counts(spark, sf_dir).withColumn("seq", 2 * F.col("d")), _ops(spark, sf_dir), _n(spark, sf_dir))
 
 
 @register("ops_topk", f"""WITH {_QT}, {_OPS}, seen AS (SELECT o.op_seq, q.qid, q.term, p.d, p.f FROM qt q JOIN ops o ON o.qid = q.qid JOIN {Q.counts('docs')} p ON p.term = q.term AND 2 * p.d < o.op_seq),
 ft AS (SELECT qid, term, count(*) AS ft FROM seen GROUP BY qid, term), sc AS (SELECT s.op_seq, s.qid, s.d, round(sum(ln(1 + s.f) * ln(1 + ((s.op_seq - 1) // 2) / t.ft::DOUBLE)), 6) AS score FROM seen s JOIN ft t ON t.qid = s.qid AND t.term = s.term GROUP BY s.op_seq, s.qid, s.d)
 SELECT op_seq, qid, d, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, d) AS rank FROM sc) WHERE rank <= 10""")
 def ops_topk(spark, sf_dir):
-    docs = S.table(spark, sf_dir, "documents").select((2 * (F.col("doc_id") + 1)).alias("seq"))
-    return X.ops_topk(_counts(spark, sf_dir).withColumn("seq", 2 * F.col("d")), docs, _ops(spark, sf_dir)).select("op_seq", "qid", "d", "score", "rank")
+    docs = S.table(spark, sf_dir, "documents").select((F.col("doc_id") + 1).alias("d"), (2 * (F.col("doc_id") + 1)).alias("seq"))
+    return X.ops_topk(_counts(spark, sf_dir).withColumn("seq", 2 * F.col("d")), docs, _ops(spark, sf_dir), n_docs=_n(spark, sf_dir)).select("op_seq", "qid", "d", "score", "rank")
