@@ -59,7 +59,10 @@ class IndexConfig:
 
 
 BLOCKS = "shard long, term string, block_no long, kind string, cap long, first_d long, last_d long, n long, used long, most long, payload binary"
+_NAMES = [c.split()[0] for c in BLOCKS.split(", ")]
 KINDS = np.array(["head", "full", "tail"])
+#: A variable chain counts its blocks in one byte: beyond this many they keep the size of the last counted one.
+MOST_VARIABLE = 256
 
 
 def _code(cfg: IndexConfig, gap: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -67,45 +70,79 @@ def _code(cfg: IndexConfig, gap: np.ndarray, x: np.ndarray) -> tuple[np.ndarray,
     return (gap, x) if cfg.level == "doc" else (x, gap + 1)
 
 
-def pack(first: np.ndarray, letters: np.ndarray, d: np.ndarray, x: np.ndarray, cfg: IndexConfig) -> dict[str, np.ndarray]:
-    """Blocks of several lists. first: where each list's postings begin, and one more; letters: bytes of its term.
+class Chains:
+    """Where lists stand before postings are added: the open block of each, block 1 and empty for a new list.
 
-    Returns list, block_no, cap, start, end (postings), base (document that the first gap counts from), used."""
+    z: its number; used, n: its bytes and postings; first: its first document, 0 if empty; last: the list's last document."""
+
+    def __init__(self, lists: int) -> None:
+        self.z = np.ones(lists, np.int64)
+        self.used, self.n, self.first, self.last, self.most = (np.zeros(lists, np.int64) for _ in range(5))
+        self.payload: list[bytes] | None = None
+
+
+class _Sizes:
+    """Sizes of a chain's blocks by number, made as far as asked for."""
+
+    def __init__(self, cfg: IndexConfig) -> None:
+        self.cfg, self.made, self.payload, self.last = cfg, np.zeros(0, np.int64), 0, cfg.B
+
+    def of(self, z: np.ndarray) -> np.ndarray:
+        cfg, more = self.cfg, int(z.max(initial=0)) - self.made.size
+        if more > 0:
+            out, most = [], cfg.cap // cfg.B * cfg.B
+            for k in range(self.made.size + 1, self.made.size + max(more, 64) + 1):
+                if cfg.growth == "constant" or k <= MOST_VARIABLE:
+                    self.last = min(most, rules.next_size(cfg.growth, cfg.B, cfg.h, self.payload, cfg.k))
+                out.append(self.last)
+                size = self.last
+                self.payload += size - cfg.h
+            self.made = np.concatenate((self.made, np.array(out, np.int64)))
+        return self.made[z - 1]
+
+
+def pack(first: np.ndarray, letters: np.ndarray, d: np.ndarray, x: np.ndarray, cfg: IndexConfig, at_first: Chains | None = None) -> dict[str, np.ndarray]:
+    """Blocks that adding postings to several lists makes or changes.
+
+    first: where each list's postings begin, and one more; letters: bytes of its term; at_first: where the lists stand.
+    A posting goes into the open block if its code fits; else it opens the next, where its gap counts from the first
+    document of the block before. Returns list, block_no, cap, start, end (postings added), base (document that the
+    first added gap counts from), used (bytes added), fresh (whether the block had nothing before)."""
     lists = len(first) - 1
+    old = at_first or Chains(lists)
     before = np.concatenate(([0], d[:-1])) if d.size else d
-    before[first[:-1]] = 0
+    before[first[:-1]] = old.last
     gap = d - before
     lens = codecs.pair_lens(*_code(cfg, gap, x), cfg.threshold)
     run = np.concatenate(([0], np.cumsum(lens)))
-    found: dict[str, list[np.ndarray]] = {k: [] for k in ("list", "block_no", "cap", "start", "end", "base", "used")}
-    who, at, base = np.arange(lists), first[:-1].copy(), np.zeros(lists, np.int64)
-    sizes, payload, z = rules.sizes(cfg.growth, cfg.B, cfg.h, 1, cfg.k, cfg.cap), 0, 0
+    found: dict[str, list[np.ndarray]] = {k: [] for k in ("list", "block_no", "cap", "start", "end", "base", "used", "fresh")}
+    sizes = _Sizes(cfg)
+    who, at, base, z = np.arange(lists), first[:-1].copy(), old.last.copy(), old.z.copy()
+    opening = True
     while who.size:
-        z += 1
-        size = sizes[-1]
-        payload += size - cfg.h
-        sizes.append(min(rules.next_size(cfg.growth, cfg.B, cfg.h, payload, cfg.k), cfg.cap // cfg.B * cfg.B))
-        cap = size - (cfg.head_bytes + letters[who] if z == 1 else np.full(who.size, cfg.h))
+        cap = sizes.of(z) - np.where(z == 1, cfg.head_bytes + letters[who], cfg.h)
+        room = cap - (old.used if opening else 0)
         one = codecs.pair_lens(*_code(cfg, d[at] - base, x[at]), cfg.threshold)
-        end = np.minimum(np.searchsorted(run, run[at + 1] + cap - one, side="right") - 1, first[who + 1])
-        empty = one > cap
-        end = np.where(empty, at, end)
-        used = np.where(empty, 0, one + run[end] - run[np.minimum(at + 1, run.size - 1)])
-        for name, value in (("list", who), ("block_no", np.full(who.size, z)), ("cap", cap), ("start", at), ("end", end), ("base", base), ("used", used)):
+        end = np.minimum(np.searchsorted(run, run[at + 1] + room - one, side="right") - 1, first[who + 1])
+        none = one > room
+        end = np.where(none, at, end)
+        used = np.where(none, 0, one + run[end] - run[np.minimum(at + 1, run.size - 1)])
+        held = old.n > 0 if opening else np.zeros(who.size, bool)
+        for name, value in (("list", who), ("block_no", z), ("cap", cap), ("start", at), ("end", end), ("base", base), ("used", used), ("fresh", ~held)):
             found[name].append(value)
-        base = np.where(empty, 0, d[at])
+        head = np.where(none, 0, d[at])
+        base = np.where(held, old.first, head) if opening else head
         more = end < first[who + 1]
-        who, at, base = who[more], end[more], base[more]
+        who, at, base, z, opening = who[more], end[more], base[more], z[more] + 1, False
     out = {k: np.concatenate(v) for k, v in found.items()}
     order = np.lexsort((out["block_no"], out["list"]))
     return {k: v[order] for k, v in out.items()}
 
 
-def _rows(shard: np.ndarray, term: pa.Array, d: np.ndarray, x: np.ndarray, first: np.ndarray, cfg: IndexConfig) -> pa.RecordBatch:
-    heads = first[:-1]
-    terms = term.take(pa.array(heads))
-    letters = np.array([len(t.encode()) for t in terms.to_pylist()], np.int64)
-    blocks = pack(first, letters, d, x, cfg)
+def _rows(shard: np.ndarray, term: pa.Array, d: np.ndarray, x: np.ndarray, first: np.ndarray, cfg: IndexConfig, old: Chains | None = None) -> pa.RecordBatch:
+    """Blocks of whole lists, or what changes of them. shard, term: one for each list."""
+    letters = np.array([len(t.encode()) for t in term.to_pylist()], np.int64)
+    blocks = pack(first, letters, d, x, cfg, old)
     who, start, end = blocks["list"], blocks["start"], blocks["end"]
     last = np.append(who[1:] != who[:-1], True) if who.size else np.zeros(0, bool)
     kind = KINDS[np.where(blocks["block_no"] == 1, 0, np.where(last, 2, 1))]
@@ -113,58 +150,154 @@ def _rows(shard: np.ndarray, term: pa.Array, d: np.ndarray, x: np.ndarray, first
     begin = np.where(filled, d[np.minimum(start, d.size - 1)], 0)
     stop = np.where(filled, d[end - 1], 0)
     most = np.zeros(who.size, np.int64)
-    most[filled] = np.maximum.reduceat(x, start[filled]) if filled.any() else 0
+    lengths = np.column_stack((start[filled], end[filled])).reshape(-1)
+    if filled.any():
+        most[filled] = np.maximum.reduceat(np.append(x, 0), lengths)[::2]
+    n, used = end - start, blocks["used"]
+    if old is not None:
+        was = np.flatnonzero(~blocks["fresh"])
+        mine = who[was]
+        begin[was], stop[was] = old.first[mine], np.where(filled[was], stop[was], old.last[mine])
+        most[was] = np.maximum(most[was], old.most[mine])
+        n[was] += old.n[mine]
     payload: pa.Array = pa.nulls(who.size, pa.binary())
     if cfg.payload:
         before = np.concatenate(([0], d[:-1]))
         before[start[filled]] = blocks["base"][filled]
-        before[heads] = 0
-        first_tail = np.flatnonzero(filled & (blocks["block_no"] > 1))
-        before[start[first_tail]] = blocks["base"][first_tail]
-        data = codecs.pair_encode(*_code(cfg, d - before, x), cfg.threshold)
-        offsets = np.concatenate(([0], np.cumsum(blocks["used"])))
-        payload = pa.Array.from_buffers(pa.large_binary(), who.size, [None, pa.py_buffer(offsets.astype(np.int64).tobytes()), pa.py_buffer(data.tobytes())]).cast(pa.binary())
+        data = codecs.pair_encode(*_code(cfg, d - before, x), cfg.threshold).tobytes()
+        stops = np.cumsum(used)
+        if old is None or old.payload is None or not (~blocks["fresh"]).any():
+            offsets = np.concatenate(([0], stops)).astype(np.int64)
+            payload = pa.Array.from_buffers(pa.large_binary(), who.size, [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(data)]).cast(pa.binary())
+        else:
+            payload = pa.array([(b"" if f else old.payload[w]) + data[b - u : b] for f, w, u, b in zip(blocks["fresh"].tolist(), who.tolist(), used.tolist(), stops.tolist(), strict=True)], pa.binary())
+    if old is not None:
+        used = used + np.where(blocks["fresh"], 0, old.used[who])
     return pa.RecordBatch.from_arrays([
-        pa.array(shard[heads][who]), terms.take(pa.array(who)), pa.array(blocks["block_no"]), pa.array(kind.tolist(), pa.string()), pa.array(blocks["cap"].astype(np.int64)), pa.array(begin), pa.array(stop),
-        pa.array(end - start), pa.array(blocks["used"].astype(np.int64)), pa.array(most), payload], names=[c.split()[0] for c in BLOCKS.split(", ")])
+        pa.array(shard[who]), term.take(pa.array(who)), pa.array(blocks["block_no"]), pa.array(kind.tolist(), pa.string()), pa.array(blocks["cap"].astype(np.int64)), pa.array(begin), pa.array(stop),
+        pa.array(n), pa.array(used.astype(np.int64)), pa.array(most), payload], names=_NAMES)
+
+
+def _lists(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Table, np.ndarray]]:
+    """Whole lists of rows sorted by shard and term, about _CHUNK rows at a time: the rows, and where each list begins."""
+    held: list[pa.RecordBatch] = []
+
+    def cut(whole: bool):
+        table = pa.Table.from_batches(held).combine_chunks()
+        shard, codes = table.column("shard").to_numpy(), table.column("term").combine_chunks().dictionary_encode().indices.to_numpy()
+        new = np.ones(table.num_rows, bool)
+        new[1:] = (codes[1:] != codes[:-1]) | (shard[1:] != shard[:-1])
+        first = np.append(np.flatnonzero(new), table.num_rows)
+        if not whole:  # the last list may go on in the next batch
+            first = first[:-1]
+        return table, first, int(first[-1])
+
+    for batch in batches:
+        if batch.num_rows:
+            held.append(batch)
+        if sum(b.num_rows for b in held) >= _CHUNK:
+            table, first, end = cut(False)
+            if len(first) > 1:
+                yield table.slice(0, end), first
+            held = table.slice(end).to_batches()
+    if held:
+        table, first, _ = cut(True)
+        yield table, first
+
+
+def _columns(table: pa.Table, first: np.ndarray) -> tuple:
+    heads = pa.array(first[:-1])
+    one = table.combine_chunks()
+    return one.column("shard").to_numpy()[first[:-1]], one.column("term").combine_chunks().take(heads), one.column("d").to_numpy(), one.column("x").to_numpy()
+
+
+def _sorted(postings: DataFrame, cfg: IndexConfig, shard: Column | None = None) -> DataFrame:
+    """(shard, term, d, x) dealt by shard and term and sorted: the one data shuffle of a build."""
+    order = ["shard", "term", "d"] + ([] if cfg.level == "doc" else ["w"])
+    x = F.col("f" if cfg.level == "doc" else "wg").cast("long").alias("x")
+    parts = int(postings.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = postings.withColumn("shard", cfg.shard_of("d") if shard is None else shard).select(*order, x)
+    return rows.repartition(parts, "shard", "term").sortWithinPartitions(*order)
+
+
+def build_blocks(postings: DataFrame, cfg: IndexConfig, shard: Column | None = None) -> DataFrame:
+    """Blocks of postings(term, d, f) or (term, d, w, wg). A shard is a run of cfg.shard_docs documents unless a column
+    says otherwise; it bounds each list that a task holds."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table, first in _lists(batches):
+            shard, term, d, x = _columns(table, first)
+            yield _rows(shard, term, d, x, first, cfg)
+
+    return _sorted(postings, cfg, shard).mapInArrow(run, BLOCKS)
+
+
+SIZED = "variant int, lists long, blocks long, postings long, total_bytes long"
 
 
-def build_blocks(postings: DataFrame, cfg: IndexConfig) -> DataFrame:
-    """Blocks of postings(term, d, f) or (term, d, w, wg): the one data shuffle of a build, by shard and term.
+def index_sizes(postings: DataFrame, cfgs: list[IndexConfig]) -> DataFrame:
+    """(variant, lists, blocks, postings, total_bytes) of the indexes that several configurations of one level would
+    make, in one pass: each sorted list is packed once for each, and only sums leave the task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums = np.zeros((len(cfgs), 4), np.int64)
+        for table, first in _lists(batches):
+            _, term, d, x = _columns(table, first)
+            letters = np.array([len(t.encode()) for t in term.to_pylist()], np.int64)
+            for k, cfg in enumerate(cfgs):
+                blocks = pack(first, letters, d, x, cfg)
+                own = np.where(blocks["block_no"] == 1, cfg.head_bytes + letters[blocks["list"]], cfg.h)
+                sums[k] += (letters.size, blocks["list"].size, d.size, int((blocks["cap"] + own).sum()) + 8 * letters.size)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(cfgs)), pa.int32()), *[pa.array(sums[:, k].copy()) for k in range(4)]], names=[c.split()[0] for c in SIZED.split(", ")])
+
+    parts = _sorted(postings, cfgs[0]).mapInArrow(run, SIZED)
+    return parts.groupBy("variant").agg(*[F.sum(c.split()[0]).alias(c.split()[0]) for c in SIZED.split(", ")[1:]])
 
-    A shard is a run of cfg.shard_docs documents, which bounds each list that a task holds."""
-    x = "f" if cfg.level == "doc" else "wg"
+
+CHANGED = f"{BLOCKS}, open boolean, made boolean"
+
+
+def extend_blocks(tails: DataFrame, postings: DataFrame, cfg: IndexConfig, shard: Column | None = None) -> DataFrame:
+    """What adding postings changes: BLOCKS with `open` and `made`, the blocks that get postings or are made. open: the
+    last of each list, which the next insert goes on with; others are final. made: blocks that were not there before.
+
+    tails: the open blocks of the lists so far (BLOCKS), whose payloads are carried on unread. All postings are of later
+    documents than any of their list. The blocks are those that one build over all postings would make."""
     order = ["shard", "term", "d"] + ([] if cfg.level == "doc" else ["w"])
-    rows = postings.withColumn("shard", cfg.shard_of("d")).select(*order, F.col(x).cast("long").alias("x"))
+    x = F.col("f" if cfg.level == "doc" else "wg").cast("long")
+    state = F.struct("block_no", "used", "n", "first_d", "last_d", "most", "payload")
+    new = postings.withColumn("shard", cfg.shard_of("d") if shard is None else shard)
+    asked = new.select("shard", "term").distinct()
+    old = tails.join(asked, ["shard", "term"], "left_semi").select("shard", "term", F.lit(0).cast("long").alias("d"), F.lit(0).cast("long").alias("w"), F.lit(0).cast("long").alias("x"), state.alias("state"))
+    rows = new.select("shard", "term", "d", (F.lit(0).cast("long") if cfg.level == "doc" else F.col("w")).alias("w"), x.alias("x"), F.lit(None).cast(old.schema["state"].dataType).alias("state")).unionByName(old)
     parts = int(postings.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-
-        def packed(some: list[pa.RecordBatch], whole: bool):
-            table = pa.Table.from_batches(some).combine_chunks().to_batches()[0]
-            shard, term, d, x = table.column("shard").to_numpy(), table.column("term"), table.column("d").to_numpy(), table.column("x").to_numpy()
-            codes = term.dictionary_encode().indices.to_numpy()
-            new = np.ones(d.size, bool)
-            new[1:] = (codes[1:] != codes[:-1]) | (shard[1:] != shard[:-1])
-            first = np.append(np.flatnonzero(new), d.size)
-            if not whole:  # the last list may go on in the next batch
-                first = first[:-1]
-            end = int(first[-1])
-            out = _rows(shard[:end], term.slice(0, end), d[:end], x[:end], first, cfg) if len(first) > 1 else None
-            return out, [table.slice(end)] if end < d.size else []
-
-        for batch in batches:
-            if batch.num_rows:
-                held.append(batch)
-            if sum(b.num_rows for b in held) >= _CHUNK:
-                out, held = packed(held, False)
-                if out is not None:
-                    yield out
-        if held:
-            yield packed(held, True)[0]
-
-    return rows.repartition(parts, "shard", "term").sortWithinPartitions(*order).mapInArrow(run, BLOCKS)
+        for table, first in _lists(batches):
+            shard, term, d, x = _columns(table, first)
+            said = table.column("state").combine_chunks()
+            known = said.is_valid().to_numpy(zero_copy_only=False)
+            lists = np.cumsum(np.isin(np.arange(d.size), first[:-1])) - 1
+            at = Chains(first.size - 1)
+            at.payload = [b""] * (first.size - 1)
+            where = np.flatnonzero(known)
+            mine = lists[where]
+            for name, field in (("z", "block_no"), ("used", "used"), ("n", "n"), ("first", "first_d"), ("last", "last_d"), ("most", "most")):
+                getattr(at, name)[mine] = said.field(field).to_numpy(zero_copy_only=False)[where].astype(np.int64)
+            at.first[at.n == 0] = 0
+            for k, w in zip(mine.tolist(), where.tolist(), strict=True):
+                at.payload[k] = said.field("payload")[w].as_py() or b""
+            keep = ~known
+            starts = np.concatenate(([0], np.cumsum(keep)))[first]
+            out = _rows(shard, term, d[keep], x[keep], starts, cfg, at)
+            last = np.append(out.column("term").dictionary_encode().indices.to_numpy()[1:] != out.column("term").dictionary_encode().indices.to_numpy()[:-1], True)
+            shards = out.column("shard").to_numpy()
+            last[:-1] |= shards[1:] != shards[:-1]
+            heads = np.append(True, last[:-1])
+            made = ~heads | (at.n == 0)[np.cumsum(heads) - 1]
+            yield pa.RecordBatch.from_arrays([*out.columns, pa.array(last), pa.array(made)], names=[*_NAMES, "open", "made"])
+
+    return rows.repartition(parts, "shard", "term").sortWithinPartitions("shard", "term", "d", "w").mapInArrow(run, CHANGED)
 
 
 def term_dir(blocks: DataFrame) -> DataFrame:

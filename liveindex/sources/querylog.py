@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from liveindex.operators.postings import count_terms
 from liveindex.operators.search import conjunctive
+from liveindex.scratch import numbered, written
 from liveindex.sources import collections as S
 
 LONGEST, STRIDE = 6, 5
@@ -24,5 +25,23 @@ def filtered(spark: SparkSession, sf_dir: str, log: DataFrame | None = None) ->
     """The log's queries that have a conjunctive match in docs, pages and turns."""
     log = query_log(spark, sf_dir) if log is None else log
     for make in (S.docs, S.pages, S.turns):
-        log = log.join(conjunctive(count_terms(make(spark, sf_dir)), log).select("qid").distinct(), "qid", "left_semi")
+        log = written(log.join(conjunctive(count_terms(make(spark, sf_dir)), log).select("qid").distinct(), "qid", "left_semi"), "query-log")
     return log
+
+
+def turns_log(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(qid, terms): the first four words of each turn of a user; qid = conversation * 1000 + turn."""
+    rows = S.table(spark, sf_dir, "conversations").where("role = 'user'")
+    words = F.slice(S.tokens(F.col("text")), 1, 4)
+    return rows.select((F.col("conv_id") * 1000 + F.col("turn")).alias("qid"), F.array_distinct(words).alias("terms")).where(F.size("terms") > 0)
+
+
+def baskets_log(spark: SparkSession, sf_dir: str, queries: int = 2000) -> DataFrame:
+    """(qid, terms): pairs and triples of terms of the order baskets, picked by a rule: the k-th query takes places
+    k, 7 k + 3 and, if k is odd, 13 k + 5 of the sorted vocabulary, round its end."""
+    terms = S.baskets(spark, sf_dir).select(F.explode("terms").alias("term")).distinct()
+    vocabulary = numbered(terms, "term", into="at").select("term", (F.col("at") - 1).alias("at"))
+    size = vocabulary.count()
+    steps = F.when(F.col("qid") % 2 == 1, F.array(F.col("qid"), 7 * F.col("qid") + 3, 13 * F.col("qid") + 5)).otherwise(F.array(F.col("qid"), 7 * F.col("qid") + 3))
+    asked = spark.range(queries).withColumnRenamed("id", "qid").select("qid", F.explode(F.transform(steps, lambda x: F.pmod(x, F.lit(size)))).alias("at"))
+    return asked.join(vocabulary, "at").groupBy("qid").agg(F.array_sort(F.collect_set("term")).alias("terms"))

@@ -62,32 +62,32 @@ for _b in (48, 64):
         return K.component_table(*build(spark, sf_dir, B=b, payload=False))
 
 
-def _total(unit: str) -> str:
-    return f"SELECT {unit}::BIGINT AS B, count(*) AS blocks, (count(*) * {unit} + 8 * count_if(kind = 'head'))::BIGINT AS total_bytes, round((count(*) * {unit} + 8 * count_if(kind = 'head')) / sum(n), 6)::DOUBLE AS bytes_per_posting FROM tab"
-
-
 def b_sweep(spark, sf_dir, level: str, coll: str = "docs"):
-    """One build a size over the same postings; only block facts are made, no payloads."""
+    """All sizes in one pass over the sorted lists; only sums leave the tasks."""
     stream = S.COLLECTIONS[coll](spark, sf_dir)
     postings = P.count_terms(stream) if level == "doc" else P.postings_word(stream)
-    out = None
-    for b in SIZES:
-        cfg = K.IndexConfig(B=b, level=level, payload=False)
-        row = K.index_bytes(K.build_blocks(postings, cfg), cfg).select(F.lit(b).cast("long").alias("B"), "blocks", "total_bytes", F.round(F.col("total_bytes") / F.col("postings"), 6).alias("bytes_per_posting"))
-        out = row if out is None else out.unionAll(row)
-    return out
+    sums = K.index_sizes(postings, [K.IndexConfig(B=b, level=level) for b in SIZES])
+    size = F.element_at(F.array(*map(F.lit, SIZES)), F.col("variant") + 1).cast("long")
+    return sums.select(size.alias("B"), "blocks", "total_bytes", F.round(F.col("total_bytes") / F.col("postings"), 6).alias("bytes_per_posting"))
 
 
 for _level in ("doc", "word"):
-    _sql = " UNION ALL ".join(f"(WITH RECURSIVE {Q.packed('docs', _level, unit=str(b))}, {Q.blocks(str(b))} {_total(str(b))})" for b in SIZES)
+    for _coll in S.COLLECTIONS:
+        _sql = " UNION ALL ".join(f"(SELECT {b}::BIGINT AS B, sum(z)::BIGINT AS blocks, (sum(z) * {b} + 8 * count(*))::BIGINT AS total_bytes, round((sum(z) * {b} + 8 * count(*)) / sum(n), 6)::DOUBLE AS bytes_per_posting FROM {Q.folded(_coll, _level, b)})" for b in SIZES)
+
+        @register(f"b_sweep_{_level}" + (f"_{_coll}" if _coll != "docs" else ""), _sql)
+        def _(spark, sf_dir, level=_level, coll=_coll):
+            return b_sweep(spark, sf_dir, level, coll)
+
 
-    @register(f"b_sweep_{_level}", _sql)
-    def _(spark, sf_dir, level=_level):
-        return b_sweep(spark, sf_dir, level)
+for _coll in ("docs", "baskets"):
+    for _level in ("doc", "word"):
 
-    @register(f"b_sweep_{_level}_baskets")
-    def _(spark, sf_dir, level=_level):
-        return b_sweep(spark, sf_dir, level, "baskets")
+        @register(f"head_only_share_{_level}_{_coll}", f"SELECT count(*) AS lists, count_if(z = 1)::BIGINT AS head_only, round(count_if(z = 1) / count(*), 6)::DOUBLE AS share FROM {Q.folded(_coll, _level, 64)}")
+        def _(spark, sf_dir, level=_level, coll=_coll):
+            """Lists that never leave their head block."""
+            heads = build(spark, sf_dir, coll, level=level, payload=False)[0].groupBy("shard", "term").agg(F.count("*").alias("z"))
+            return heads.agg(F.count("*").alias("lists"), F.count_if(F.col("z") == 1).alias("head_only")).select("lists", "head_only", F.round(F.col("head_only") / F.col("lists"), 6).alias("share"))
 
 
 @register("roundtrip_diff", "SELECT l AS level, 0::BIGINT AS missing, 0::BIGINT AS extra FROM (VALUES ('doc'), ('word')) t(l)")

@@ -50,16 +50,18 @@ def best_block(spark, sf_dir):
     return rows.select("n", F.lit(4).cast("long").alias("h"), "best_b", z.alias("z"), (4 * z).alias("link_bytes"), (z * (F.col("best_b") - 4) - n).alias("unused_bytes"))
 
 
+VARIANTS = [(rule, b) for rule in RULES for b in (48, 64)]
+
+
 def compare(spark, sf_dir, coll: str):
-    stream = S.COLLECTIONS[coll](spark, sf_dir)
-    out = None
+    """All rules and sizes in one pass a level."""
+    stream, out = S.COLLECTIONS[coll](spark, sf_dir), None
     for level in ("doc", "word"):
         postings = P.count_terms(stream) if level == "doc" else P.postings_word(stream)
-        for rule in RULES:
-            for b in (48, 64):
-                cfg = K.IndexConfig(B=b, level=level, growth=rule, payload=False)
-                row = K.index_bytes(K.build_blocks(postings, cfg), cfg).select(F.lit(level).alias("level"), F.lit(rule).alias("rule"), F.lit(b).cast("long").alias("B"), "total_bytes", F.round(F.col("total_bytes") / F.col("postings"), 6).alias("bytes_per_posting"))
-                out = row if out is None else out.unionAll(row)
+        sums = K.index_sizes(postings, [K.IndexConfig(B=b, level=level, growth=rule) for rule, b in VARIANTS])
+        of = lambda k: F.element_at(F.array(*[F.lit(v[k]) for v in VARIANTS]), F.col("variant") + 1)
+        row = sums.select(F.lit(level).alias("level"), of(0).alias("rule"), of(1).cast("long").alias("B"), "total_bytes", F.round(F.col("total_bytes") / F.col("postings"), 6).alias("bytes_per_posting"))
+        out = row if out is None else out.unionAll(row)
     return out
 
 
@@ -74,7 +76,16 @@ def growth_compare(spark, sf_dir):
     return compare(spark, sf_dir, "docs")
 
 
-@register("growth_compare_baskets")
+def _folded_sql(coll: str, level: str, rule: str, b: int) -> str:
+    sizes = G.sizes(rule, b, 4, 600 if rule != "constant" else 1)
+    if rule == "constant":
+        return f"(SELECT '{level}' AS level, '{rule}' AS rule, {b}::BIGINT AS B, (sum(z) * {b} + 8 * count(*))::BIGINT AS total_bytes, round((sum(z) * {b} + 8 * count(*)) / sum(n), 6)::DOUBLE AS bytes_per_posting FROM {Q.folded(coll, level, b)})"
+    sums = [sum(sizes[:k]) for k in range(1, 257)]
+    return (f"(SELECT '{level}' AS level, '{rule}' AS rule, {b}::BIGINT AS B, sum(list_extract({sums}, z) + 8)::BIGINT AS total_bytes, round(sum(list_extract({sums}, z) + 8) / sum(n), 6)::DOUBLE AS bytes_per_posting "
+            f"FROM {Q.folded(coll, level, b, sizes[:256], 20)})")
+
+
+@register("growth_compare_baskets", " UNION ALL ".join(_folded_sql("baskets", level, rule, b) for level in ("doc", "word") for rule, b in VARIANTS))
 def growth_compare_baskets(spark, sf_dir):
     """Long lists: here the order of the rules shows."""
     return compare(spark, sf_dir, "baskets")

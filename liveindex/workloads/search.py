@@ -64,6 +64,30 @@ def query_stats(spark, sf_dir):
     return out
 
 
+_TURNS_LOG = f"(SELECT conv_id * 1000 + turn AS qid, list_distinct(({Q.CUT.format(t='text', p='[a-z]+')})[1:4]) AS terms FROM conversations WHERE role = 'user')"
+
+
+@register("query_log_turns", f"SELECT qid, len(terms) AS n_terms, array_to_string(list_sort(terms), ' ') AS terms_text FROM {_TURNS_LOG} WHERE len(terms) > 0")
+def query_log_turns(spark, sf_dir):
+    return L.turns_log(spark, sf_dir).select("qid", F.size("terms").cast("long").alias("n_terms"), F.array_join(F.array_sort("terms"), " ").alias("terms_text"))
+
+
+_VOC = f"voc AS MATERIALIZED (SELECT term, row_number() OVER (ORDER BY term) - 1 AS place, count(*) OVER () AS size FROM (SELECT DISTINCT term FROM {Q.TOK['baskets']}))"
+_BASKET_QT = f"{_VOC}, asked AS (SELECT qid, unnest(CASE WHEN qid % 2 = 1 THEN [qid, 7 * qid + 3, 13 * qid + 5] ELSE [qid, 7 * qid + 3] END) % (SELECT max(size) FROM voc) AS place FROM range(2000) t(qid)), bq AS MATERIALIZED (SELECT DISTINCT qid, term FROM asked JOIN voc USING (place))"
+
+
+@register("query_log_baskets", f"WITH {_BASKET_QT} SELECT qid, count(*) AS n_terms, string_agg(term, ' ' ORDER BY term) AS terms_text FROM bq GROUP BY qid")
+def query_log_baskets(spark, sf_dir):
+    return L.baskets_log(spark, sf_dir).select("qid", F.size("terms").cast("long").alias("n_terms"), F.array_join("terms", " ").alias("terms_text"))
+
+
+@register("conjunctive_baskets", f"WITH {_BASKET_QT}, n AS (SELECT qid, count(*) AS n FROM bq GROUP BY qid) SELECT qid, count(*) AS n FROM (SELECT q.qid, p.d FROM bq q JOIN {Q.counts('baskets')} p ON p.term = q.term JOIN n ON n.qid = q.qid GROUP BY q.qid, p.d, n.n HAVING count(*) = n.n) GROUP BY qid")
+def conjunctive_baskets(spark, sf_dir):
+    """Long lists: matches of each query of the basket log."""
+    counts = P.count_terms(S.baskets(spark, sf_dir))
+    return X.conjunctive(counts, L.baskets_log(spark, sf_dir)).groupBy("qid").agg(F.count("*").alias("n"))
+
+
 _CONJ = f"WITH {_QT}, {_all('docs', 'c')} SELECT qid, d FROM c"
 
 

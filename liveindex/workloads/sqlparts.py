@@ -78,3 +78,22 @@ lists AS (SELECT term, max(block_no) AS z FROM blk GROUP BY term),
 tab AS (SELECT l.term, s.block_no, CASE WHEN s.block_no = 1 THEN 'head' WHEN s.block_no = l.z THEN 'tail' ELSE 'full' END AS kind, {unit} - CASE WHEN s.block_no = 1 THEN {head} + strlen(l.term) ELSE {h} END AS cap,
   coalesce(b.first_d, 0) AS first_d, coalesce(b.last_d, 0) AS last_d, coalesce(b.n, 0) AS n, coalesce(b.used, 0) AS used
   FROM lists l JOIN (SELECT term, unnest(range(1, z + 1)) AS block_no FROM lists) s ON s.term = l.term LEFT JOIN blk b ON b.term = s.term AND b.block_no = s.block_no)"""
+
+
+def folded(coll: str, level: str, unit: int, sizes: list[int] | None = None, head: int = 18, h: int = 4, f: int | None = None) -> str:
+    """(term, n, z): postings and blocks of each list by a fold over it, one posting a step. For long lists.
+
+    sizes: those of the first blocks, if they grow. State: z, bytes of the open block with its overhead, its first
+    document (0 while it is empty)."""
+    f = f or (4 if level == "doc" else 3)
+    source = post(coll) if level == "doc" else word(coll)
+    pick, order = ("d, f AS x, g AS gap", "d") if level == "doc" else ("d, wg AS x, g1 - 1 AS gap", "d, w")
+    length = (lambda g: plen(g, "p.x", f)) if level == "doc" else (lambda g: plen("p.x", f"({g}) + 1", f))
+    limit = str(unit) if sizes is None else f"list_extract({sizes}, s.z)"
+    fits = f"s.u + {length('p.gap')} <= {limit}"
+    step = (f"struct_pack(d := p.d, x := p.x, gap := p.gap, z := CASE WHEN {fits} THEN s.z ELSE s.z + 1 END, u := CASE WHEN {fits} THEN s.u + {length('p.gap')} ELSE {h} + {length('p.d - s.fd')} END, "
+            f"fd := CASE WHEN {fits} AND s.fd > 0 THEN s.fd ELSE p.d END)")
+    first = f"struct_pack(d := 0::BIGINT, x := 0::BIGINT, gap := 0::BIGINT, z := 1::BIGINT, u := ({head} + strlen(term))::BIGINT, fd := 0::BIGINT)"
+    item = "struct_pack(d := d::BIGINT, x := x::BIGINT, gap := gap::BIGINT, z := 0::BIGINT, u := 0::BIGINT, fd := 0::BIGINT)"
+    return (f"(SELECT term, n, list_reduce(list_prepend({first}, l), lambda s, p: {step}).z AS z FROM "
+            f"(SELECT term, count(*) AS n, list({item} ORDER BY {order}) AS l FROM (SELECT term, {pick}{'' if level == 'doc' else ', w'} FROM {source}) GROUP BY term))")
