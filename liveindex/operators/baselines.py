@@ -107,15 +107,47 @@ def merged_vocabulary(stream_counts: DataFrame, batch_docs: int) -> DataFrame:
     return first.groupBy("batch").agg(F.count("*").alias("new_terms"))
 
 
-def merge_batches(stream: DataFrame, batch_docs: int, batches: int) -> DataFrame:
-    """Postings built batch by batch and merged: equal to those of one build."""
-    from liveindex.operators.postings import count_terms, postings_doc
+def merge_batches(stream: DataFrame, batch_docs: int) -> DataFrame:
+    """Postings built batch by batch, each list of a batch as one compressed part, and the parts merged by term: equal to
+    those of one build. A part's gaps begin anew; merging adds the last document of the parts before."""
+    from liveindex.functions.codecs import pair_decode, pair_encode
+    from liveindex.operators.postings import count_terms
 
-    out = None
-    for b in range(batches):
-        part = count_terms(stream.where(F.floor((F.col("d") - 1) / batch_docs) == b))
-        out = part if out is None else out.unionAll(part)
-    return postings_doc(stream, out)
+    rows = count_terms(stream).withColumn("batch", F.floor((F.col("d") - 1) / batch_docs))
+    lists = rows.groupBy("batch", "term").agg(F.array_sort(F.collect_list(F.struct("d", "f"))).alias("l"))
+
+    def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            parts = [(x.values.field("d").to_numpy(), x.values.field("f").to_numpy()) for x in batch.column("l")]
+            data = [pair_encode(np.diff(d, prepend=d[0] - 1), f, 4).tobytes() for d, f in parts]
+            yield pa.RecordBatch.from_arrays([batch.column("batch"), batch.column("term"), pa.array([int(d[0]) for d, _ in parts]), pa.array([int(d[-1]) for d, _ in parts]), pa.array(data, pa.binary())], names=["batch", "term", "first", "last", "data"])
+
+    def merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        term, last = None, 0
+        for batch in batches:
+            out = []
+            for t, first, end, data in zip(*(batch.column(c).to_pylist() for c in ("term", "first", "last", "data")), strict=True):
+                last = last if t == term else 0
+                gap, f = pair_decode(np.frombuffer(data, np.uint8), 4)
+                d = first - 1 + np.cumsum(gap)
+                gap[0] = first - last
+                out.append((t, d, f, gap))
+                term, last = t, end
+            if out:
+                index = pa.array(np.repeat(np.arange(len(out)), [x[1].size for x in out]))
+                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out]).take(index), *[pa.array(np.concatenate([x[k] for x in out])) for k in (1, 2, 3)]], names=["term", "d", "f", "g"])
+
+    parts = int(stream.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    partial = lists.mapInArrow(packed, "batch long, term string, first long, last long, data binary")
+    return partial.repartition(parts, "term").sortWithinPartitions("term", "batch").mapInArrow(merged, "term string, d long, f long, g long")
+
+
+def sorted_inversion(stream: DataFrame) -> DataFrame:
+    """(term, d, f, g) from one sort of all occurrences, as a vocabulary tree with lists gives them in a walk."""
+    from liveindex.operators.postings import occurrences, postings_doc
+
+    runs = occurrences(stream).groupBy("term", "d").agg(F.count("*").alias("f"))
+    return postings_doc(stream, runs)
 
 
 def by_vocabulary_ranges(stream: DataFrame, passes: int) -> DataFrame:

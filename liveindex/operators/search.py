@@ -7,6 +7,8 @@ fewer than SMALL_LOG.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -88,16 +90,19 @@ def _known(blocks: DataFrame, queries: DataFrame) -> DataFrame:
     return fetch(lists, queries).withColumn("rank", F.row_number().over(by.orderBy("ft", "term"))).withColumn("known", F.count("*").over(by)).where("known = n_terms").drop("known")
 
 
-def conjunctive_by_seek(blocks: DataFrame, queries: DataFrame, cfg: IndexConfig) -> DataFrame:
-    """Conjunction that decodes the rarest list of each query, and of the others only the blocks that candidates fall in."""
+def conjunctive_by_seek(blocks: DataFrame, queries: DataFrame, cfg: IndexConfig, decode: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+    """Conjunction that decodes the rarest list of each query, and of the others only the blocks that candidates fall in.
+
+    decode: for blocks of another form, such as the runs of a static index, whose rows without payloads are its skip table."""
+    decode = decode or (lambda some: decode_blocks(some, cfg))
     known = _known(blocks, queries)
     lead = known.where("rank = 1").select("qid", "term", "n_terms")
-    seeds = decode_blocks(blocks.join(lead.select("term").distinct(), "term", "left_semi"), cfg).select("term", "d").join(lead, "term").select("qid", "d", "n_terms")
+    seeds = decode(blocks.join(lead.select("term").distinct(), "term", "left_semi")).select("term", "d").join(lead, "term").select("qid", "d", "n_terms")
     targets = seeds.join(known.where("rank > 1").select("qid", "term"), "qid").select("qid", "term", "d")
     # Queries that ask a list for the same document seek it once.
     places = seek_geq(blocks.drop("payload"), targets.select(F.lit(0).cast("long").alias("qid"), "term", "d").distinct(), cfg)
     touched = blocks.join(places.select("shard", "term", "block_no").distinct(), ["shard", "term", "block_no"], "left_semi")
-    met = targets.join(decode_blocks(touched, cfg).select("term", "d"), ["term", "d"], "left_semi").groupBy("qid", "d").agg(F.count("*").alias("m"))
+    met = targets.join(decode(touched).select("term", "d"), ["term", "d"], "left_semi").groupBy("qid", "d").agg(F.count("*").alias("m"))
     return seeds.join(met, ["qid", "d"], "left").where(F.coalesce("m", F.lit(0)) == F.col("n_terms") - 1).select("qid", "d")
 
 

@@ -145,17 +145,6 @@ def topk_from_blocks(spark, sf_dir):
     return X.topk(lists.select("term", "d", "f"), log, _n(spark, sf_dir))
 
 
-@register("fused_topk", f"WITH {_QT}, {_SCORED} {_TOP}")
-def fused_topk(spark, sf_dir):
-    """Two shards with statistics of the whole: each gives its best, the fusion gives the best of all."""
-    counts, log, n = _counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir)
-    hits = X.fetch(counts, log).join(counts.groupBy("term").agg(F.count("*").alias("ft")), "term")
-    from liveindex.functions.lengths import tf_idf
-
-    scored = hits.groupBy("qid", "d").agg(F.round(F.sum(tf_idf(F.col("f"), F.lit(n), F.col("ft"))), 6).alias("score"))
-    return X.fuse_topk([X._best(scored.where(F.col("d") <= n // 2), 10), X._best(scored.where(F.col("d") > n // 2), 10)])
-
-
 _BM = "ln(1 + (n.n - t.ft + 0.5) / (t.ft + 0.5)) * p.f * 1.9 / (p.f + 0.9 * (0.6 + 0.4 * s.len / n.a))"
 
 
