@@ -117,8 +117,9 @@ def narrow(df: DataFrame, **columns: str) -> DataFrame:
     return df.select([df[f"`{was}`"].alias(new) for new, was in columns.items()])
 
 
-def pieces(batch: pa.RecordBatch, column: str, most: int = 1 << 21):
-    """Slices of a batch whose texts hold about `most` bytes each; one text is never cut."""
+def pieces(batch: pa.RecordBatch, column: str, most: int = 1 << 20):
+    """Slices of a batch whose texts hold about `most` bytes each; one text is never cut. What Arrow has freed goes back
+    to the system after each batch, as workers live on through many stages."""
     sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
     run = np.cumsum(sizes)
     at = 0
@@ -127,6 +128,7 @@ def pieces(batch: pa.RecordBatch, column: str, most: int = 1 << 21):
         end = max(at + 1, int(np.searchsorted(run, base + most, side="right")))
         yield batch.slice(at, end - at)
         at = end
+    pa.default_memory_pool().release_unused()
 
 
 def flat(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:

@@ -5,11 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from liveindex.llm import decontam, html, licences, minhash, mixing, quality, records, shards, spans, warc
+from liveindex.llm import decontam, html, licences, minhash, mixing, quality, records, shards, spans, sql, warc
 from liveindex.llm.common import narrow, saved, table, words_in
 
 QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+#: The other queries hold signatures, alignments, optima or files, which tests hold against brute force.
+ORACLES: dict[str, str] = {"op2_repetition": sql.repetition(), "op5_superminhash": sql.near_duplicates(), "op8_column_bwt": sql.repeated_spans()}
 
 
 def query(f):
