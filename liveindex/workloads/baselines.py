@@ -85,7 +85,7 @@ def _interp(coll: str) -> str:
     """Bits by splitting each run at its middle, a level a step; counts likewise, and their sum in byte code."""
     code = "CASE WHEN v - lo - n // 2 < (1 << w) - size THEN w - 1 ELSE w END"
     return (f"(WITH RECURSIVE r AS (SELECT term, (i - 1) // 128 AS b, list(d ORDER BY d) AS ds, list(f ORDER BY d) AS fs FROM (SELECT *, row_number() OVER (PARTITION BY term ORDER BY d) AS i FROM {Q.counts(coll)}) GROUP BY 1, 2), "
-            "s AS (SELECT ds, coalesce(lag(ds[len(ds)]) OVER (PARTITION BY term ORDER BY b), 0) + 1 AS low, list_transform(fs, (x, k) -> list_sum(fs[1:k])::BIGINT) AS sums FROM r), "
+            "s AS (SELECT ds, coalesce(lag(ds[len(ds)]) OVER (PARTITION BY term ORDER BY b), 0) + 1 AS low, list_transform(fs, lambda x, k: list_sum(fs[1:k])::BIGINT) AS sums FROM r), "
             "top AS (SELECT max(list_max(ds)) AS m FROM r), "
             "g AS (SELECT ds AS l, 0::BIGINT AS p, len(ds)::BIGINT AS n, low::BIGINT AS lo, (SELECT m FROM top)::BIGINT AS hi FROM s UNION ALL SELECT sums[1:len(sums) - 1], 0, (len(sums) - 1)::BIGINT, 1, sums[len(sums)] - 1 FROM s WHERE len(sums) > 1), "
             "t AS (SELECT l, p, n, lo, hi FROM g UNION ALL SELECT l, CASE WHEN side = 0 THEN p ELSE p + n // 2 + 1 END, CASE WHEN side = 0 THEN n // 2 ELSE n - n // 2 - 1 END, CASE WHEN side = 0 THEN lo ELSE l[p + n // 2 + 1] + 1 END, CASE WHEN side = 0 THEN l[p + n // 2 + 1] - 1 ELSE hi END "
