@@ -278,7 +278,19 @@ def _sorted_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield _found(parts)
 
 
-ANCHORED = "anchor long, content long, doc_id long, rid long, place long"
+ANCHORED = "deal long, again boolean, anchor long, content long, doc_id long, rid long, place long"
+
+
+def _again(anchor: np.ndarray, content: np.ndarray, doc: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """Which segments repeat an earlier one of the same slice: those go nowhere near their anchor's others, so that a
+    passage of many documents meets itself once a slice."""
+    order = np.lexsort((place, doc, content, anchor))
+    new = np.ones(order.size, bool)
+    new[1:] = (anchor[order][1:] != anchor[order][:-1]) | (content[order][1:] != content[order][:-1])
+    lead = order[np.maximum.accumulate(np.where(new, np.arange(order.size), 0))]
+    out = np.zeros(order.size, bool)
+    out[order] = (doc[order] != doc[lead]) | (place[order] != place[lead])
+    return out
 
 
 def _anchored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -286,22 +298,30 @@ def _anchored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in C.pieces(batch, "text"):
             raw, off = C.flat(piece.column("text"))
             text, begin, windows, anchor = segments(raw, off)
-            content = C.span_hashes(raw, off[text] + begin, off[text] + begin + windows + WIDTH - 1)
-            take = pa.array(text)
-            yield pa.RecordBatch.from_arrays([pa.array(C.signed(anchor)), pa.array(C.signed(content)), piece.column("doc_id").take(take), piece.column("rid").take(take), pa.array(begin << 8 | windows)], names=["anchor", "content", "doc_id", "rid", "place"])
+            content = C.signed(C.span_hashes(raw, off[text] + begin, off[text] + begin + windows + WIDTH - 1))
+            anchor, place = C.signed(anchor), begin << 8 | windows
+            doc, rid = (piece.column(c).to_numpy()[text] for c in ("doc_id", "rid"))
+            again = _again(anchor, content, doc, place)
+            deal = np.where(again, C.signed(C.mix(doc.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + place.astype(np.uint64))), anchor)
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in (deal, again, anchor, content, doc, rid, place)], names=["deal", "again", "anchor", "content", "doc_id", "rid", "place"])
 
 
 SHARED = "anchor long, part long, doc_id long, rid long, place long"
 
 
 def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From segments ordered by (anchor, content, doc_id, place): those that repeat the first of their content, with
-    a null part; and the first of each content whose anchor has another content, with the part it falls in.
+    """From segments ordered by (again, anchor, content, doc_id, place): those that repeat the first of their content,
+    with a null part, which holds for those that come as repeats already; and the first of each content whose anchor
+    has another content, with the part it falls in.
 
     Content and anchor together are 128 bits of hash. What the next batch needs is one row: the last first."""
     lead = None  # anchor, content, doc_id, rid, place, number of its content within the anchor
     for batch in batches:
-        anchor, content, doc, rid, place = (batch.column(k).to_numpy() for k in range(5))
+        known = int(batch.num_rows - pc.sum(batch.column("again")).as_py()) if batch.num_rows else 0
+        if known < batch.num_rows:
+            late = batch.slice(known)
+            yield _rows([(late.column("anchor").to_numpy(), np.full(late.num_rows, -1), *(late.column(c).to_numpy() for c in ("doc_id", "rid", "place")))])
+        anchor, content, doc, rid, place = (batch.column(c).to_numpy()[:known] for c in ("anchor", "content", "doc_id", "rid", "place"))
         if not anchor.size:
             continue
         new = np.ones(anchor.size, bool)
@@ -415,7 +435,7 @@ def remove_repeats(df: DataFrame, text: str = "text", doc_id: str = "doc_id") ->
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     long = rows.where(F.octet_length("text") >= WIDTH)
     anchored = long.mapInArrow(_anchored, ANCHORED)
-    shared = C.saved(anchored.repartition(parts, "anchor").sortWithinPartitions("anchor", "content", "doc_id", "place").mapInArrow(_shared, SHARED), "shared-anchors")
+    shared = C.saved(anchored.repartition(parts, "deal").drop("deal").sortWithinPartitions("again", "anchor", "content", "doc_id", "place").mapInArrow(_shared, SHARED), "shared-anchors")
     large = shared.where("part > 0").select("anchor").distinct()
     split = not large.isEmpty()
     marked = shared.where("part is not null").withColumn("hot", F.lit(False))
