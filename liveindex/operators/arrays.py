@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from liveindex.functions import codecs
 from liveindex.operators.evaluate import Log, _best, _blocks, _inside, _merged, _named
 from liveindex.operators.packer import IndexConfig
+from liveindex.operators.static import decode_run
 
 MODES = ("conjunctive", "topk")
 
@@ -92,6 +93,50 @@ class ShardIndex:
         return some[pick] + low, score[pick]
 
 
+class StaticShard(ShardIndex):
+    """The same over static runs of one code, whose rows without payloads are the skip table."""
+
+    def __init__(self, rows: pa.Table, cfg: IndexConfig, code: str) -> None:
+        super().__init__(rows, cfg)
+        self.code = code
+        order = pa.compute.sort_indices(pa.table({"t": rows.column("term"), "b": rows.column("block_no")}), [("t", "ascending"), ("b", "ascending")])
+        self.last, self.total = (rows.column(c).combine_chunks().take(order).to_numpy() for c in ("last_d", "total"))
+
+    def decode(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        self.touched += places.size
+        self.decoded += int(self.n[places].sum())
+        if not places.size:
+            return (np.zeros(0, np.int64),) * 2
+        found = [decode_run(self.data[self.begin[p] : self.begin[p] + self.size[p]].tobytes(), int(self.n[p]), int(self.first[p]), int(self.last[p]), int(self.total[p]), self.code) for p in places.tolist()]
+        return np.concatenate([d for d, _ in found]), np.concatenate([f for _, f in found])
+
+
+def conjunctive(blocks: DataFrame, queries: DataFrame, cfg: IndexConfig, code: str | None = None) -> DataFrame:
+    """(qid, d) of documents with all terms of a query, from BLOCKS, or from static RUNS of a code: inside each shard the
+    rarest list is decoded, and of the others the blocks that candidates fall in. Equal queries are answered once."""
+    spark, parts = blocks.sparkSession, []
+    columns = ["shard", "term", "block_no", "first_d", "n", "payload"] + (["last_d", "total"] if code else [])
+    for log in _blocks(queries, False, None):
+        vocabulary = spark.createDataFrame([(t,) for t in log.terms], "term string")
+
+        def run(batches: Iterator[pa.RecordBatch], log: Log = log) -> Iterator[pa.RecordBatch]:
+            held = [b for b in batches if b.num_rows]
+            if not held:
+                return
+            table = pa.Table.from_batches(held)
+            for shard in pa.compute.unique(table.column("shard")).to_pylist():
+                rows = table.filter(pa.compute.equal(table.column("shard"), shard)).combine_chunks()
+                rows = rows.append_column("pos", pa.array(np.arange(rows.num_rows)))
+                index = StaticShard(rows, cfg, code) if code else ShardIndex(rows, cfg)
+                hits = [index.conjunctive([log.terms[t] for t in query]) for query in log.queries]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.arange(len(hits)), [h.size for h in hits])), pa.array(np.concatenate(hits))], names=["rep", "d"])
+
+        count = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        mine = blocks.join(F.broadcast(vocabulary), "term", "left_semi").select(*columns).repartition(count, "shard")
+        parts.append(_named(mine.mapInArrow(run, "rep long, d long"), log).select("qid", "d"))
+    return _merged(parts, spark, "qid long, d long")
+
+
 COST = "rep long, micros double, matches long, blocks long, postings long"
 
 

@@ -18,7 +18,7 @@ from liveindex.scratch import folder
 from liveindex.sources import collections as S
 from liveindex.sources import querylog as L
 from liveindex.workloads import sqlparts as Q
-from liveindex.workloads.search import _CONJ, _QT, _SCORED, _TOP
+from liveindex.workloads.search import _BM25, _CONJ, _QT, _SCORED, _TOP
 
 _PACK = f"WITH RECURSIVE {Q.packed('docs')}, {Q.blocks()}"
 _TABLE = "SELECT term, block_no, kind, cap, first_d, last_d, n, used FROM tab"
@@ -97,9 +97,27 @@ def positions_many_shards(spark, sf_dir):
 @register("conjunctive_static", _CONJ)
 def conjunctive_static(spark, sf_dir):
     """Static lists: candidates go through the skip table, only touched runs are decoded."""
-    cfg = K.IndexConfig()
+    cfg = K.IndexConfig(shard_docs=max(1, S.table(spark, sf_dir, "documents").count() // 8))
     runs = Z.build_static(P.count_terms(S.docs(spark, sf_dir)), cfg)
-    return X.conjunctive_by_seek(runs, L.query_log(spark, sf_dir), cfg, lambda some: Z.decode_static(some))
+    return A.conjunctive(runs, L.query_log(spark, sf_dir), cfg, "bp128")
+
+
+@register("conjunctive_static_seek", _CONJ)
+def conjunctive_static_seek(spark, sf_dir):
+    """The same by an as-of join of candidates and the skip table."""
+    cfg = K.IndexConfig()
+    runs = Z.build_static(P.count_terms(S.docs(spark, sf_dir)), cfg, "interp")
+    return X.conjunctive_by_seek(runs, L.query_log(spark, sf_dir), cfg, lambda some: Z.decode_static(some, "interp"))
+
+
+@register("bm25_static", _BM25)
+def bm25_static(spark, sf_dir):
+    """BM25 over static lists, lists that cannot lift a document looked up only; lengths lie beside the index."""
+    stream, log = S.docs(spark, sf_dir), L.query_log(spark, sf_dir)
+    lengths = P.doc_lengths(stream)
+    facts = lengths.agg(F.count("*").alias("n"), F.avg("len").alias("a")).first()
+    runs = X.fetch_blocks(Z.build_static(P.count_terms(stream), K.IndexConfig()), log)
+    return E.topk(Z.decode_static(runs).select("term", "d", "f"), log, facts["n"], kind=("bm25", 0.9, 0.4, facts["a"]), lengths=lengths, prune=True)
 
 
 for _code in Z.CODES:

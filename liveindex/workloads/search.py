@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from liveindex.operators import arrays as A
 from liveindex.operators import evaluate as E
 from liveindex.operators import packer as K
 from liveindex.operators import postings as P
@@ -108,6 +109,14 @@ def conjunctive_semijoin(spark, sf_dir):
 
 @register("conjunctive_skip", _CONJ)
 def conjunctive_skip(spark, sf_dir):
+    """Blocks sought inside their shards; shards of an eighth of the documents."""
+    cfg = K.IndexConfig(shard_docs=max(1, _n(spark, sf_dir) // 8))
+    return A.conjunctive(_blocks(spark, sf_dir, cfg), L.query_log(spark, sf_dir), cfg)
+
+
+@register("conjunctive_seek", _CONJ)
+def conjunctive_seek(spark, sf_dir):
+    """The same by an as-of join of candidates and blocks."""
     cfg = K.IndexConfig()
     return X.conjunctive_by_seek(_blocks(spark, sf_dir, cfg), L.query_log(spark, sf_dir), cfg)
 
@@ -148,7 +157,10 @@ def topk_from_blocks(spark, sf_dir):
 _BM = "ln(1 + (n.n - t.ft + 0.5) / (t.ft + 0.5)) * p.f * 1.9 / (p.f + 0.9 * (0.6 + 0.4 * s.len / n.a))"
 
 
-@register("topk_bm25", f"WITH {_QT}, {_POST}, s AS (SELECT doc_id + 1 AS d, len({_WORDS}) AS len FROM documents), scored AS (SELECT q.qid, p.d, round(sum({_BM}), 6) AS score FROM qt q JOIN post p ON p.term = q.term JOIN ft t ON t.term = q.term JOIN s ON s.d = p.d, (SELECT count(*)::DOUBLE AS n, avg(len) AS a FROM s) n GROUP BY q.qid, p.d) {_TOP}")
+_BM25 = f"WITH {_QT}, {_POST}, s AS (SELECT doc_id + 1 AS d, len({_WORDS}) AS len FROM documents), scored AS (SELECT q.qid, p.d, round(sum({_BM}), 6) AS score FROM qt q JOIN post p ON p.term = q.term JOIN ft t ON t.term = q.term JOIN s ON s.d = p.d, (SELECT count(*)::DOUBLE AS n, avg(len) AS a FROM s) n GROUP BY q.qid, p.d) {_TOP}"
+
+
+@register("topk_bm25", _BM25)
 def topk_bm25(spark, sf_dir):
     stream = S.docs(spark, sf_dir)
     return X.topk_bm25(P.count_terms(stream), P.doc_lengths(stream), L.query_log(spark, sf_dir))
