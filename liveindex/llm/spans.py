@@ -284,11 +284,14 @@ ANCHORED = "deal long, again boolean, anchor long, content long, doc_id long, ri
 def _again(anchor: np.ndarray, content: np.ndarray, doc: np.ndarray, place: np.ndarray) -> np.ndarray:
     """Which segments repeat an earlier one of the same slice: those go nowhere near their anchor's others, so that a
     passage of many documents meets itself once a slice."""
-    order = np.lexsort((place, doc, content, anchor))
+    out = np.zeros(anchor.size, bool)
+    key = C.mix(anchor.view(np.uint64) ^ C.mix(content.view(np.uint64)))
+    _, which, times = np.unique(key, return_inverse=True, return_counts=True)
+    some = np.flatnonzero(times[which] > 1)
+    order = some[np.lexsort((place[some], doc[some], content[some], anchor[some]))]
     new = np.ones(order.size, bool)
     new[1:] = (anchor[order][1:] != anchor[order][:-1]) | (content[order][1:] != content[order][:-1])
     lead = order[np.maximum.accumulate(np.where(new, np.arange(order.size), 0))]
-    out = np.zeros(order.size, bool)
     out[order] = (doc[order] != doc[lead]) | (place[order] != place[lead])
     return out
 
@@ -310,18 +313,20 @@ SHARED = "anchor long, part long, doc_id long, rid long, place long"
 
 
 def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From segments ordered by (again, anchor, content, doc_id, place): those that repeat the first of their content,
+    """From segments ordered by (anchor, content, doc_id, place): those that repeat the first of their content,
     with a null part, which holds for those that come as repeats already; and the first of each content whose anchor
     has another content, with the part it falls in.
 
     Content and anchor together are 128 bits of hash. What the next batch needs is one row: the last first."""
     lead = None  # anchor, content, doc_id, rid, place, number of its content within the anchor
     for batch in batches:
-        known = int(batch.num_rows - pc.sum(batch.column("again")).as_py()) if batch.num_rows else 0
-        if known < batch.num_rows:
-            late = batch.slice(known)
-            yield _rows([(late.column("anchor").to_numpy(), np.full(late.num_rows, -1), *(late.column(c).to_numpy() for c in ("doc_id", "rid", "place")))])
-        anchor, content, doc, rid, place = (batch.column(c).to_numpy()[:known] for c in ("anchor", "content", "doc_id", "rid", "place"))
+        repeat = batch.column("again").to_numpy(zero_copy_only=False)
+        columns = [batch.column(c).to_numpy() for c in ("anchor", "content", "doc_id", "rid", "place")]
+        if repeat.any():
+            late = [c[repeat] for c in columns]
+            yield _rows([(late[0], np.full(late[0].size, -1), *late[2:])])
+            columns = [c[~repeat] for c in columns]
+        anchor, content, doc, rid, place = columns
         if not anchor.size:
             continue
         new = np.ones(anchor.size, bool)
@@ -435,7 +440,7 @@ def remove_repeats(df: DataFrame, text: str = "text", doc_id: str = "doc_id") ->
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     long = rows.where(F.octet_length("text") >= WIDTH)
     anchored = long.mapInArrow(_anchored, ANCHORED)
-    shared = C.saved(anchored.repartition(parts, "deal").drop("deal").sortWithinPartitions("again", "anchor", "content", "doc_id", "place").mapInArrow(_shared, SHARED), "shared-anchors")
+    shared = C.saved(anchored.repartition(parts, "deal").drop("deal").sortWithinPartitions("anchor", "content", "doc_id", "place").mapInArrow(_shared, SHARED), "shared-anchors")
     large = shared.where("part > 0").select("anchor").distinct()
     split = not large.isEmpty()
     marked = shared.where("part is not null").withColumn("hot", F.lit(False))
