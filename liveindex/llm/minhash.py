@@ -153,9 +153,9 @@ def _check(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _still_split(at: DataFrame) -> DataFrame:
-    """Rows of the buckets whose members are of more than one component."""
-    parts = at.groupBy("bucket").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("bucket")
-    return at.join(parts, "bucket", "left_semi")
+    """Rows of the buckets whose members are of more than one component; those buckets go to the rows if they are few."""
+    parts = C.saved(at.groupBy("bucket").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y").select("bucket"), "split-names")
+    return at.join(F.broadcast(parts) if parts.limit(MOST_HOT + 1).count() <= MOST_HOT else parts, "bucket", "left_semi")
 
 
 def _split(members: DataFrame, labels: DataFrame) -> DataFrame:
