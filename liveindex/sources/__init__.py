@@ -1 +1 @@
-"""Collections, query logs, line files and the data source of stored indexes."""
+"""Collections, query logs, line files, and the data source of stored indexes."""

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from liveindex.functions import lengths as L
@@ -79,7 +80,7 @@ def pair_f_sweep(spark, sf_dir):
         for level, postings in (("doc", P.postings_doc(stream)), ("word", P.postings_word(stream))):
             one = sweep(postings, c, level)
             out = one if out is None else out.unionAll(one)
-    plain = F.max(F.when(F.col("F") == 1, F.col("total_bytes"))).over(__import__("pyspark").sql.Window.partitionBy("coll", "level"))
+    plain = F.max(F.when(F.col("F") == 1, F.col("total_bytes"))).over(Window.partitionBy("coll", "level"))
     return out.withColumns({"bytes_per_posting": F.round(F.col("total_bytes") / F.col("postings"), 6), "ratio": F.round(F.col("total_bytes") / plain, 6)})
 
 
@@ -89,8 +90,6 @@ _GAPS = "(SELECT l_suppkey, l_quantity::BIGINT AS b, l_orderkey + 1 - lag(l_orde
 @register("pair_code_lineitem", f"SELECT l_suppkey, count(*) AS n, sum({Q.plen('a', 'b', 1)})::BIGINT AS bytes_old, sum({Q.plen('a', 'b', 4)})::BIGINT AS bytes_new FROM {_GAPS} GROUP BY l_suppkey")
 def pair_code_lineitem(spark, sf_dir):
     """The paired code on any two whole numbers: gaps of order keys of a supplier, and quantities."""
-    from pyspark.sql import Window
-
     key = F.col("l_orderkey") + 1
     rows = S.table(spark, sf_dir, "lineitem").select("l_suppkey", F.col("l_quantity").cast("long").alias("b"), (key - F.lag(key, 1, 0).over(Window.partitionBy("l_suppkey").orderBy("l_orderkey", "l_linenumber")) + 1).alias("a"))
     return rows.groupBy("l_suppkey").agg(F.count("*").alias("n"), F.sum(L.pair_len(F.col("a"), F.col("b"), 1)).alias("bytes_old"), F.sum(L.pair_len(F.col("a"), F.col("b"), 4)).alias("bytes_new"))
@@ -100,8 +99,6 @@ def transition_matrix(postings, a: str, b: str, f: int):
     """(old_bytes, new_bytes, n, pct): how many postings of one plain size have which paired size."""
     a, b = F.col(a), F.col(b)
     pairs = postings.groupBy(L.pair_len(a, b, 1).cast("long").alias("old_bytes"), L.pair_len(a, b, f).cast("long").alias("new_bytes")).agg(F.count("*").alias("n"))
-    from pyspark.sql import Window
-
     return pairs.withColumn("pct", F.round(100 * F.col("n") / F.sum("n").over(Window.partitionBy()), 6))  # a dozen rows
 
 

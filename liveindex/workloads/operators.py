@@ -5,6 +5,7 @@ Queries that read the same in Spark SQL and in the oracle's dialect are written
 from __future__ import annotations
 
 from liveindex.registry import register
+from liveindex.workloads import sqlparts as Q
 
 TABLES = "region nation customer supplier part orders lineitem events documents labels".split()
 
@@ -103,3 +104,70 @@ def session(spark, sf_dir):
 
     rows = spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
     return rows.groupBy("user_id", F.session_window("ts", "6 hours").alias("s")).agg(F.count("*").alias("n")).select("user_id", F.date_format("s.start", "yyyy-MM-dd HH:mm:ss").alias("begin"), "n")
+
+
+@register("scan_pruned", "SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderstatus = 'F' AND o_totalprice > 1000")
+def scan_pruned(spark, sf_dir):
+    """A table in partitions by status: the scan opens one of them, and the price filter reaches the files."""
+    from liveindex.scratch import folder
+
+    where = folder(spark, "orders-by-status")
+    spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey", "o_totalprice", "o_orderstatus").write.partitionBy("o_orderstatus").parquet(where)
+    return spark.read.parquet(where).where("o_orderstatus = 'F' AND o_totalprice > 1000").select("o_orderkey", "o_totalprice")
+
+
+for _kind in ("csv", "json", "orc"):
+
+    @register(f"roundtrip_{_kind}", "SELECT c_custkey, c_name, c_nationkey, c_acctbal, c_mktsegment FROM customer")
+    def _(spark, sf_dir, kind=_kind):
+        from liveindex.scratch import folder
+
+        where, rows = folder(spark, kind), spark.read.parquet(f"{sf_dir}/customer.parquet").select("c_custkey", "c_name", "c_nationkey", "c_acctbal", "c_mktsegment")
+        rows.write.format(kind).save(where)
+        return spark.read.schema(rows.schema).format(kind).load(where)
+
+
+@register("fn_vector", "SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 6) AS norm2, round(list_sum(list_transform(embedding, lambda x, i: x::DOUBLE * i)), 6) AS weighted FROM embeddings")
+def fn_vector(spark, sf_dir):
+    from pyspark.sql import functions as F
+
+    v = F.transform("embedding", lambda x: x.cast("double"))
+    total = lambda a: F.round(F.aggregate(a, F.lit(0.0), lambda s, x: s + x), 6)
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", v.alias("v"))
+    return rows.select("vec_id", total(F.transform("v", lambda x: x * x)).alias("norm2"), total(F.transform("v", lambda x, i: x * (i + 1))).alias("weighted"))
+
+
+@register("join_cross", "SELECT r_name, n_name FROM region CROSS JOIN nation")
+def join_cross(spark, sf_dir):
+    """The one product of two tables, both of a fixed few rows."""
+    region, nation = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("region", "nation"))
+    return region.select("r_name").crossJoin(nation.select("n_name"))
+
+
+for _hint in ("broadcast", "merge", "shuffle_hash"):
+
+    @register(f"join_hint_{_hint}", "SELECT s_suppkey, n_name FROM supplier JOIN nation ON s_nationkey = n_nationkey")
+    def _(spark, sf_dir, hint=_hint):
+        from pyspark.sql import functions as F
+
+        supplier, nation = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("supplier", "nation"))
+        return supplier.join(nation.hint(hint), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "n_name")
+
+
+@register("udtf_decode", f"SELECT term, d, f FROM {Q.counts('turns')}")
+def udtf_decode(spark, sf_dir):
+    """Blocks of a stored index, read by its data source and decoded by a table function in SQL."""
+    from liveindex.functions import udfs
+    from liveindex.plans.store import LiveIndex
+    from liveindex.scratch import folder
+    from liveindex.sources import collections, stored
+
+    index = LiveIndex(spark, folder(spark, "live-index"))
+    stream = collections.turns(spark, sf_dir)
+    index.insert(stream.where("d <= 100"))
+    index.insert(stream.where("d > 100"))
+    stored.register(spark)
+    udfs.register(spark)
+    name = f"blocks_{abs(hash(index.path)) % 10**9}"
+    spark.read.format("liveindex").load(index.path).createOrReplaceTempView(name)
+    return spark.sql(f"SELECT b.term, p.d, p.f FROM {name} b, LATERAL decode_postings(b.payload, b.first_d, 4) p")
