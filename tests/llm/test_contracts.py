@@ -5,6 +5,7 @@ import os
 import re
 import time
 import zlib
+from html import unescape
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +35,7 @@ def test_main_text_is_the_article(spark):
     pages = {r["page_id"]: r["html"] for r in spark.read.parquet(f"{SF}/pages.parquet").collect()}
     for r in queries.QUERIES["op1_block_tree"](spark, SF).collect():
         inside = re.search(r"<article>(.*)</article>", pages[r["page_id"]], re.S)[1]
-        plain = [" ".join(__import__("html").unescape(re.sub(r"<[^>]*>", " ", b)).split()) for b in re.split(r"</?(?:p|h1)>", re.sub(r"</?b>", "", inside))]
+        plain = [" ".join(unescape(re.sub(r"<[^>]*>", " ", b)).split()) for b in re.split(r"</?(?:p|h1)>", re.sub(r"</?b>", "", inside))]
         assert r["text"] == "\n".join(b for b in plain if b) and r["n_chars"] == len(r["text"])
 
 
