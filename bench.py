@@ -20,7 +20,7 @@ os.environ["PYTHONPATH"] = f"{HERE}:{os.environ.get('PYTHONPATH', '')}"
 
 HEADLINE = ("count_terms", "postings_doc_docs", "block_table", "term_dir", "components_b64", "conjunctive", "conjunctive_skip", "conjunctive_static", "topk_tfidf", "topk_maxscore", "topk_bm25", "phrase", "ops_conjunctive", "ops_topk", "b_sweep_doc", "b_sweep_word", "growth_compare", "pair_f_sweep", "bp128_sizes",
             "interpolative_sizes", "jump_stats", "skip_stats", "disjunctive_counts", "standing", "batches_merged")
-REPORTS = {"latency_by_length": ("mode", "n_terms"), "latency_by_layout": ("growth", "layout", "mode"), "collation_cost": ("step",)}
+REPORTS = {"latency_by_length": ("engine", "mode", "n_terms"), "latency_by_layout": ("growth", "layout", "mode"), "collation_cost": ("step",)}
 
 
 def codec_seconds(spark, sf: str) -> dict[str, float]:

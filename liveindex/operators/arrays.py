@@ -140,10 +140,10 @@ def conjunctive(blocks: DataFrame, queries: DataFrame, cfg: IndexConfig, code: s
 COST = "rep long, micros double, matches long, blocks long, postings long"
 
 
-def run_log(placed: DataFrame, queries: DataFrame, cfg: IndexConfig, mode: str, n_docs: int) -> DataFrame:
+def run_log(placed: DataFrame, queries: DataFrame, cfg: IndexConfig, mode: str, n_docs: int, code: str | None = None) -> DataFrame:
     """(qid, n_terms, micros, matches, blocks, postings): what each query of a log costs and finds over blocks with
     their positions (`pos`): time in the shards, matches (conjunctive) or documents returned (topk, the shards' best
-    together), blocks touched and postings decoded. A log of the collection's size is run in blocks of queries."""
+    together), blocks touched and postings decoded. A long log is run in blocks of queries. code: for static runs."""
     if mode not in MODES:
         raise ValueError(f"no mode {mode}")
     spark, parts = placed.sparkSession, []
@@ -158,7 +158,8 @@ def run_log(placed: DataFrame, queries: DataFrame, cfg: IndexConfig, mode: str,
                 return
             table = pa.Table.from_batches(held)
             for shard in pa.compute.unique(table.column("shard")).to_pylist():
-                index = ShardIndex(table.filter(pa.compute.equal(table.column("shard"), shard)).combine_chunks(), cfg)
+                rows = table.filter(pa.compute.equal(table.column("shard"), shard)).combine_chunks()
+                index = StaticShard(rows, cfg, code) if code else ShardIndex(rows, cfg)
                 out = []
                 for rep, query in enumerate(log.queries):
                     terms = [log.terms[t] for t in query]
@@ -169,7 +170,7 @@ def run_log(placed: DataFrame, queries: DataFrame, cfg: IndexConfig, mode: str,
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=[c.split()[0] for c in COST.split(", ")])
 
         count = int(spark.conf.get("spark.sql.shuffle.partitions"))
-        cost = mine.select("shard", "term", "block_no", "pos", "first_d", "n", "payload").repartition(count, "shard").mapInArrow(run, COST)
+        cost = mine.select("shard", "term", "block_no", "pos", "first_d", "n", "payload", *(["last_d", "total"] if code else [])).repartition(count, "shard").mapInArrow(run, COST)
         cost = cost.groupBy("rep").agg(F.sum("micros").alias("micros"), F.sum("matches").alias("matches"), F.sum("blocks").alias("blocks"), F.sum("postings").alias("postings"))
         sizes = spark.createDataFrame([(k, len(q)) for k, q in enumerate(log.queries)], "rep long, n_terms long")
         parts.append(_named(cost.join(F.broadcast(sizes), "rep"), log).select("qid", "n_terms", "micros", "matches", "blocks", "postings"))

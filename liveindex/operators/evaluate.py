@@ -12,7 +12,10 @@ and, once what is left cannot lift a document over the k best so far, only looks
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Callable, Iterator
+from itertools import groupby
+from operator import itemgetter
 
 import numpy as np
 import pyarrow as pa
@@ -223,6 +226,25 @@ def _ranked(lists: list[tuple[np.ndarray, np.ndarray]], room: int, k: int, digit
     return some[pick], score[pick], touched
 
 
+def _ranked_by_heap(lists: list[tuple[np.ndarray, np.ndarray]], room: int, k: int, digits: int, prune: bool) -> tuple[np.ndarray, np.ndarray, int]:
+    """The same document at a time: the lists are merged, and a heap holds the k best so far, the worst on top."""
+    heap: list[tuple[float, int]] = []
+    touched = 0
+    merged = heapq.merge(*(zip(d.tolist(), w.tolist(), strict=True) for d, w in lists))
+    for d, some in groupby(merged, key=itemgetter(0)):
+        each = [w for _, w in some]
+        touched += len(each)
+        entry = (round(sum(each), digits), -d)
+        if len(heap) < k:
+            heapq.heappush(heap, entry)
+        elif entry > heap[0]:
+            heapq.heapreplace(heap, entry)
+    best = sorted(heap, reverse=True)
+    return np.array([-d for _, d in best], np.int64), np.array([s for s, _ in best]), touched
+
+
+#: How a shard ranks: term at a time over accumulators, or document at a time with a heap.
+STRATEGIES = {"terms": _ranked, "heap": _ranked_by_heap}
 TFIDF = ("tfidf",)
 
 
@@ -243,11 +265,15 @@ def list_lengths(postings: DataFrame, log: Log) -> np.ndarray:
     return out
 
 
-def topk(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 10, digits: int = 6, kind: tuple = TFIDF, lengths: DataFrame | None = None, prune: bool = False, stats: bool = False) -> DataFrame:
+def topk(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 10, digits: int = 6, kind: tuple = TFIDF, lengths: DataFrame | None = None, prune: bool = False, stats: bool = False, strategy: str = "terms") -> DataFrame:
     """(qid, rank, d, score): the k best documents of each query, ties by document.
 
-    lengths(d, len) serve BM25. stats: (qid, postings, touched) instead, sums over the shards of what a query's lists
+    lengths(d, len) serve BM25. strategy: one of STRATEGIES; score at a time is none of them, as lists are kept in the
+    order of documents. stats: (qid, postings, touched) instead, sums over the shards of what a query's lists
     hold and what was added or looked up."""
+    if strategy not in STRATEGIES:
+        raise ValueError(f"no strategy {strategy}")
+    ranked = STRATEGIES[strategy]
     spark, cell, parts = postings.sparkSession, docs_a_shard(postings.sparkSession, n_docs), []
     extra = None if lengths is None else lengths.select(F.lit(LENGTH).cast("long").alias("id"), "d", F.col("len").cast("long").alias("x"))
     for log in _blocks(queries, False, None):
@@ -273,7 +299,7 @@ def topk(postings: DataFrame, queries: DataFrame, n_docs: int, k: int = 10, digi
                             made[t] = weights_of(kind, rows["x"][a:b].astype(np.float64), float(ft[t]), float(n_docs), None if length is None else length[local[a:b]])
                         lists.append((local[a:b], made[t]))
                 if lists:
-                    at, score, touched = _ranked(lists, room, k, digits, prune)
+                    at, score, touched = ranked(lists, room, k, digits, prune)
                     out.append((np.full(at.size, rep), at + low, score) if not stats else (np.array([rep]), np.array([sum(x.size for x, _ in lists)]), np.array([touched])))
             if not out:
                 return None

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from liveindex.functions import codecs
-from liveindex.functions.lengths import DOC_F, WORD_F
+from liveindex.functions.lengths import DOC_F, WORD_F, pair_len
 from liveindex.operators import growth as rules
 
 #: Bytes of a head apart from term and payload: links, last document, counts, offsets. Variable sizes take two more.
@@ -300,6 +300,31 @@ def extend_blocks(tails: DataFrame, postings: DataFrame, cfg: IndexConfig, shard
     return rows.repartition(parts, "shard", "term").sortWithinPartitions("shard", "term", "d", "w").mapInArrow(run, CHANGED)
 
 
+def fits(cfg: IndexConfig, used: Column, gap: Column, x: Column) -> Column:
+    """Whether a posting's code fits into a constant chain's open block, its bytes with overhead counted: the test before
+    a write."""
+    return used + pair_len(gap, x, cfg.threshold) <= F.lit(cfg.B)
+
+
+def folded(postings: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """(term, postings, z, nx): blocks of each list of document-level postings and bytes of its last, overhead included,
+    by a fold over the sorted list in SQL functions alone. A list is one row, so this serves checks and short lists."""
+    if cfg.growth != "constant" or cfg.level != "doc":
+        raise ValueError("the fold knows constant document-level chains")
+    lists = postings.groupBy("term").agg(F.array_sort(F.collect_list(F.struct("d", "f"))).alias("l"))
+    long = lambda c: c.cast("long")
+    empty = F.struct(long(F.lit(1)).alias("z"), long(F.lit(cfg.head_bytes) + F.octet_length("term")).alias("u"), long(F.lit(0)).alias("first"), long(F.lit(0)).alias("last"))
+
+    def step(a: Column, p: Column) -> Column:
+        gap = p["d"] - a["last"]
+        good = fits(cfg, a["u"], gap, p["f"])
+        opened = F.lit(cfg.h) + pair_len(p["d"] - a["first"], p["f"], cfg.threshold)
+        return F.struct(F.when(good, a["z"]).otherwise(a["z"] + 1).alias("z"), long(F.when(good, a["u"] + pair_len(gap, p["f"], cfg.threshold)).otherwise(opened)).alias("u"),
+                        F.when(good & (a["first"] > 0), a["first"]).otherwise(p["d"]).alias("first"), p["d"].alias("last"))
+
+    return lists.select("term", F.size("l").cast("long").alias("postings"), F.aggregate("l", empty, step).alias("end")).select("term", "postings", F.col("end.z").alias("z"), F.col("end.u").alias("nx"))
+
+
 def term_dir(blocks: DataFrame) -> DataFrame:
     """(shard, term, postings, last_d, z, nx, most): one row a list, from its blocks."""
     return blocks.groupBy("shard", "term").agg(F.sum("n").alias("postings"), F.max("last_d").alias("last_d"), F.count("*").alias("z"), F.max_by("used", "block_no").alias("nx"), F.max("most").alias("most"))

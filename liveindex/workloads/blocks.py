@@ -80,6 +80,12 @@ for _level in ("doc", "word"):
             return b_sweep(spark, sf_dir, level, coll)
 
 
+@register("chains_by_fold", f"SELECT term, n AS postings, z FROM {Q.folded('docs', 'doc', 64)}")
+def chains_by_fold(spark, sf_dir):
+    """The packer in SQL functions alone."""
+    return K.folded(P.count_terms(S.docs(spark, sf_dir)), K.IndexConfig()).select("term", "postings", "z")
+
+
 for _coll in ("docs", "baskets"):
     for _level in ("doc", "word"):
 

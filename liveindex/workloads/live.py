@@ -150,10 +150,22 @@ def costs(spark, sf_dir, growth: str, layout: str, mode: str, coll: str = "docs"
     return A.run_log(placed, L.query_log(spark, sf_dir), cfg, mode, S.table(spark, sf_dir, "documents").count())
 
 
+def static_costs(spark, sf_dir, code: str, mode: str):
+    cfg = K.IndexConfig()
+    runs = Z.build_static(P.count_terms(S.docs(spark, sf_dir)), cfg, code)
+    placed = runs.join(X.collated(runs), ["shard", "term", "block_no"])
+    return A.run_log(placed, L.query_log(spark, sf_dir), cfg, mode, S.table(spark, sf_dir, "documents").count(), code)
+
+
 @register("latency_by_length")
 def latency_by_length(spark, sf_dir):
-    """(mode, n_terms, queries, mean_us, p95_us, ..): the time of a query inside its shards, by the number of its terms."""
-    out = [A.latency(costs(spark, sf_dir, "constant", "interleaved", mode), "n_terms").select(F.lit(mode).alias("mode"), "*") for mode in A.MODES]
+    """(engine, mode, n_terms, queries, mean_us, p95_us, ..): the time of a query inside its shards, by the number of its
+    terms, in the dynamic index and in two static ones."""
+    out = []
+    for mode in A.MODES:
+        for engine in ("dynamic", *Z.CODES):
+            cost = costs(spark, sf_dir, "constant", "interleaved", mode) if engine == "dynamic" else static_costs(spark, sf_dir, engine, mode)
+            out.append(A.latency(cost, "n_terms").select(F.lit(engine).alias("engine"), F.lit(mode).alias("mode"), "*"))
     return reduce(lambda a, b: a.unionAll(b), out)
 
 

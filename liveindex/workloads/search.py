@@ -136,6 +136,12 @@ def topk_joined(spark, sf_dir):
     return X.topk_joined(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir))
 
 
+@register("topk_heap", f"WITH {_QT}, {_SCORED} {_TOP}")
+def topk_heap(spark, sf_dir):
+    """Document at a time, with a heap of the ten best."""
+    return E.topk(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir), strategy="heap")
+
+
 @register("topk_maxscore", f"WITH {_QT}, {_SCORED} {_TOP}")
 def topk_maxscore(spark, sf_dir):
     return X.topk(_counts(spark, sf_dir), L.query_log(spark, sf_dir), _n(spark, sf_dir), prune=True)
