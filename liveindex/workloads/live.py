@@ -144,14 +144,19 @@ def static_sizes(spark, sf_dir):
 def costs(spark, sf_dir, growth: str, layout: str, mode: str, coll: str = "docs"):
     """Costs of the log's queries over one way to grow and lay out the blocks."""
     stream = S.COLLECTIONS[coll](spark, sf_dir)
-    cfg = K.IndexConfig(growth=growth)
+    cfg = K.IndexConfig(growth=growth, shard_docs=_quarter(spark, sf_dir))
     blocks = K.build_blocks(P.count_terms(stream), cfg)
     placed = blocks.join(X.positions(blocks) if layout == "interleaved" else X.collated(blocks), ["shard", "term", "block_no"])
     return A.run_log(placed, L.query_log(spark, sf_dir), cfg, mode, S.table(spark, sf_dir, "documents").count())
 
 
+def _quarter(spark, sf_dir) -> int:
+    """Documents of a shard of the latency experiments, which sum a query's time over its shards."""
+    return max(1, -(-S.table(spark, sf_dir, "documents").count() // 4))
+
+
 def static_costs(spark, sf_dir, code: str, mode: str):
-    cfg = K.IndexConfig()
+    cfg = K.IndexConfig(shard_docs=_quarter(spark, sf_dir))
     runs = Z.build_static(P.count_terms(S.docs(spark, sf_dir)), cfg, code)
     placed = runs.join(X.collated(runs), ["shard", "term", "block_no"])
     return A.run_log(placed, L.query_log(spark, sf_dir), cfg, mode, S.table(spark, sf_dir, "documents").count(), code)
