@@ -51,10 +51,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
     def gone(rows: DataFrame) -> DataFrame:
         groups = minhash.near_duplicates(rows, doc_id="place", width=5, percent=80).select(F.col("doc_id").alias("place"), F.col("component_id").alias("component"))
-        several = saved(groups.join(groups.groupBy("component").count().where("count > 1").select("component"), "component"), "copies")
-        named = several.join(rows.select("place", "doc_id"), "place")
-        best = named.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "place")).alias("best"))
-        return several.join(best.select(F.col("best.place").alias("place")), "place", "left_anti").select("place")
+        groups = saved(groups.join(rows.select("place", "doc_id"), "place"), "copies")
+        best = groups.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "place")).alias("best"))
+        # Rows meet the best places by their own, which no two share, and never by the component, which thousands may.
+        return groups.select("place").join(best.select(F.col("best.place").alias("place")), "place", "left_anti")
 
     return _without(docs, gone)
 
