@@ -5,8 +5,9 @@ sorting, and they are found first: in each window of WIDTH bytes the least hash
 anchor, so equal windows have equal anchors, and anchors that occur once are done with. What is left are segments:
 runs of windows with one anchor, grouped by it. Equal segments, by 128 bits of hash, collapse onto their first;
 where a group still has different ones, the segments of many groups form a collection whose transform is built from their last column
-to their first, one symbol of each segment a round, and windows that are neighbours in its order and share WIDTH
-bytes are the repeats.
+to their first, one symbol of each segment a round, together with the common prefixes of neighbours in its order;
+windows that are neighbours there with a common prefix of WIDTH bytes are the repeats. A collection holds some
+COLLECTION bytes, so its transform and prefixes stay in memory and need no files.
 
 A group of more than HOT segments is cut into parts of HOT; windows that are first in their part then meet again,
 as 128-bit hashes, in an aggregate over all parts.
@@ -87,19 +88,96 @@ class _Ranks:
         same = (self.blocks[block] == symbol[:, None]) & (np.arange(self.STEP) < inside[:, None])
         return self.before[block, symbol] + np.count_nonzero(same, axis=1)
 
+    def last(self, symbol: np.ndarray, place: np.ndarray, rank: np.ndarray) -> np.ndarray:
+        """Where a symbol stands last before a place, if it stands there rank > 0 times."""
+        block = place // self.STEP
+        low, high = np.zeros_like(block), block + 1
+        same = self.before[block, symbol] < rank
+        low[same] = block[same]
+        while (open_ := high - low > 1).any():
+            middle = (low + high) // 2
+            less = self.before[middle, symbol] < rank
+            low, high = np.where(open_ & less, middle, low), np.where(open_ & ~less, middle, high)
+        is_it = (self.blocks[low] == symbol[:, None]) & (np.arange(self.STEP) < (place - low * self.STEP)[:, None])
+        return low * self.STEP + self.STEP - 1 - np.argmax(is_it[:, ::-1], axis=1)
+
+    def next(self, symbol: np.ndarray, place: np.ndarray, rank: np.ndarray) -> np.ndarray:
+        """Where a symbol that stands at a place, and rank times before it, stands next, if it does."""
+        block = place // self.STEP
+        low, high = block.copy(), np.full_like(block, self.rows - 1)
+        same = self.before[block + 1, symbol] > rank + 1
+        high[same] = block[same]
+        while (low < high).any():
+            middle = (low + high) // 2
+            reached = self.before[middle + 1, symbol] > rank + 1
+            low, high = np.where(reached, low, np.minimum(middle + 1, high)), np.where(reached, middle, high)
+        is_it = (self.blocks[low] == symbol[:, None]) & (np.arange(self.STEP) > (place - low * self.STEP)[:, None])
+        return low * self.STEP + np.argmax(is_it, axis=1)
+
+
+class _Least:
+    """The least value over ranges of places, for many ranges at once."""
 
-def transform(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
-    """Burrows-Wheeler transform of a collection: symbols, the bytes they stand for, and the number of sequences.
+    STEP = 128
 
-    Symbol 0 ends each sequence. A round extends each sequence's suffix by one byte to the left: the place of the
-    longer suffix follows from how many symbols before the shorter one's place are smaller or equal, and the new
-    symbols are merged into the transform in one pass."""
+    def __init__(self, values: np.ndarray) -> None:
+        rows = -(-values.size // self.STEP)
+        padded = np.full(rows * self.STEP, 255, np.uint8)
+        padded[: values.size] = values
+        self.blocks = padded.reshape(-1, self.STEP)
+        self.powers = [self.blocks.min(axis=1)]
+        while (half := 1 << len(self.powers) - 1) * 2 <= rows:
+            self.powers.append(np.minimum(self.powers[-1][:-half], self.powers[-1][half:]))
+
+    def _inside(self, block: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+        at = np.arange(self.STEP)
+        return np.where((at > low[:, None]) & (at <= high[:, None]), self.blocks[block], np.uint8(255)).min(axis=1)
+
+    def of(self, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+        """Of the places after low, up to high."""
+        a, b = low // self.STEP, high // self.STEP
+        out = self._inside(b, low - b * self.STEP, high - b * self.STEP)
+        far = np.flatnonzero(a < b)
+        if far.size:
+            out[far] = np.minimum(out[far], self._inside(a[far], low[far] - a[far] * self.STEP, np.full(far.size, self.STEP)))
+            n = b - a - 1
+            for k, least in enumerate(self.powers):
+                some = np.flatnonzero((n >> k) == 1)
+                out[some] = np.minimum(out[some], np.minimum(least[a[some] + 1], least[b[some] - (1 << k)]))
+        return out
+
+
+def _longer(ranks: _Ranks, least: _Least, prefixes: np.ndarray, letter: np.ndarray, place: np.ndarray, rank: np.ndarray, total: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Common prefixes of new suffixes with those that will stand before and after them.
+
+    Those begin with the same letter and go on with the suffixes of the nearest places of that letter; so the prefix
+    is one longer than the least between the places, or nothing where the letter has no such place."""
+    symbols = ranks.blocks.reshape(-1)
+    out = np.zeros((2, letter.size), np.uint8)
+    for side, have, beside in ((0, rank > 0, np.maximum(place - 1, 0)), (1, total[letter] > rank + 1, place + 1)):
+        close = have & (symbols[beside] == letter)
+        out[side, close] = prefixes[(place + side)[close]] + 1
+        some = np.flatnonzero(have & ~close)
+        if some.size:
+            args = letter[some], place[some], rank[some]
+            between = least.of(place[some], ranks.next(*args)) if side else least.of(ranks.last(*args), place[some])
+            out[side, some] = between + 1
+    return np.minimum(out[0], WIDTH), np.minimum(out[1], WIDTH)
+
+
+def transform(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, int, np.ndarray]:
+    """Burrows-Wheeler transform of a collection: symbols, the bytes they stand for, the number of sequences, and of
+    each place the common prefix with the one before, WIDTH at most.
+
+    Symbol 0 ends each sequence, and ends are never equal. A round extends each sequence's suffix by one byte to the
+    left: the place of the longer suffix follows from how many symbols before the shorter one's place are smaller or
+    equal, and the new symbols and prefixes are merged with the old in one pass."""
     bytes_ = np.unique(data)
     symbol = (np.searchsorted(bytes_, data) + 1).astype(np.uint8)
     kinds, m = bytes_.size + 1, starts.size
     ends = starts + sizes
     cells = np.arange(m + data.size) // _Ranks.STEP * kinds
-    out = symbol[ends - 1].copy()
+    out, prefixes = symbol[ends - 1].copy(), np.zeros(m, np.uint8)
     who, place = np.arange(m), np.arange(m)
     for done in range(1, int(sizes.max(initial=0)) + 1):
         keep = sizes[who] >= done
@@ -107,16 +185,22 @@ def transform(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[
         letter = symbol[ends[who] - done]
         ranks = _Ranks(out, kinds, cells)
         totals = np.bincount(out, minlength=kinds)
+        rank = ranks.of(letter, place)
+        before, after = _longer(ranks, _Least(prefixes), prefixes, letter, place, rank, totals)
         totals[0] = m  # as many suffixes begin with an end as there are sequences
         smaller = np.concatenate(([0], np.cumsum(totals)[:-1]))
-        place = smaller[letter] + ranks.of(letter, place)
+        place = smaller[letter] + rank
         front = np.where(sizes[who] > done, symbol[np.maximum(ends[who] - done - 1, 0)], 0).astype(np.uint8)
         merged = np.empty(out.size + who.size, np.uint8)
         old = np.ones(merged.size, bool)
         old[place] = False
         merged[place], merged[old] = front, out
-        out = merged
-    return out, bytes_, m
+        out, merged = merged, np.empty(merged.size + 1, np.uint8)
+        merged[:-1][old] = prefixes
+        merged[place + 1] = after
+        merged[place] = before
+        prefixes = merged[:-1]
+    return out, bytes_, m, prefixes
 
 
 def order(symbols: np.ndarray, m: int, sizes: np.ndarray) -> np.ndarray:
@@ -137,20 +221,15 @@ def _classes(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[n
     """(sequence, window, class) of all windows, in the order of the transform; equal windows have one class."""
     within = np.concatenate([np.arange(a, a + n) for a, n in zip(starts.tolist(), sizes.tolist(), strict=True)])
     data, starts = data[within], np.cumsum(sizes) - sizes
-    symbols, _, m = transform(data, starts, sizes)
+    symbols, _, m, prefixes = transform(data, starts, sizes)
     rank = order(symbols, m, sizes)
     counts = sizes - WIDTH + 1
     sequence = np.repeat(np.arange(m), counts)
     window = np.arange(sequence.size) - np.repeat(np.cumsum(counts) - counts, counts)
-    by = np.argsort(rank[sequence, sizes[sequence] - window])
-    sequence, window = sequence[by], window[by]
-    new = np.ones(sequence.size, bool)
-    at = starts[sequence] + window
-    for low in range(0, sequence.size - 1, 1 << 16):
-        high = min(low + (1 << 16), sequence.size - 1)
-        here = data[at[low : high + 1, None] + np.arange(WIDTH)]
-        new[low + 1 : high + 1] = (here[1:] != here[:-1]).any(axis=1)
-    return sequence, window, np.cumsum(new) - 1
+    at = rank[sequence, sizes[sequence] - window]
+    by = np.argsort(at)
+    # Between equal windows all suffixes begin with them, so that the prefix with the one before tells them.
+    return sequence[by], window[by], np.cumsum(prefixes[at[by]] < WIDTH) - 1
 
 
 def _sides(anchor: np.ndarray, data: np.ndarray, off: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

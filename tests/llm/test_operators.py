@@ -314,13 +314,19 @@ def test_repeats_against_brute_force(spark, docs, empty):
     assert spans.remove_repeats(empty).count() == 0 and spans.remove_repeats(docs).count() == len(DOCS)
 
 
-def test_transform_orders_suffixes():
-    texts = [b"banana", b"ananas", b"nab", b"a"]
-    data, sizes = np.frombuffer(b"".join(texts), np.uint8), np.array([len(t) for t in texts])
-    symbols, _, m = spans.transform(data, np.cumsum(sizes) - sizes, sizes)
-    rank = spans.order(symbols, m, sizes)
-    suffixes = sorted(((t[len(t) - k :], i, k) for i, t in enumerate(texts) for k in range(1, len(t) + 1)), key=lambda s: rank[s[1], s[2]])
-    assert [s[0] for s in suffixes] == sorted(s[0] for s in suffixes)
+def test_transform_orders_suffixes_and_keeps_their_prefixes():
+    rng = np.random.default_rng(5)
+    base = bytes(rng.integers(97, 99, 260).astype(np.uint8))
+    cuts = [base[a : a + n] for a, n in zip(rng.integers(0, 80, 30).tolist(), rng.integers(1, 170, 30).tolist(), strict=True)]
+    noise = [bytes(rng.integers(97, 110, 150).astype(np.uint8)) for _ in range(20)]
+    for texts in ([b"banana", b"ananas", b"nab", b"a"], [b"a" * 300, b"a" * 120, b"b"], cuts, cuts + noise, noise):
+        data, sizes = np.frombuffer(b"".join(texts), np.uint8), np.array([len(t) for t in texts])
+        symbols, _, m, prefixes = spans.transform(data, np.cumsum(sizes) - sizes, sizes)
+        rank = spans.order(symbols, m, sizes)
+        suffixes = sorted(((t[len(t) - k :], i, k) for i, t in enumerate(texts) for k in range(len(t) + 1)), key=lambda s: rank[s[1], s[2]])
+        assert [s[:2] for s in suffixes] == sorted(s[:2] for s in suffixes)
+        common = [next((k for k, (x, y) in enumerate(zip(a[0], b[0], strict=False)) if x != y), min(len(a[0]), len(b[0]))) for a, b in zip(suffixes[:-1], suffixes[1:], strict=True)]
+        assert prefixes.tolist() == [0] + [min(n, spans.WIDTH) for n in common]
 
 
 def test_token_records_round_trip(spark, docs, empty, tmp_path):
