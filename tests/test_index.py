@@ -174,6 +174,19 @@ def test_phrases_with_repeated_words(spark):
     assert sorted(map(tuple, X.phrase(at, queries).collect())) == [(1, 1, 1), (1, 5000, 1), (2, 1, 1), (2, 2, 2), (3, 5000, 1), (5, 1, 3), (5, 2, 2), (5, 5000, 2)]
 
 
+def test_proximity_deals_each_place_once(spark):
+    rng = np.random.default_rng(4)
+    docs = [(d, [f"t{x}" for x in rng.integers(0, 6, rng.integers(0, 40)).tolist()]) for d in (1, 2, 3, 1023, 1024, 1025, 5000)]
+    at = P.occurrences(spark.createDataFrame(docs, "d long, terms array<string>"))
+    pairs = [(q, f"t{q % 6}", f"t{q // 6 % 7}") for q in range(42)]
+    got = X.proximity(at, spark.createDataFrame(pairs, "qid long, t1 string, t2 string"), 5, 5000)
+    want = [(q, d, sum(abs(i - j) <= 5 for i, a in enumerate(ts) if a == x for j, b in enumerate(ts) if b == y)) for q, x, y in pairs for d, ts in docs]
+    assert sorted(map(tuple, got.collect())) == sorted(r for r in want if r[2])
+    # One shuffle, by the shard of the document: no place is copied for each query that asks for its word.
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "hashpartitioning(shard" in plan and "hashpartitioning(qid" not in plan
+
+
 def test_operations_see_what_came_before(spark):
     docs = some_docs(80, 5, 6)
     counts = P.count_terms(spark.createDataFrame(docs, "d long, terms array<string>")).withColumn("seq", F.col("d") * 2)
