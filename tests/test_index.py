@@ -156,6 +156,16 @@ def test_queries_against_brute_force(spark):
     assert 0 < stats[1] and 0 < stats[0]
 
 
+def test_joined_ranking_copies_no_list_across_tasks(spark):
+    docs = some_docs()
+    counts = P.count_terms(spark.createDataFrame(docs, "d long, terms array<string>"))
+    queries = spark.createDataFrame([(q, ["t1", f"t{q % 9 + 1}"]) for q in range(300)], "qid long, terms array<string>")
+    found = X.topk_joined(counts, queries, 199)
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, X.topk(counts, queries, 199).collect()))
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "hashpartitioning(qid" not in plan and "hashpartitioning(shard" in plan
+
+
 def test_blocks_of_queries_and_empty_inputs(spark, monkeypatch):
     docs = some_docs(60)
     counts = P.count_terms(spark.createDataFrame(docs, "d long, terms array<string>"))
