@@ -205,6 +205,14 @@ def test_operations_see_what_came_before(spark):
     assert sorted(map(tuple, X.ops_conjunctive(counts, ops).collect())) == want
 
 
+def test_batches_are_coded_a_chunk_at_a_time(spark):
+    stream = spark.createDataFrame(some_docs(400, 6), "d long, terms array<string>").repartition(3)
+    got = B.merge_batches(stream, 3)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, P.postings_doc(stream).collect()))
+    # Parts come from sorted rows, many at a time; before, each was an array of its own, coded by calls of its own.
+    assert "collect_list" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
 def test_gaps_and_numbers_across_shards(spark, monkeypatch):
     from liveindex.scratch import numbered, running_sum
 
