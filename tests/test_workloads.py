@@ -46,3 +46,22 @@ def test_nothing_imports_the_corpus_subpackage():
             continue
         for n in (n for n in names if n.endswith(".py")):
             assert "liveindex.llm" not in open(os.path.join(folder, n)).read()
+
+
+def test_last_order_before_an_event(spark):
+    import random
+    from datetime import datetime, timedelta
+
+    from liveindex.workloads.operators import last_before
+
+    draw, start = random.Random(3), datetime(1999, 12, 1)
+    day = lambda: start + timedelta(hours=12 * draw.randrange(400))
+    orders = [(k, draw.randrange(3), day()) for k in range(120)] + [(200, None, start), (201, 0, None)]
+    events = [(k, draw.randrange(4), day()) for k in range(300)] + [(7, 1, day()), (400, None, start), (401, 1, None), (402, 1, start - timedelta(days=90))]
+    best = {}
+    for e, c, at in events:
+        for o, k, when in orders:
+            if c is not None and c == k and at is not None and when is not None and when <= at:
+                best[e] = max(best.get(e, (when, o)), (when, o))
+    got = last_before(spark.createDataFrame(events, "event_id long, class long, at timestamp"), spark.createDataFrame(orders, "o_orderkey long, class long, at timestamp"))
+    assert sorted(map(tuple, got.collect())) == sorted((e, o) for e, (_, o) in best.items())
