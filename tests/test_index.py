@@ -166,6 +166,18 @@ def test_joined_ranking_copies_no_list_across_tasks(spark):
     assert "hashpartitioning(qid" not in plan and "hashpartitioning(shard" in plan
 
 
+def test_pruned_ranking_skips_lists_and_copies_none(spark):
+    docs = [(d, ["common"] * (d % 3 + 1) + (["rare"] * (d % 5 + 9) if d % 20 == 0 else []) + ([f"t{d % 7}"] if d % 2 else [])) for d in range(1, 3000)]
+    counts = P.count_terms(spark.createDataFrame(docs, "d long, terms array<string>"))
+    queries = spark.createDataFrame([(1, ["rare", "common"]), (2, ["t1", "t2", "common"]), (3, ["rare", "nowhere"]), (4, ["nowhere"]), (5, None)], "qid long, terms array<string>")
+    found = X.topk_pruned(counts, queries, 2999)
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, X.topk(counts, queries, 2999).collect()))
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "hashpartitioning(qid" not in plan and "hashpartitioning(shard" in plan
+    stats = {r["qid"]: r for r in E.topk(counts, queries, 2999, strategy="bounds", stats=True).collect()}
+    assert stats[1]["touched"] < stats[1]["postings"]  # the common list is looked up only
+
+
 def test_blocks_of_queries_and_empty_inputs(spark, monkeypatch):
     docs = some_docs(60)
     counts = P.count_terms(spark.createDataFrame(docs, "d long, terms array<string>"))
