@@ -337,3 +337,14 @@ def test_build_has_one_exchange(spark):
     stream = spark.createDataFrame([(1, ["a"])], "d long, terms array<string>")
     plan = K.build_blocks(P.count_terms(stream), K.IndexConfig())._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 1 and "MapInArrow" in plan
+
+
+@pytest.mark.parametrize("shard_docs", [1 << 20, 300])
+def test_whole_static_lists_whatever_the_shards(spark, shard_docs):
+    docs = [(d, ["each"] + (["some"] if d % 3 else []) + ([f"t{d}"] if d % 40 == 0 else []) + ["late"] * (d > 500)) for d in range(1, 1200)]
+    counts = P.count_terms(spark.createDataFrame(docs, "d long, terms array<string>").repartition(3))
+    runs = Z.build_whole(counts, K.IndexConfig(shard_docs=shard_docs))
+    want = Z.static_bytes(Z.build_static(counts, K.IndexConfig())).first()
+    assert Z.static_bytes(runs, "term").first() == want
+    assert sorted(map(tuple, Z.decode_static(runs).select("term", "d", "f").collect())) == sorted(map(tuple, counts.collect()))
+    assert runs.agg(F.max("block_no")).first()[0] <= -(-shard_docs // Z.RUN)
