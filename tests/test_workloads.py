@@ -65,3 +65,9 @@ def test_last_order_before_an_event(spark):
                 best[e] = max(best.get(e, (when, o)), (when, o))
     got = last_before(spark.createDataFrame(events, "event_id long, class long, at timestamp"), spark.createDataFrame(orders, "o_orderkey long, class long, at timestamp"))
     assert sorted(map(tuple, got.collect())) == sorted((e, o) for e, (_, o) in best.items())
+
+
+@pytest.mark.parametrize("name", ["growth_sequence", "overhead_curve", "best_block"])
+def test_growth_rules_over_the_lists_of_documents(spark, oracle, name):
+    test_query_equals_its_oracle(spark, oracle, name)
+    assert "documents" in registry.ORACLES[name] and "lists" in registry.QUERIES[name](spark, SF).columns
