@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from liveindex.functions import codecs
 from liveindex.operators.evaluate import Log, _best, _blocks, _inside, _merged, _named
 from liveindex.operators.packer import IndexConfig
-from liveindex.operators.static import decode_run
+from liveindex.operators.static import RUN, SIDE_BY_SIDE, decode_full_runs, decode_run
 
 MODES = ("conjunctive", "topk")
 
@@ -107,6 +107,17 @@ class StaticShard(ShardIndex):
         self.decoded += int(self.n[places].sum())
         if not places.size:
             return (np.zeros(0, np.int64),) * 2
+        full = self.n[places] == RUN  # all runs of a list but its last
+        if np.count_nonzero(full) >= SIDE_BY_SIDE:
+            some, rest = places[full], places[~full]
+            d, f = decode_full_runs(self.data, self.begin[some], self.size[some], self.first[some], self.last[some], self.total[some], self.code)
+            if not rest.size:
+                return d, f
+            more = self._each(rest)
+            return np.append(d, more[0]), np.append(f, more[1])
+        return self._each(places)
+
+    def _each(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         found = [decode_run(self.data[self.begin[p] : self.begin[p] + self.size[p]].tobytes(), int(self.n[p]), int(self.first[p]), int(self.last[p]), int(self.total[p]), self.code) for p in places.tolist()]
         return np.concatenate([d for d, _ in found]), np.concatenate([f for _, f in found])
 
@@ -143,10 +154,13 @@ COST = "rep long, micros double, matches long, blocks long, postings long"
 def run_log(placed: DataFrame, queries: DataFrame, cfg: IndexConfig, mode: str, n_docs: int, code: str | None = None) -> DataFrame:
     """(qid, n_terms, micros, matches, blocks, postings): what each query of a log costs and finds over blocks with
     their positions (`pos`): time in the shards, matches (conjunctive) or documents returned (topk, the shards' best
-    together), blocks touched and postings decoded. A long log is run in blocks of queries. code: for static runs."""
+    together), blocks touched and postings decoded. A long log is run in blocks of queries. code: for static runs.
+
+    The queries of a block are dealt to several tasks a shard, each of which holds the shard's lists of the log."""
     if mode not in MODES:
         raise ValueError(f"no mode {mode}")
     spark, parts = placed.sparkSession, []
+    slices = max(1, spark.sparkContext.defaultParallelism)
     for log in _blocks(queries, False, None):
         vocabulary = spark.createDataFrame([(t, k) for k, t in enumerate(log.terms)], "term string, id long")
         mine = placed.join(F.broadcast(vocabulary.select("term")), "term", "left_semi")
@@ -157,20 +171,24 @@ def run_log(placed: DataFrame, queries: DataFrame, cfg: IndexConfig, mode: str,
             if not held:
                 return
             table = pa.Table.from_batches(held)
-            for shard in pa.compute.unique(table.column("shard")).to_pylist():
-                rows = table.filter(pa.compute.equal(table.column("shard"), shard)).combine_chunks()
+            for part in pa.compute.unique(table.column("part")).to_pylist():
+                rows = table.filter(pa.compute.equal(table.column("part"), part)).combine_chunks()
                 index = StaticShard(rows, cfg, code) if code else ShardIndex(rows, cfg)
                 out = []
                 for rep, query in enumerate(log.queries):
+                    if rep % slices != part % slices:
+                        continue
                     terms = [log.terms[t] for t in query]
                     index.touched = index.decoded = 0
                     began = time.perf_counter()
                     hit = index.conjunctive(terms) if mode == "conjunctive" else index.topk(terms, ft, n_docs)[0]
                     out.append((rep, (time.perf_counter() - began) * 1e6, hit.size, index.touched, index.decoded))
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=[c.split()[0] for c in COST.split(", ")])
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=[c.split()[0] for c in COST.split(", ")])
 
         count = int(spark.conf.get("spark.sql.shuffle.partitions"))
-        cost = mine.select("shard", "term", "block_no", "pos", "first_d", "n", "payload", *(["last_d", "total"] if code else [])).repartition(count, "shard").mapInArrow(run, COST)
+        part = F.explode(F.sequence(F.col("shard") * slices, F.col("shard") * slices + slices - 1)).alias("part")
+        cost = mine.select(part, "term", "block_no", "pos", "first_d", "n", "payload", *(["last_d", "total"] if code else [])).repartition(count, "part").mapInArrow(run, COST)
         cost = cost.groupBy("rep").agg(F.sum("micros").alias("micros"), F.sum("matches").alias("matches"), F.sum("blocks").alias("blocks"), F.sum("postings").alias("postings"))
         sizes = spark.createDataFrame([(k, len(q)) for k, q in enumerate(log.queries)], "rep long, n_terms long")
         parts.append(_named(cost.join(F.broadcast(sizes), "rep"), log).select("qid", "n_terms", "micros", "matches", "blocks", "postings"))

@@ -71,3 +71,16 @@ def test_last_order_before_an_event(spark):
 def test_growth_rules_over_the_lists_of_documents(spark, oracle, name):
     test_query_equals_its_oracle(spark, oracle, name)
     assert "documents" in registry.ORACLES[name] and "lists" in registry.QUERIES[name](spark, SF).columns
+
+
+def test_layouts_and_modes_share_the_blocks_of_a_growth_rule(spark, monkeypatch):
+    from liveindex.operators import packer
+
+    made, build = [], packer.build_blocks
+    monkeypatch.setattr(packer, "build_blocks", lambda *a, **k: made.append(1) or build(*a, **k))
+    rows = registry.QUERIES["latency_by_layout"](spark, SF).collect()
+    assert len(made) == 2 and len(rows) == 8
+    counts = {(r["growth"], r["mode"]): set() for r in rows}
+    for r in rows:
+        counts[r["growth"], r["mode"]].add((r["queries"], r["mean_blocks"], r["mean_postings"]))
+    assert all(len(c) == 1 for c in counts.values())  # layouts move bytes and change no counts
