@@ -348,3 +348,18 @@ def test_whole_static_lists_whatever_the_shards(spark, shard_docs):
     assert Z.static_bytes(runs, "term").first() == want
     assert sorted(map(tuple, Z.decode_static(runs).select("term", "d", "f").collect())) == sorted(map(tuple, counts.collect()))
     assert runs.agg(F.max("block_no")).first()[0] <= -(-shard_docs // Z.RUN)
+
+
+@pytest.mark.parametrize("code", Z.CODES)
+def test_full_runs_side_by_side(code):
+    rng = np.random.default_rng(8)
+    runs, data = [], []
+    for width in (1, 3, 40, 5000, 1 << 20, 1, 1 << 33):
+        d = 5 + np.cumsum(rng.integers(1, width + 1, Z.RUN))
+        f = rng.integers(1, rng.integers(2, 300), Z.RUN)
+        data.append(Z.encode_run(d, f, code))
+        runs.append((d, f))
+    size = np.array([len(x) for x in data])
+    columns = [np.array(c, np.int64) for c in zip(*((d[0], d[-1], f.sum()) for d, f in runs), strict=True)]
+    d, f = Z.decode_full_runs(np.frombuffer(b"".join(data), np.uint8), np.cumsum(size) - size, size, *columns, code)
+    assert d.tolist() == np.concatenate([d for d, _ in runs]).tolist() and f.tolist() == np.concatenate([f for _, f in runs]).tolist()
